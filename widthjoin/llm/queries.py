@@ -8,14 +8,26 @@ from pyspark.sql import DataFrame, SparkSession
 
 from pyspark.sql import functions as F
 
-from . import archives, line_dedup, neardup, quality, secrets, toxicity
-from .common import pick, table
+from . import archives, counts, decontaminate, line_dedup, neardup, packing, quality, secrets, tokens, toxicity
+from .common import pick, scratch, table
 
 
 def op1_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.quality(table(spark, sf_dir, "documents"))
 
 
+def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Four batches: all documents; revisions (upper case) of those with id % 10 = 3; deletes of id % 10 = 7; the revisions again, which changes nothing."""
+    docs = pick(table(spark, sf_dir, "documents"), doc_id="long", source="string", lang="string", text="string")
+    rollup = counts.Rollup(spark, scratch(spark), {"byte_bpe_50k": tokens.vocabulary("byte_bpe_50k.tiktoken"), "byte_bpe_multi_50k": tokens.vocabulary("byte_bpe_multi_50k.tiktoken")})
+    revised = docs.filter("doc_id % 10 = 3").withColumn("op", F.lit("revise")).withColumn("text", F.upper("text"))
+    rollup.apply("b1", docs.withColumn("op", F.lit("insert")))
+    rollup.apply("b2", revised)
+    rollup.apply("b3", docs.filter("doc_id % 10 = 7").drop("text").withColumn("op", F.lit("delete")))
+    rollup.apply("b2", revised)
+    return rollup.totals()
+
+
 def op7_near_dup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return neardup.near_duplicates(table(spark, sf_dir, "documents"), 3, 85, 100)
 
@@ -34,6 +46,14 @@ def op9_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return archives.round_trip(table(spark, sf_dir, "pages"))
 
 
+def op3_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.packed(table(spark, sf_dir, "documents"), tokens.vocabulary("byte_bpe_50k.tiktoken")).drop("used")
+
+
+def op4_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = pick(table(spark, sf_dir, "documents"), doc_id="long", text="string", source="string")
     return line_dedup.drop_boilerplate(docs).select("doc_id", "text", "n_lines", "n_dropped")
@@ -44,7 +64,7 @@ def op10_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_quality, op5_line_dedup, op7_near_dup, op8_toxicity, op9_warc, op10_secret_scan)}
+    return {f.__name__: f for f in (op1_quality, op3_packing, op4_decontamination, op5_line_dedup, op6_token_counts, op7_near_dup, op8_toxicity, op9_warc, op10_secret_scan)}
 
 
 def oracle_sql() -> dict[str, str]:
