@@ -1,8 +1,61 @@
-"""The corpus pipeline (being built)."""
+"""The corpus pipeline: toxicity, line dedup, near-duplicates, decontamination, packing.
 
-STAGES: list = []
+Each stage takes (spark, docs, sf_dir) and returns a DataFrame; run() writes each
+stage's rows to the shared folder and reads them back as the next one's docs. All
+but the last return the columns of documents. Rows with null ids or texts pass
+the stages as the operators define for them.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from widthjoin.llm import decontaminate, line_dedup, neardup, packing, toxicity
+from widthjoin.llm.common import save, small, table
+
+
+def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Without the documents that the tagger, trained on the labelled ones among docs, calls toxic."""
+    model = toxicity.train_on(docs, table(spark, sf_dir, "labels"))
+    gone = save(toxicity.scored(docs, model).filter("score >= 0.5").select(F.col("doc_id").alias("_tox_gone")).distinct())
+    return docs.join(small(gone), F.col("doc_id") == F.col("_tox_gone"), "left_anti")
+
+
+def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Texts without the boilerplate lines of their source; n_chars follows."""
+    out = line_dedup.drop_boilerplate(docs).drop("n_lines", "n_dropped")
+    return out.withColumn("n_chars", F.length("text").cast("long")).select(docs.columns)
+
+
+def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each group with five-word shingle similarity of 0.8 or more."""
+    return neardup.deduplicated(docs, 5, 80, 100)
+
+
+def decontamination_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Without the documents into which a benchmark item leaks."""
+    return decontaminate.decontaminated(docs, table(spark, sf_dir, "benchmark"))
+
+
+def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Pieces of the remaining documents in sequences."""
+    return packing.packed(docs).drop("used")
+
+
+STAGES = [
+    ("toxicity", toxicity_stage),
+    ("line_dedup", line_stage),
+    ("near_duplicates", near_duplicate_stage),
+    ("decontamination", decontamination_stage),
+    ("packing", packing_stage),
+]
+#: The first stage's model has no SQL form.
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
-    return spark.read.parquet(f"{sf_dir}/documents.parquet")
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    for _, stage in STAGES:
+        docs = save(stage(spark, docs, sf_dir))
+    return docs

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from pyspark.sql import functions as F
 
-from . import archives, counts, decontaminate, line_dedup, neardup, packing, quality, secrets, tokens, toxicity
+from . import archives, counts, decontaminate, katz, line_dedup, neardup, packing, quality, secrets, tokens, toxicity
 from .common import pick, scratch, table
 
 
@@ -46,6 +46,11 @@ def op9_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return archives.round_trip(table(spark, sf_dir, "pages"))
 
 
+def op2_katz(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = pick(table(spark, sf_dir, "documents"), doc_id="long", text="string")
+    return katz.score_texts(docs.withColumn("held_out", fold("doc_id", 7) == 2))
+
+
 def op3_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.packed(table(spark, sf_dir, "documents"), tokens.vocabulary("byte_bpe_50k.tiktoken")).drop("used")
 
@@ -64,7 +69,7 @@ def op10_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_quality, op3_packing, op4_decontamination, op5_line_dedup, op6_token_counts, op7_near_dup, op8_toxicity, op9_warc, op10_secret_scan)}
+    return {f.__name__: f for f in (op1_quality, op2_katz, op3_packing, op4_decontamination, op5_line_dedup, op6_token_counts, op7_near_dup, op8_toxicity, op9_warc, op10_secret_scan)}
 
 
 def oracle_sql() -> dict[str, str]:
