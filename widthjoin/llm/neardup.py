@@ -5,10 +5,11 @@ one representative. Each representative's set is hashed once; each bin keeps its
 least hash, empty bins borrow from a bin that a fixed random walk over the bins
 finds first (densification), and bands of bins are bucket keys. In each bucket
 the first member is the centre of a star: members are compared with it on full
-sets, so a bucket of n rows makes n - 1 pairs. Members that no link has joined
-to all others of their bucket yet get further centres, round by round, until
-every two members of a bucket are in one component or have been compared. So
-nothing is capped, and a large group of copies costs one star.
+sets, so a bucket of n rows makes n - 1 pairs. Members that end up outside their
+centre's component become centres themselves, for the members of other
+components: a finer sketch leaves out pairs five standard errors below the limit,
+the rest is compared on full sets. Nothing is capped, and a large group of copies
+costs one star.
 
 Null or empty text: empty set, no links. Fewer words than k: the whole sequence
 is the one shingle. Equal sets of one document id (repeated rows) are one
@@ -25,13 +26,12 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from .common import coded, hashes, mixed, pick, pieces, save, small, words
 
 BINS, ROWS = 128, 4
-#: Centres a bucket gets in each round after the first.
-CENTRES = 8
+#: Bins of the sketch that tells which further pairs are worth a full comparison; and how large buckets are split for them.
+SKETCH, BLOCK_CENTRES, BLOCK_MEMBERS = 1024, 512, 2048
 SIGNED = "doc_id long, n_shingles long, set_key binary, bands array<long>"
 MULT = (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xFF51AFD7ED558CCD, 0xC4CEB9FE1A85EC53, 0x2545F4914F6CDD1D)
 
@@ -79,13 +79,18 @@ def densified(own: np.ndarray, bins: int, tries: np.ndarray) -> np.ndarray:
     return out
 
 
+def band_keys(own: np.ndarray, bins: int, rows: int, tries: np.ndarray) -> np.ndarray:
+    bands = bins // rows
+    lift = (np.arange(rows, dtype=np.uint64) * np.uint64(2) + np.uint64(1)) * np.uint64(MULT[0])
+    with np.errstate(over="ignore"):
+        d = mixed(densified(own, bins, tries)).reshape(bands, rows)
+        return mixed((d * lift).sum(1, dtype=np.uint64) + mixed(np.arange(bands, dtype=np.uint64) + np.uint64(77))).view(np.int64)
+
+
 def signatures(batches: Iterator[pa.RecordBatch], k: int, bins: int = BINS, rows: int = ROWS) -> Iterator[pa.RecordBatch]:
     import hashlib
 
     tries, names = walk(bins), [x.split()[0] for x in SIGNED.split(", ")]
-    bands = bins // rows
-    lift = (np.arange(rows, dtype=np.uint64) * np.uint64(2) + np.uint64(1)) * np.uint64(MULT[0])
-    band = mixed(np.arange(bands, dtype=np.uint64) + np.uint64(77))
     for b in pieces(batches):
         size, key, sig = [], [], []
         for s in shingle_sets(b.column(b.schema.get_field_index("text")), k):
@@ -95,9 +100,7 @@ def signatures(batches: Iterator[pa.RecordBatch], k: int, bins: int = BINS, rows
                 sig.append(None)
                 continue
             key.append(hashlib.md5(s.tobytes()).digest())
-            with np.errstate(over="ignore"):
-                d = densified(s, bins, tries).reshape(bands, rows)
-                sig.append(mixed((mixed(d) * lift).sum(1, dtype=np.uint64) + band).view(np.int64))
+            sig.append(band_keys(s, bins, rows, tries))
         yield pa.RecordBatch.from_arrays([b.column(b.schema.get_field_index("doc_id")), pa.array(size, pa.int64()), pa.array(key, pa.binary()), pa.array(sig, pa.list_(pa.int64()))], names=names)
 
 
@@ -159,20 +162,20 @@ def near_duplicates(documents: DataFrame, k: int = 3, num: int = 85, den: int =
     """doc_id, n_shingles, component_id, kept: one row a document. Linked: den * |intersection| >= num * |union|."""
     docs = pick(documents, doc_id="long", text="string")
     signed = save(docs.mapInArrow(lambda it: signatures(it, k, bins, rows), SIGNED))
-    classes = signed.filter("set_key IS NOT NULL").groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.any_value("bands").alias("bands"))
+    classes = signed.filter("set_key IS NOT NULL").groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.any_value("n_shingles").alias("n"), F.any_value("bands").alias("bands"))
     classes = save(classes.filter("rep IS NOT NULL"))
-    buckets = classes.select(F.explode("bands").alias("key"), "rep")
-    shared = buckets.groupBy("key").agg(F.min("rep").alias("centre"), F.count(F.lit(1)).alias("n")).filter("n > 1").drop("n")
+    buckets = classes.select(F.explode("bands").alias("key"), "rep", "n")
+    shared = buckets.groupBy("key").agg(F.min(F.struct("rep", "n")).alias("least"), F.count(F.lit(1)).alias("many")).filter("many > 1").select("key", F.col("least.rep").alias("centre"), F.col("least.n").alias("centre_n"))
     # a bucket key is on few rows of distinct sets; where near copies fill one, this inner join on its key is split by AQE
-    members = save(buckets.join(shared.withColumnRenamed("key", "k2"), F.col("key") == F.col("k2")).select("key", "rep", "centre"))
-    pairs = members.filter("rep <> centre").select(F.col("centre").alias("a"), F.col("rep").alias("b")).distinct()
+    members = save(buckets.join(shared.withColumnRenamed("key", "k2"), F.col("key") == F.col("k2")).select("key", "rep", "n", "centre", "centre_n"))
+    pairs = members.filter("rep <> centre").filter(alike("n", "centre_n", num, den)).select(F.col("centre").alias("a"), F.col("rep").alias("b")).distinct()
     pairs = save(pairs)
-    needed = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
-    wanted = docs.join(small(save(needed)), F.col("doc_id") == F.col("id"), "left_semi")
+    needed = save(members.select(F.col("rep").alias("id")).distinct())
+    wanted = docs.join(small(needed), F.col("doc_id") == F.col("id"), "left_semi")
     sets = save(wanted.mapInArrow(lambda it: full_sets(it, k), "doc_id long, set binary").filter(F.length("set") > 0), "none")
     links = save(compare(pairs, sets, num, den))
-    labels = components(links)
-    links = further_links(members, pairs, links, labels, sets, num, den)
+    labels = save(components(links))
+    links = further_links(members, pairs, links, labels, sets, num, den, bins, rows)
     if links is not None:
         labels = components(links)
     whole = signed.join(classes.select(F.col("set_key").alias("k2"), "rep"), F.col("set_key") == F.col("k2"), "left")
@@ -181,44 +184,98 @@ def near_duplicates(documents: DataFrame, k: int = 3, num: int = 85, den: int =
     return whole.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(True)).alias("kept"))
 
 
-def further_links(members: DataFrame, done: DataFrame, links: DataFrame, labels: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame | None:
-    """All links, after those that the first stars have missed; None if they cannot have missed any.
+def alike(m: str, n: str, num: int, den: int):
+    """Whether sets of these sizes can be linked at all."""
+    return (den * F.least(m, n)) >= (num * F.greatest(m, n))
 
-    Members outside their centre's component become centres themselves, CENTRES of
-    a bucket in each round, and are compared with members of other components.
+
+def sketches(batches: Iterator[pa.RecordBatch], bins: int, rows: int) -> Iterator[pa.RecordBatch]:
+    """Of each set: one byte a bin of a finer sketch, and its band keys."""
+    tries, coarse = walk(SKETCH), walk(bins)
+    for b in batches:
+        sets = [np.frombuffer(x.as_buffer(), np.uint64) for x in b.column(b.schema.get_field_index("set"))]
+        fine = [mixed(densified(s, SKETCH, tries)).astype(np.uint8).tobytes() for s in sets]
+        keys = [band_keys(s, bins, rows, coarse).tobytes() for s in sets]
+        yield pa.RecordBatch.from_arrays([b.column(b.schema.get_field_index("doc_id")), pa.array(fine, pa.binary()), pa.array(keys, pa.binary())], names=["of", "sketch", "bands"])
+
+
+def near_pairs(batches: Iterator[pa.RecordBatch], num: int, den: int) -> Iterator[pa.RecordBatch]:
+    """Pairs (a, b) of rows with equal (key, ob, mb), one of them a centre, in different components, whose sketches may reach the limit.
+    A pair is made in the first of the buckets that it shares.
+
+    Rows come sorted by these keys; a group has at most BLOCK_CENTRES centres and about BLOCK_MEMBERS others.
+    """
+    t = num / den
+    least = (t - 5 * (t * (1 - t) / SKETCH) ** 0.5) * SKETCH
+
+    def group(rows, key):
+        bands = np.frombuffer(b"".join(rows["bands"]), np.int64).reshape(len(rows["rep"]), -1)
+        sk = np.frombuffer(b"".join(rows["sketch"]), np.uint8).reshape(-1, SKETCH)
+        rep, n, c, centre = (np.asarray(rows[k]) for k in ("rep", "n", "c", "centre"))
+        for i in np.flatnonzero(centre):
+            ok = np.flatnonzero((c != c[i]) & (den * np.minimum(n, n[i]) >= num * np.maximum(n, n[i])))
+            ok = ok[bands[i, (bands[ok] == bands[i]).argmax(1)] == key]
+            ok = ok[(sk[ok] == sk[i]).sum(1) >= least]
+            yield from ((min(rep[i], r), max(rep[i], r)) for r in rep[ok])
+
+    def out(pairs):
+        own = sorted(set(pairs))
+        return pa.RecordBatch.from_arrays([pa.array([p[k] for p in own], pa.int64()) for k in (0, 1)], names=["a", "b"])
+
+    kept, own, found = {}, None, []
+    for b in batches:
+        cols = {k: b.column(b.schema.get_field_index(k)).to_pylist() for k in ("key", "ob", "mb", "rep", "n", "c", "centre", "sketch", "bands")}
+        ids = list(zip(cols.pop("key"), cols.pop("ob"), cols.pop("mb"), strict=True))
+        starts = [0, *(i for i in range(1, len(ids)) if ids[i] != ids[i - 1]), len(ids)]
+        for x, y in zip(starts[:-1], starts[1:], strict=True):
+            if ids[x:] and ids[x] != own:
+                if kept:
+                    found += group(kept, own[0])
+                kept, own = {k: [] for k in cols}, ids[x]
+            for k, v in cols.items():
+                kept[k] += v[x:y]
+        if len(found) > 50_000:
+            yield out(found)
+            found = []
+    if kept:
+        found += group(kept, own[0])
+    yield out(found)
+
+
+def further_links(members: DataFrame, done: DataFrame, links: DataFrame, labels: DataFrame, sets: DataFrame, num: int, den: int, bins: int, rows: int) -> DataFrame | None:
+    """All links, after those that the stars have missed; None if they cannot have missed any.
+
+    In a bucket where not all are in the centre's component, each member outside
+    it is a centre too, for the members of other components. A finer sketch tells
+    which of these pairs are compared on full sets: those within five standard
+    errors of the limit. Buckets are split by blocks of centres and of members.
     """
-    label = lambda m, of: m.join(of.withColumnRenamed("component", "c"), F.col("rep") == F.col("node"), "left").withColumn("c", F.coalesce("c", "rep")).drop("node")
+    label = lambda m: m.join(labels.withColumnRenamed("component", "c"), F.col("rep") == F.col("node"), "left").withColumn("c", F.coalesce("c", "rep")).drop("node")
     at_centre = labels.select(F.col("node").alias("cn"), F.col("component").alias("cc"))
-    now = label(members, labels).join(at_centre, F.col("centre") == F.col("cn"), "left").withColumn("cc", F.coalesce("cc", "centre"))
-    outside = now.filter("c <> cc").select("key", "rep")
-    outside = save(outside.withColumn("place", F.row_number().over(Window.partitionBy("key").orderBy("rep")) - 1))
-    last = outside.agg(F.max("place")).first()[0]
-    if not last:  # nothing outside, or one member a bucket, which has met the centre but not the centre's component
-        if last is None or now.join(outside.select(F.col("key").alias("k2")), F.col("key") == F.col("k2"), "left_semi").groupBy("key").count().filter("count > 2").isEmpty():
-            return None
-    open_ = save(members.join(outside.select(F.col("key").alias("k2")).distinct(), F.col("key") == F.col("k2"), "left_semi").select("key", "rep"))
-    for first in range(0, last + 1, CENTRES):
-        centres = label(outside.filter(F.col("place").between(first, first + CENTRES - 1)), labels).select(F.col("key").alias("k2"), F.col("rep").alias("of"), F.col("c").alias("oc"))
-        met = label(open_, labels).join(centres, (F.col("key") == F.col("k2")) & (F.col("c") != F.col("oc")))
-        pairs = met.select(F.least("rep", "of").alias("a"), F.greatest("rep", "of").alias("b")).distinct()
-        pairs = save(pairs.join(done.select(F.col("a").alias("da"), F.col("b").alias("db")), (F.col("a") == F.col("da")) & (F.col("b") == F.col("db")), "left_anti"))
-        if pairs.isEmpty():
-            continue
-        found = save(compare(pairs, sets, num, den))
-        done = done.union(pairs)
-        if not found.isEmpty():
-            links = save(links.union(found))
-            labels = components(links)
-    return links
+    now = label(members).join(at_centre, F.col("centre") == F.col("cn"), "left").withColumn("cc", F.coalesce("cc", "centre"))
+    now = now.withColumn("centre", F.col("c") != F.col("cc")).select("key", "rep", "n", "c", "centre")
+    size = now.groupBy("key").agg(F.count(F.lit(1)).alias("many"), F.sum(F.col("centre").cast("int")).alias("outs")).filter("outs > 0 AND many > 2")
+    size = size.select(F.col("key").alias("k2"), F.ceil(F.col("outs") / BLOCK_CENTRES).cast("int").alias("obs"), F.ceil(F.col("many") / BLOCK_MEMBERS).cast("int").alias("mbs"))
+    open_ = save(now.join(size, F.col("key") == F.col("k2")).drop("k2"))
+    wanted = save(open_.select(F.col("rep").alias("r2")).distinct())
+    fine = sets.join(small(wanted), F.col("doc_id") == F.col("r2"), "left_semi").mapInArrow(lambda it: sketches(it, bins, rows), "of long, sketch binary, bands binary")
+    block = lambda of, salt: F.pmod(F.xxhash64("rep", F.lit(salt)), F.col(of)).cast("int")
+    # a centre stands in one block of centres, against every block of members; a member in one block of members, against every block of centres
+    as_centre = open_.filter("centre").withColumn("ob", block("obs", 1)).withColumn("mb", F.explode(F.sequence(F.lit(0), F.col("mbs") - 1)))
+    as_member = open_.withColumn("centre", F.lit(False)).withColumn("mb", block("mbs", 2)).withColumn("ob", F.explode(F.sequence(F.lit(0), F.col("obs") - 1)))
+    dealt = as_centre.unionByName(as_member).join(fine, F.col("rep") == F.col("of")).select("key", "ob", "mb", "rep", "n", "c", "centre", "sketch", "bands")
+    dealt = dealt.repartition("key", "ob", "mb").sortWithinPartitions("key", "ob", "mb")
+    pairs = dealt.mapInArrow(lambda it: near_pairs(it, num, den), "a long, b long").distinct()
+    pairs = save(pairs.join(done.select(F.col("a").alias("da"), F.col("b").alias("db")), (F.col("a") == F.col("da")) & (F.col("b") == F.col("db")), "left_anti"))
+    found = save(compare(pairs, sets, num, den))
+    return None if found.isEmpty() else save(links.union(found))
 
 
 def compare(pairs: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame:
-    """The linked ones of (a, b). Sizes that cannot reach the limit are left out before sets travel; hot centres are split by AQE."""
+    """The linked ones of (a, b), on full sets. A hot centre is a skewed inner join, which AQE splits."""
     a = sets.select(F.col("doc_id").alias("ia"), F.col("set").alias("set_a"))
     b = sets.select(F.col("doc_id").alias("ib"), F.col("set").alias("set_b"))
-    size = lambda c: F.length(c)
     both = pairs.join(b, F.col("b") == F.col("ib")).join(a, F.col("a") == F.col("ia"))
-    both = both.filter((den * size("set_a") >= num * size("set_b")) & (den * size("set_b") >= num * size("set_a")))
     return both.select("a", "b", "set_a", "set_b").mapInArrow(lambda it: linked(it, num, den), "a long, b long").distinct()
 
 
