@@ -30,14 +30,20 @@ def consistent(inst: Instance) -> Instance:
     """Nested relations agree: each is reduced by its subsets, and subsets by it; one sweep each way."""
     out = inst.copy()
     keys = sorted(out.relations, key=lambda k: (len(k), sorted(k)))
-    for order in (keys, keys[::-1]):
-        for b in order:
-            for a in keys:
-                if a < b:
-                    out.relations[b] = semijoin(out.relations[b], out.relations[a])
-                elif b < a:
-                    out.relations[b] = semijoin(out.relations[b], project(out.relations[a], b))
-    out.relations = {k: keep(v) for k, v in out.relations.items()}
+    for b in keys:  # written one by one, so that no plan holds another one's plan
+        below = [a for a in keys if a < b]
+        if below:
+            df = out.relations[b]
+            for a in below:
+                df = semijoin(df, out.relations[a])
+            out.relations[b] = keep(df)
+    for b in reversed(keys):
+        above = [a for a in keys if b < a]
+        if above:
+            df = out.relations[b]
+            for a in above:
+                df = semijoin(df, project(out.relations[a], b))
+            out.relations[b] = keep(df)
     out.sizes = {}
     out.measure()
     return out
@@ -53,10 +59,7 @@ def uniformize_evaluate(q: ConjunctiveQuery, inst: Instance, eps: float = 0.5, m
     start = inst.copy()
     for e in q.edges:
         for v in e:
-            if frozenset([v]) not in start.relations:
-                start.augment(frozenset([v]), project(inst.relations[e], [v]))
-            else:
-                start.augment(frozenset([v]), project(inst.relations[e], [v]))
+            start.augment(frozenset([v]), project(inst.relations[e], [v]))
     run, queue = Run(n, 0), deque([(consistent(start), float(n))])
     while queue:
         own, cap = queue.popleft()

@@ -9,8 +9,8 @@ row, so answers are right whatever the bounds say; bounds only steer the cost.
 from __future__ import annotations
 
 import math
-from collections import deque
 from collections.abc import Callable
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, field
 from fractions import Fraction
 
@@ -22,7 +22,7 @@ from .bounds import EMPTY, Bounds, Defect, lowest_defect
 from .closure import close_bounds
 from .decomposition import TreeDecomposition, covered_by, enumerate_decompositions
 from .instance import Instance, columns, natural_join, project, semijoin
-from .materialize import count_all, keep
+from .materialize import count_all, keep, keep_counted
 from .partition import equal_degree_parts, heavy_light
 from .query import ConjunctiveQuery, Vars, show
 from .statistics import Statistics, cardinalities, check_statistics
@@ -47,6 +47,7 @@ class Options:
     group_leaves: bool = True
     split: bool = True
     max_depth: int = 200
+    parallel: int = 4
 
 
 @dataclass
@@ -103,10 +104,11 @@ def prereduced(inst: Instance) -> Instance:
     keys = sorted(out.relations, key=lambda k: (len(k), sorted(k)))
     for order in (keys, keys[::-1]):
         for a in order:
+            df = out.relations[a]
             for b in order:
                 if a != b and a & b:
-                    out.relations[a] = semijoin(out.relations[a], project(out.relations[b], a & b))
-    out.relations = {k: keep(v) for k, v in out.relations.items()}
+                    df = semijoin(df, project(out.relations[b], a & b))
+            out.relations[a] = keep(df)  # written before others use it, so that plans do not nest
     out.sizes = {}
     out.measure()
     return out
@@ -124,29 +126,21 @@ def explore(q: ConjunctiveQuery, inst: Instance, stats: Statistics | None, optio
         raise ValueError(f"the instance violates statistics: {[(show(t.y), show(t.x), t.max_degree, m) for t, m in bad]}")
     run = Run(n, fan_out(n, options))
     vars_ = q.variables
-    queue = deque([Branch(0, -1, "root", inst, bounds, 0)])
-    made = 1
-    while queue:
-        b = queue.popleft()
+
+    def step(b: Branch) -> tuple[dict, list[tuple[str, Instance, Bounds | None]], object | None]:
+        """A branch's trace row, its children, and what it has covered, if it is a leaf."""
         row = {"branch": b.number, "parent": b.parent, "kind": b.kind, "depth": b.depth}
-        run.trace.append(row)
         if b.bounds is None:
             sizes = b.inst.measure()
             row["largest"] = max(sizes.values(), default=0)
             if not all(sizes.values()):
-                row["outcome"] = "empty"
-                continue
+                return row | {"outcome": "empty"}, [], None
             b.bounds = {EMPTY: Fraction(1)} | {k: Fraction(v) for k, v in sizes.items()}
-            if b.parent < 0 or b.kind == "heavy":
-                row["phi"] = potential(sizes, vars_, n)
+            row["phi"] = potential(sizes, vars_, n)
             b.inst, b.bounds = close_bounds(stats, b.inst, b.bounds, vars_)
         row["n_relations"] = len(b.inst.relations)
         if (leaf := stop(set(b.inst.relations))) is not None:
-            row["outcome"] = "leaf"
-            run.leaves.append((leaf, b.inst))
-            if early and early(leaf, b.inst):
-                break
-            continue
+            return row | {"outcome": "leaf"}, [], leaf
         if b.depth >= options.max_depth:
             raise RuntimeError(f"branch {b.number} is {b.depth} deep; trace: {run.trace[-5:]}")
         d = lowest_defect(b.bounds, preference(options, bags, b.inst.sizes))
@@ -156,14 +150,15 @@ def explore(q: ConjunctiveQuery, inst: Instance, stats: Statistics | None, optio
         limit = int(theta * run.fanout)
         row |= {"outcome": "split", "x": show(d.x), "y": show(d.y), "w": show(d.w), "c_size": float(d.value), "c_log": math.log(d.value) / math.log(max(n, 2)), "theta": float(theta), "threshold": limit}
         rx, ry = b.inst.relations[d.x], b.inst.relations[d.y]
-        heavy, light = None, ry
-        if d.w and options.split:
-            heavy, light = heavy_light(ry, d.w, limit)
-            heavy = keep(heavy)
-            found = count_all({"heavy": heavy, "y": ry} if d.y not in b.inst.sizes else {"heavy": heavy})
-            row["n_heavy"], row["heavy_bound"] = found["heavy"], float(Fraction(found.get("y", b.inst.sizes.get(d.y, 0))) / max(limit, 1))
-            if not found["heavy"]:
-                heavy, light = None, ry
+        heavy, light, children = None, ry, []
+        if d.w and d.w != d.y and options.split:
+            keys, _ = heavy_light(ry, d.w, limit)
+            keys, row["n_heavy"] = keep_counted(keys)
+            if d.y not in b.inst.sizes:
+                b.inst.sizes[d.y] = count_all({0: ry})[0]
+            row["heavy_bound"] = b.inst.sizes[d.y] / max(limit, 1)
+            if row["n_heavy"]:
+                heavy, light = keys, ry.join(keys, columns(d.w), "left_anti").select(ry.columns)
         parts = [light]
         if options.light_mode == "separate" and d.w:
             numbered = keep(equal_degree_parts(light, d.w, int(theta)))
@@ -171,34 +166,43 @@ def explore(q: ConjunctiveQuery, inst: Instance, stats: Statistics | None, optio
             parts = [numbered.filter(F.col("__part") == i).drop("__part") for i in range(k)]
         union = d.x | d.y
         total, largest = 0, 0
-        closed = None
         for part in parts:
             child = b.inst.copy()
             if union in child.relations:  # never rebuilt, only filtered by both sides
                 own = semijoin(semijoin(child.relations[union], rx), part)
             else:
                 own = natural_join(rx, part)
-            own = keep(own)
-            child.relations[union] = own
-            size = count_all({0: own})[0]
+            child.relations[union], size = keep_counted(own)
             child.sizes[union] = size
             total, largest = total + size, max(largest, size)
             if size:
-                lowered = b.bounds | {union: d.value}
-                after, closed = close_bounds(stats, child, lowered, vars_)
-                queue.append(Branch(made, b.number, "light", after, closed, b.depth + 1))
-                made += 1
+                children.append(("light", *close_bounds(stats, child, b.bounds | {union: d.value}, vars_)))
         slack = 1 if options.light_mode == "separate" or not d.w else run.fanout
         row |= {"n_rows": total, "row_bound": float(d.value * slack), "ok": largest <= d.value * slack}
         if heavy is not None:
             child = b.inst.copy()
             child.augment(d.w, heavy)
-            child.relations[d.w] = keep(child.relations[d.w])
+            child.relations[d.w] = heavy if d.w not in b.inst.relations else keep(child.relations[d.w])
             if options.heavy_reduce:
-                child.relations[d.y] = keep(semijoin(ry, child.relations[d.w]))
-                child.sizes.pop(d.y, None)
-            queue.append(Branch(made, b.number, "heavy", child, None, b.depth + 1))
-            made += 1
+                child.relations[d.y], child.sizes[d.y] = keep_counted(semijoin(ry, child.relations[d.w]))
+            children.append(("heavy", child, None))
+        return row, children, None
+
+    # branches of one depth do not depend on each other: their small jobs run side by side
+    wave, made = [Branch(0, -1, "root", inst, bounds, 0)], 1
+    with ThreadPoolExecutor(options.parallel) as pool:
+        while wave:
+            after = []
+            for b, (row, children, leaf) in zip(wave, list(pool.map(step, wave)), strict=True):
+                run.trace.append(row)
+                if leaf is not None:
+                    run.leaves.append((leaf, b.inst))
+                    if early and early(leaf, b.inst):
+                        return run
+                for kind, child, lowered in children:
+                    after.append(Branch(made, b.number, kind, child, lowered, b.depth + 1))
+                    made += 1
+            wave = after
     return run
 
 

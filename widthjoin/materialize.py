@@ -10,7 +10,7 @@ from __future__ import annotations
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 
@@ -32,6 +32,13 @@ def keep(df: DataFrame) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def keep_counted(df: DataFrame) -> tuple[DataFrame, int]:
+    """keep(), and the number of rows, observed by the job that writes."""
+    seen = Observation()
+    out = keep(df.observe(seen, F.count(F.lit(1)).alias("n")))
+    return out, seen.get["n"]
+
+
 def count_all(frames: dict) -> dict:
     """Row counts of several DataFrames, one job."""
     if not frames:
