@@ -172,6 +172,8 @@ def revisits(pages: DataFrame, min_bytes: int = MIN_REVISIT) -> DataFrame:
     d = pages.withColumn("body", F.encode(F.coalesce("html", F.lit("")), "UTF-8"))
     d = d.withColumn("sha", F.when(F.length("body") >= min_bytes, F.sha1("body"))).drop("body")
     last = d.filter("sha IS NOT NULL").groupBy("sha").agg(F.max("page_id").alias("last"), F.count(F.lit(1)).alias("n")).filter("n > 1").select(F.col("sha").alias("sha_of"), "last")
+    # rows without a digest find no partner; a key of their own keeps them from meeting in one task
+    d = d.withColumn("sha", F.coalesce("sha", F.concat(F.lit("-"), F.coalesce(F.col("page_id").cast("string"), F.col("url"), F.lit("")))))
     return d.join(last, d.sha == last.sha_of, "left").select("page_id", "url", "html", F.when(~F.col("page_id").eqNullSafe(F.col("last")), F.col("last")).alias("target"))
 
 
@@ -201,7 +203,8 @@ def read_warc(spark, path: str) -> DataFrame:
                     if not revisit and hashlib.sha1(payload).hexdigest() != sha1:
                         raise ValueError(f"payload digest of {head['warc-record-id']} does not match")
                     rows.append((head["warc-type"], head["warc-record-id"], head["warc-date"], head["warc-target-uri"], sha1, head.get("warc-refers-to"), None if page is None else int(page), int(size or 0) if revisit else len(payload), None if revisit else payload))
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), kinds, strict=True)], names=names)
+                cols = zip(*rows, strict=True) if rows else [()] * len(kinds)
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds, strict=True)], names=names)
 
     kinds = [pa.string()] * 6 + [pa.int64()] * 2 + [pa.binary()]
     names = ["record_type", "record_id", "date", "url", "payload_digest", "refers_to_id", "page_id", "payload_bytes", "payload"]
