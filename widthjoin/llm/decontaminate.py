@@ -8,8 +8,8 @@ reaches a share of the passage's energy; a candidate is a leak if the longest
 common subsequence of words covers enough of the passage, or somewhat less of it
 and the passage's answer stands in the window.
 
-All windows of all rows are searched; those whose benchmark vocabulary weighs
-less than MIN_WEIGHT of the lightest passage are not projected. Null or empty text or item: no windows, no passages. Items
+All windows of all rows are searched; those that share less than MIN_SHARE of the
+energy of every passage's selective words are not projected. Null or empty text or item: no windows, no passages. Items
 without a letter or digit match nothing. Repeated rows and items are reported as
 one pair. An empty benchmark or table gives an empty result.
 """
@@ -31,7 +31,9 @@ WINDOW, STRIDE = 64, 32
 RANK, OVERSAMPLE, POWERS = 128, 16, 2
 #: Hashed dimensions of TF-IDF vectors; the projection is a table of DIMS x RANK, whatever the corpus.
 DIMS, GROUP = 1 << 15, 1 << 9
-MIN_COSINE, MIN_ENERGY, MIN_WEIGHT = 0.3, 0.5, 0.1
+MIN_COSINE, MIN_ENERGY = 0.3, 0.5
+#: Words in at most one document of twenty or so (inverse document frequency, natural logarithm) are selective; a window is projected if it shares so much of a passage's energy in them.
+SELECTIVE, MIN_SHARE = 3.0, 0.3
 #: Covered share of a passage's words, without and with its answer in the window. Answers: the last ANSWER words of a passage, where the benchmark states none.
 MIN_COVER, MIN_COVER_ANSWER, ANSWER = 0.8, 0.6, 4
 #: Benchmark passages a broadcast block holds; longer benchmarks are searched block by block.
@@ -43,32 +45,37 @@ def normal(names: pa.Array) -> pa.Array:
     return pc.replace_substring_regex(pc.utf8_lower(names.cast(pa.string())), r"[^\p{L}\p{N}]+", "")
 
 
-def terms(text: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Offsets, and each word's 64-bit hash after normal(); words that it empties are left out. Also the local index of each word."""
+def terms(text: pa.Array, vocabulary: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """Offsets, and each word's place in the vocabulary, -1 where it has none; words that normal() empties are left out."""
     offs, flat = words(text)
     ids, names = coded(flat)
     n = normal(names)
-    own = hashes(n)
-    full = pc.greater(pc.binary_length(n), 0).to_numpy(zero_copy_only=False).astype(bool)
-    keep = full[ids] if len(ids) else np.zeros(0, bool)
-    return np.concatenate([[0], np.cumsum(keep)])[offs], own[ids[keep]] if len(ids) else np.zeros(0, np.uint64), keep
-
-
-def passages(items: list[tuple]) -> list[tuple[int, int, np.ndarray, np.ndarray]]:
-    """(item, number, hashes of words, of the answer): items cut into even parts of at most STRIDE words."""
+    place = pc.fill_null(pc.index_in(n, vocabulary), -1).to_numpy(zero_copy_only=False).astype(np.int32)
+    place[pc.equal(pc.binary_length(n), 0).to_numpy(zero_copy_only=False).astype(bool)] = -2
+    own = place[ids] if len(ids) else np.zeros(0, np.int32)
+    if (own == -2).any():
+        keep = own != -2
+        return np.concatenate([[0], np.cumsum(keep)])[offs], own[keep]
+    return offs, own
+
+
+def passages(items: list[tuple]) -> tuple[pa.Array, list[tuple[int, np.ndarray, np.ndarray]]]:
+    """The benchmark's words, and (item, words, answer's words) of passages: items cut into even parts of at most STRIDE words."""
+    texts = pa.array([t or "" for _, t, _ in items] + [a or "" for *_, a in items], pa.large_string())
+    vocabulary = normal(words(texts)[1]).unique()
+    vocabulary = vocabulary.filter(pc.greater(pc.binary_length(vocabulary), 0))
+    offs, own = terms(texts, vocabulary)
     out = []
-    for item, text, answer in items:
-        w = terms(pa.array([text or ""], pa.large_string()))[1]
-        a = terms(pa.array([answer or ""], pa.large_string()))[1]
+    for i, (item, *_) in enumerate(items):
+        w, a = own[offs[i] : offs[i + 1]], own[offs[len(items) + i] : offs[len(items) + i + 1]]
         parts = -(-len(w) // STRIDE)
-        cuts = [len(w) * k // parts for k in range(parts + 1)] if parts else [0]
         for k in range(parts):
-            own = w[cuts[k] : cuts[k + 1]]
-            out.append((item, k, own, a if len(a) else own[-ANSWER:]))
-    return out
+            p = w[len(w) * k // parts : len(w) * (k + 1) // parts]
+            out.append((item, p, a if len(a) else p[-ANSWER:]))
+    return vocabulary, out
 
 
-def document_frequencies(documents: DataFrame, vocabulary: np.ndarray) -> tuple[np.ndarray, int]:
+def document_frequencies(documents: DataFrame, vocabulary: pa.Array) -> tuple[np.ndarray, int]:
     """Documents with each benchmark word, and all documents. One pass; a task sends one number a word."""
     shared = documents.sparkSession.sparkContext.broadcast(vocabulary)
 
@@ -76,15 +83,18 @@ def document_frequencies(documents: DataFrame, vocabulary: np.ndarray) -> tuple[
         v = shared.value
         df, n = np.zeros(len(v), np.int64), 0
         for b in pieces(batches):
-            offs, h, _ = terms(b.column(0))
-            at = np.searchsorted(v, h)
-            at[at == len(v)] = 0
-            hit = v[at] == h
-            row = np.repeat(np.arange(len(offs) - 1), np.diff(offs))[hit]
-            df += np.bincount(np.unique(row * len(v) + at[hit]) % len(v), minlength=len(v))
+            offs, own = terms(b.column(0), v)
+            row = np.repeat(np.arange(len(offs) - 1), np.diff(offs))[own >= 0]
+            key = row * len(v) + own[own >= 0]
+            seen = np.zeros((len(offs) - 1) * len(v), bool) if (len(offs) - 1) * len(v) <= 1 << 26 else None
+            if seen is not None:  # a bit map is faster than sorting
+                seen[key] = True
+                df += seen.reshape(-1, len(v)).sum(0)
+            else:
+                df += np.bincount(np.unique(key) % len(v), minlength=len(v))
             n += len(offs) - 1
-        seen = np.flatnonzero(df)
-        yield pa.RecordBatch.from_arrays([pa.array(np.append(seen, -1)), pa.array(np.append(df[seen], n))], names=["term", "n"])
+        some = np.flatnonzero(df)
+        yield pa.RecordBatch.from_arrays([pa.array(np.append(some, -1)), pa.array(np.append(df[some], n))], names=["term", "n"])
 
     rows = documents.select("text").mapInArrow(count, "term long, n long").groupBy("term").agg(F.sum("n").alias("n")).collect()
     df, total = np.zeros(len(vocabulary), np.int64), 0
@@ -96,8 +106,49 @@ def document_frequencies(documents: DataFrame, vocabulary: np.ndarray) -> tuple[
     return df, total
 
 
-def folded(h: np.ndarray, dims: int = DIMS) -> np.ndarray:
-    return (h % np.uint64(dims)).astype(np.int64)
+def folded(vocabulary: pa.Array, dims: int = DIMS) -> np.ndarray:
+    return (hashes(vocabulary) % np.uint64(dims)).astype(np.int64)
+
+
+def postings(own: list, idf: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """By word: start of its passages, and these; and each passage's energy in them. Only selective words count, or all words
+    of a passage that has too little energy in selective ones."""
+    pairs, energy = [], np.zeros(len(own))
+    for i, (_, w, _) in enumerate(own):
+        rare = w[idf[w] >= SELECTIVE]
+        use = rare if (idf[rare] ** 2).sum() >= MIN_ENERGY * (idf[w] ** 2).sum() else w
+        energy[i] = (idf[use] ** 2).sum()
+        pairs += [(x, i) for x in np.unique(use).tolist()]
+    pairs.sort()
+    term = np.array([t for t, _ in pairs], np.int64)
+    return np.searchsorted(term, np.arange(len(idf) + 1)), np.array([p for _, p in pairs], np.int64), energy
+
+
+def sharing(own: np.ndarray, offs: np.ndarray, first: np.ndarray, many: np.ndarray, idf: np.ndarray, index: tuple) -> np.ndarray:
+    """Windows (numbered through all rows) that share MIN_SHARE of some passage's energy in selective words. A window is two blocks of STRIDE words."""
+    starts, lists, energy = index
+    n = starts[1:] - starts[:-1]
+    at = np.flatnonzero(own >= 0)
+    at = at[n[own[at]] > 0]
+    row = np.searchsorted(offs, at, "right") - 1
+    block = (at - offs[row]) // STRIDE
+    word = own[at]
+    # a word lies in the window that its block opens and in the one before
+    window = np.concatenate([first[row] + np.minimum(block, many[row] - 1), first[row] + block - 1])
+    good = np.concatenate([np.ones(len(at), bool), (block > 0) & (block < many[row])])
+    word = np.concatenate([word, word])[good]
+    window = window[good]
+    times = n[word]
+    where = np.repeat(starts[word] - np.concatenate([[0], np.cumsum(times)])[:-1], times) + np.arange(times.sum())
+    key = np.repeat(window, times) * len(energy) + lists[where]
+    order = np.argsort(key)
+    key = key[order]
+    if not len(key):
+        return key
+    cut = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
+    total = np.add.reduceat(np.repeat(idf[word] ** 2, times)[order], cut)
+    key = key[cut]
+    return np.unique(key[total >= MIN_SHARE * energy[key % len(energy)]] // len(energy))
 
 
 def randomised_svd(rows: DataFrame, rank: int, dims: int = DIMS, oversample: int = OVERSAMPLE, powers: int = POWERS, seed: int = 7) -> np.ndarray:
@@ -176,62 +227,55 @@ def leaks(documents: DataFrame, benchmark: DataFrame, min_cosine: float = MIN_CO
     return out.groupBy("doc_id", "item_id").agg(F.max("cosine").alias("cosine"), F.max("cover").alias("cover"))
 
 
-def search(spark, docs: DataFrame, own: list, min_cosine: float, rank: int) -> DataFrame:
+def search(spark, docs: DataFrame, bench: tuple, min_cosine: float, rank: int) -> DataFrame:
     schema = "doc_id long, item_id long, cosine double, cover double"
+    vocabulary, own = bench
     if not own:
         return spark.createDataFrame([], schema)
-    vocabulary = np.unique(np.concatenate([p[2] for p in own]))
     df, total = document_frequencies(docs, vocabulary)
     idf = np.log((total + 1.0) / (df + 1.0)) + 0.1
+    place = folded(vocabulary)
     rows = []
-    for i, (_, _, w, _) in enumerate(own):
-        k = np.searchsorted(vocabulary, w)
-        d, inv = np.unique(folded(w), return_inverse=True)
-        rows.append((i, d.tolist(), np.bincount(inv, weights=idf[k]).tolist()))
+    for i, (_, w, _) in enumerate(own):
+        d, inv = np.unique(place[w], return_inverse=True)
+        rows.append((i, d.tolist(), np.bincount(inv, weights=idf[w]).tolist()))
     matrix = spark.createDataFrame(rows, "passage long, dims array<long>, weights array<double>")
     directions = randomised_svd(matrix, min(rank, len(rows)))
     latent = np.stack([np.asarray(w, np.float32) @ directions[d] for _, d, w in rows])
     norm = np.maximum(np.sqrt(np.square(latent).sum(1)), 1e-9)
-    lightest = float(min(np.square(w).sum() for _, _, w in rows))
-    table = (directions[folded(vocabulary)] * idf[:, None]).astype(np.float32)  # words x rank
-    shared = spark.sparkContext.broadcast((vocabulary, idf, table, latent, norm, own))
+    table = (directions[place] * idf[:, None]).astype(np.float32)  # words x rank
+    shared = spark.sparkContext.broadcast((vocabulary, idf, table, latent, norm, own, postings(own, idf)))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        vocabulary, idf, table, latent, norm, own = shared.value
+        vocabulary, idf, table, latent, norm, own, index = shared.value
         for b in pieces(batches):
             ids = b.column(b.schema.get_field_index("doc_id")).to_pylist()
-            offs, h, _ = terms(b.column(b.schema.get_field_index("text")))
-            at = np.searchsorted(vocabulary, h)
-            at[at == len(vocabulary)] = 0
-            hit = vocabulary[at] == h
-            inside = np.concatenate([[0.0], np.cumsum(np.where(hit, idf[at] ** 2, 0.0))])
+            offs, h = terms(b.column(b.schema.get_field_index("text")), vocabulary)
             size = np.diff(offs)
-            many = np.where(size > 0, np.maximum(1, -(-(size - WINDOW) // STRIDE) + 1), 0)
-            row = np.repeat(np.arange(len(size)), many)
-            k = np.arange(len(row)) - np.repeat(np.concatenate([[0], np.cumsum(many)])[:-1], many)
-            begin = offs[row] + k * STRIDE
+            many = np.where(size > 0, np.maximum(1, -(-size // STRIDE) - 1), 0)
+            first = np.concatenate([[0], np.cumsum(many)])
+            able = sharing(h, offs, first[:-1], many, idf, index)
+            row = np.searchsorted(first, able, "right") - 1
+            begin = offs[row] + (able - first[row]) * STRIDE
             end = np.minimum(begin + WINDOW, offs[row + 1])
-            able = np.flatnonzero(inside[end] - inside[begin] >= MIN_WEIGHT * lightest)
             found = []
-            for first in range(0, len(able), 4096):
-                w = able[first : first + 4096]
-                n = end[w] - begin[w]
-                flat = np.repeat(begin[w] - np.concatenate([[0], np.cumsum(n)])[:-1], n) + np.arange(n.sum())
-                own_row = np.repeat(np.arange(len(w)), n)
-                good = hit[flat]
-                vec = np.zeros((len(w), table.shape[1]), np.float32)
-                if good.any():
-                    g, r = table[at[flat[good]]], own_row[good]
-                    starts = np.flatnonzero(np.concatenate([[True], r[1:] != r[:-1]]))
-                    vec[r[starts]] = np.add.reduceat(g, starts)
+            for at in range(0, len(able), 2048):
+                x, y, r0 = begin[at : at + 2048], end[at : at + 2048], row[at : at + 2048]
+                n = y - x
+                flat = np.repeat(x - np.concatenate([[0], np.cumsum(n)])[:-1], n) + np.arange(n.sum())
+                r = np.repeat(np.arange(len(x)), n)[h[flat] >= 0]
+                g = table[h[flat][h[flat] >= 0]]
+                vec = np.zeros((len(x), table.shape[1]), np.float32)
+                starts = np.flatnonzero(np.concatenate([[True], r[1:] != r[:-1]]))
+                vec[r[starts]] = np.add.reduceat(g, starts)
                 dot = vec @ latent.T
                 cosine = dot / np.maximum(np.sqrt(np.square(vec).sum(1)), 1e-9)[:, None] / norm
                 for i, j in zip(*np.nonzero((cosine >= min_cosine) & (dot >= MIN_ENERGY * norm**2)), strict=True):
-                    _, _, p, answer = own[j]
-                    window = h[begin[w[i]] : end[w[i]]]
+                    item, p, answer = own[j]
+                    window = h[x[i] : y[i]]
                     cover = lcs(p, window) / len(p)
                     if cover >= MIN_COVER or (cover >= MIN_COVER_ANSWER and holds(window, answer)):
-                        found.append((ids[row[w[i]]], own[j][0], float(cosine[i, j]), cover))
+                        found.append((ids[r0[i]], item, float(cosine[i, j]), cover))
             if found:
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*found, strict=True), (pa.int64(), pa.int64(), pa.float64(), pa.float64()), strict=True)], names=["doc_id", "item_id", "cosine", "cover"])
 
