@@ -1 +1 @@
-
+"""Streams of edges: windows, maintained degrees, and answers by delta."""
