@@ -19,7 +19,7 @@ count by their largest value. Only id, text and label are read.
 from __future__ import annotations
 
 import math
-from collections import Counter, defaultdict
+from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -170,19 +170,27 @@ def chains(offs: np.ndarray, em: np.ndarray, start: np.ndarray, move: np.ndarray
     return out, logz
 
 
-def explained(token_sets: list[set[str]], toxic: np.ndarray) -> set[str]:
-    """Chosen features: whole words "=x" and prefixes "x"."""
-    docs: dict[str, list[int]] = defaultdict(list)
+def parts_of(words_: set[str]) -> set[str]:
+    return {f"={w}" for w in words_} | {w[:k] for w in words_ for k in PREFIXES if len(w) >= k}
+
+
+def explained(texts: list[str], toxic: np.ndarray) -> set[str]:
+    """Chosen features: whole words "=x" and prefixes "x". Counts of other documents are kept only for what toxic ones have often."""
+    least = max(MIN_GAIN, MIN_SHARE * int(toxic.sum()))
+    often: Counter = Counter()
+    for own in distinct([texts[i] for i in np.flatnonzero(toxic)]):
+        often.update(parts_of(own))
+    docs: dict[str, set[int]] = {f: set() for f, n in often.items() if n >= least}
+    del often
     clean: Counter = Counter()
-    for i, s in enumerate(token_sets):
-        own = {f"={w}" for w in s} | {w[:k] for w in s for k in PREFIXES if len(w) >= k}
+    for i, own in enumerate(distinct(texts)):
+        own = parts_of(own) & docs.keys()
         if toxic[i]:
             for f in own:
-                docs[f].append(i)
+                docs[f].add(i)
         else:
             clean.update(own)
-    least = max(MIN_GAIN, MIN_SHARE * int(toxic.sum()))
-    cand = {f: set(v) for f, v in docs.items() if len(v) >= least and len(v) >= MIN_PURITY * (len(v) + clean[f])}
+    cand = {f: v for f, v in docs.items() if len(v) >= MIN_PURITY * (len(v) + clean[f])}
     chosen: set[str] = set()
     left = set(np.flatnonzero(toxic).tolist())
     while cand:
@@ -202,7 +210,7 @@ def train(rows: list[tuple[str, int]], dims: int = DIMS, rounds: int = 20, rate:
     zero = Model(np.zeros(dims, np.float32), 0.0, np.zeros(2), np.zeros((2, 2)), np.zeros(3), float(toxic.mean()) if len(rows) else 0.0)
     if not toxic.any() or toxic.all():
         return zero
-    chosen = explained([distinct(t or "") for t, _ in rows], toxic)
+    chosen = explained([t or "" for t, _ in rows], toxic)
     if not chosen:
         return zero
     fit = np.flatnonzero(toxic | (np.cumsum(~toxic) <= FIT_CLEAN))
@@ -250,8 +258,14 @@ def train(rows: list[tuple[str, int]], dims: int = DIMS, rounds: int = 20, rate:
     return model
 
 
-def distinct(text: str) -> set[str]:
-    return set(normal(words(pa.array([text], pa.large_string()))[1].unique()).to_pylist()) - {""}
+def distinct(texts: list[str], step: int = 500) -> Iterator[set[str]]:
+    """Distinct normal words of each text, some texts at a time."""
+    for at in range(0, len(texts), step):
+        offs, flat = words(pa.array(texts[at : at + step], pa.large_string()))
+        ids, names = coded(flat)
+        own = normal(names).to_pylist()
+        for a, b in zip(offs[:-1], offs[1:], strict=True):
+            yield {own[i] for i in np.unique(ids[a:b])} - {""}
 
 
 def aggregates(p: np.ndarray, offs: np.ndarray) -> np.ndarray:
