@@ -14,7 +14,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: An Arrow batch is cut into pieces of at most this many bytes of text (one row may be longer).
-SLICE_BYTES = 12 << 20
+SLICE_BYTES = 6 << 20
 #: Rows of ids or of small fixed-size entries that may be broadcast, after counting them.
 BROADCAST_ROWS = 1_000_000
 UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"

@@ -36,6 +36,8 @@ MIN_COSINE, MIN_ENERGY = 0.3, 0.5
 SELECTIVE, MIN_SHARE = 3.0, 0.3
 #: Covered share of a passage's words, without and with its answer in the window. Answers: the last ANSWER words of a passage, where the benchmark states none.
 MIN_COVER, MIN_COVER_ANSWER, ANSWER = 0.8, 0.6, 4
+#: Bytes of text searched at once: each selective word is written out for each passage that has it.
+SLICE = 3 << 20
 #: Benchmark passages a broadcast block holds; longer benchmarks are searched block by block.
 BLOCK = 20_000
 
@@ -82,7 +84,7 @@ def document_frequencies(documents: DataFrame, vocabulary: pa.Array) -> tuple[np
     def count(batches):
         v = shared.value
         df, n = np.zeros(len(v), np.int64), 0
-        for b in pieces(batches):
+        for b in pieces(batches, most=SLICE):
             offs, own = terms(b.column(0), v)
             row = np.repeat(np.arange(len(offs) - 1), np.diff(offs))[own >= 0]
             key = row * len(v) + own[own >= 0]
@@ -248,7 +250,7 @@ def search(spark, docs: DataFrame, bench: tuple, min_cosine: float, rank: int) -
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         vocabulary, idf, table, latent, norm, own, index = shared.value
-        for b in pieces(batches):
+        for b in pieces(batches, most=SLICE):
             ids = b.column(b.schema.get_field_index("doc_id")).to_pylist()
             offs, h = terms(b.column(b.schema.get_field_index("text")), vocabulary)
             size = np.diff(offs)
