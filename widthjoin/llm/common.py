@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -66,6 +67,17 @@ def pieces(batches: Iterator[pa.RecordBatch], column: str = "text", most: int =
             to = max(at + 1, int(np.searchsorted(size, (size[at - 1] if at else 0) + most, "right")))
             yield b.slice(at, to - at)
             at = to
+        del b, text, size
+        trim()
+
+
+def trim() -> None:
+    """Give freed memory back to the system: workers live on between stages, and would keep their peaks."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
 
 
 def words(text: pa.Array, lower: bool = False) -> tuple[np.ndarray, pa.Array]:
