@@ -56,7 +56,9 @@ def labelled_sample(documents: DataFrame, text: str = "text", id: str = "doc_id"
     r = documents.sparkSession.range(n_random).select(F.sha2(F.concat(F.lit("random-"), F.col("id").cast("string")), 256).alias("h"))
     b64 = F.base64(F.unhex("h"))
     random = r.select(F.explode(F.array(b64, F.substring(F.translate(b64, "+/=", "xYz"), 1, 40), F.substring("h", 1, 40), F.substring(F.upper(F.translate(b64, "+/=", "Q7A")), 1, 24))).alias("value")).withColumn("is_random", F.lit(True))
-    docs = documents.select(F.col(f"`{id}`").alias("i"), F.col(f"`{text}`").alias("t")).orderBy(F.xxhash64("i"), "i").limit(n_docs)
+    # ids alone are sorted; texts of the chosen ones follow, one an id
+    ids = documents.select(F.col(f"`{id}`").alias("chosen")).dropna().distinct().orderBy(F.xxhash64("chosen"), "chosen").limit(n_docs)
+    docs = documents.select(F.col(f"`{id}`").alias("i"), F.col(f"`{text}`").alias("t")).join(F.broadcast(ids), F.col("i") == F.col("chosen")).groupBy("i").agg(F.min("t").alias("t"))
     w = docs.select(F.explode(F.array_distinct(F.regexp_extract_all("t", F.lit("([A-Za-z]{4,})"), 1))).alias("w")).distinct()
     camel = F.concat("w", F.initcap(F.reverse("w")))
     ordinary = w.select(F.explode(F.array(F.col("w"), camel, F.concat_ws("_", "w", F.lower("w")), F.concat_ws("-", F.lower("w"), "w"))).alias("value"))
