@@ -33,8 +33,8 @@ from pyspark.sql import functions as F
 
 from .common import coded, hashes, mixed, pieces, save, words
 
-#: Bytes of text in a chunk at most (one text may be longer), and partitions of the tables.
-CHUNK_BYTES = 12 << 20
+#: Bytes of text in a chunk at most (one text may be longer).
+CHUNK_BYTES = 8 << 20
 #: Good-Turing discounts apply to counts up to this.
 TOP = 5
 END = np.uint64(0x9D39247E33776D41)  # hash of the end token
