@@ -378,6 +378,33 @@ def test_leaks_verbatim_paraphrased_and_clean(spark):
     assert decontaminate.leaks(empty(spark), bench).count() == 0 and decontaminate.leaks(clashing(spark, docs), bench.limit(0)).count() == 0
 
 
+def test_leaks_among_thousands_of_items_against_brute_force(spark):
+    r = random.Random(5)
+    vocab = [f"v{i}" for i in range(3000)]
+    line = lambda n: [r.choice(vocab[:60] if r.random() < 0.4 else vocab) for _ in range(n)]
+    items = [(i, " ".join(line(r.randint(12, 32)))) for i in range(2000)]
+    docs = []
+    for i in range(60):
+        leak = items[r.randrange(2000)][1].split()
+        for k in range(len(leak)):
+            leak[k] = r.choice(vocab) if r.random() < 0.3 * (i % 3) / 2 else leak[k]
+        docs.append((i, " ".join(line(r.randint(0, 90)) + leak + line(r.randint(0, 90))), "en", "s", 1))
+    expected = set()
+    number = {w: i for i, w in enumerate(vocab)}
+    own = [np.array([number[w] for w in t.split()]) for _, t in items]
+    for i, t, *_ in docs:
+        w = np.array([number[x] for x in t.split()])
+        for at in range(0, max(1, -(-len(w) // 32) - 1) * 32, 32):
+            window = w[at : at + 64]
+            has = set(window.tolist())
+            for j, p in enumerate(own):
+                c = decontaminate.lcs(p, window) / len(p) if sum(x in has for x in p.tolist()) >= 0.6 * len(p) else 0
+                if c >= 0.8 or (c >= 0.6 and decontaminate.holds(window, p[-4:])):
+                    expected.add((i, j))
+    got = {(x["doc_id"], x["item_id"]) for x in decontaminate.leaks(spark.createDataFrame(docs, SCHEMA), spark.createDataFrame(items, "item_id long, text string")).collect()}
+    assert got == expected and len(expected) >= 40
+
+
 @given(st.lists(st.integers(0, 4), max_size=12), st.lists(st.integers(0, 4), max_size=12))
 @settings(max_examples=80, deadline=None)
 def test_lcs_against_dynamic_programming(a, b):

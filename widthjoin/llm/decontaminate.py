@@ -3,13 +3,14 @@
 Benchmark items are cut into passages. Their TF-IDF matrix, with document
 frequencies of the whole corpus, gets a distributed randomised SVD; passages and
 windows of documents are projected on its singular directions. A window is a
-candidate for a passage if their latent cosine passes a limit and its projection
-reaches a share of the passage's energy; a candidate is a leak if the longest
-common subsequence of words covers enough of the passage, or somewhat less of it
-and the passage's answer stands in the window.
-
-All windows of all rows are searched; those that share less than MIN_SHARE of the
-energy of every passage's selective words are not projected. Null or empty text or item: no windows, no passages. Items
+candidate for a passage if it has so many of the passage's words that a leak is
+possible at all, whatever its latent cosine, which is reported; a candidate is a
+leak if the longest common subsequence of words covers enough of the passage, or
+somewhat less of it and the passage's answer stands in the window.
+
+All windows of all rows are searched. A leak lacks few of a passage's words, so
+that it has some of the passage's rarest ones: only these are looked up, and no
+pair that the subsequence check would accept is left out before it. Null or empty text or item: no windows, no passages. Items
 without a letter or digit match nothing. Repeated rows and items are reported as
 one pair. An empty benchmark or table gives an empty result.
 """
@@ -31,13 +32,14 @@ WINDOW, STRIDE = 64, 32
 RANK, OVERSAMPLE, POWERS = 128, 16, 2
 #: Hashed dimensions of TF-IDF vectors; the projection is a table of DIMS x RANK, whatever the corpus.
 DIMS, GROUP = 1 << 15, 1 << 9
-MIN_COSINE, MIN_ENERGY = 0.3, 0.5
-#: Words in at most one document of twenty or so (inverse document frequency, natural logarithm) are selective; a window is projected if it shares so much of a passage's energy in them.
-SELECTIVE, MIN_SHARE = 3.0, 0.3
+#: Words in at most one document of twenty or so (inverse document frequency, natural logarithm) are selective.
+SELECTIVE = 3.0
 #: Covered share of a passage's words, without and with its answer in the window. Answers: the last ANSWER words of a passage, where the benchmark states none.
 MIN_COVER, MIN_COVER_ANSWER, ANSWER = 0.8, 0.6, 4
 #: Bytes of text searched at once: each selective word is written out for each passage that has it.
 SLICE = 3 << 20
+#: Looked-up words written out at once.
+EXPANDED = 4 << 20
 #: Benchmark passages a broadcast block holds; longer benchmarks are searched block by block.
 BLOCK = 20_000
 
@@ -112,23 +114,35 @@ def folded(vocabulary: pa.Array, dims: int = DIMS) -> np.ndarray:
     return (hashes(vocabulary) % np.uint64(dims)).astype(np.int64)
 
 
+def needed(n: int, share: float) -> int:
+    """The least number of a passage's n words that covers the share."""
+    return next(k for k in range(n + 1) if k / n >= share)
+
+
 def postings(own: list, idf: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """By word: start of its passages, and these; and each passage's energy in them. Only selective words count, or all words
-    of a passage that has too little energy in selective ones."""
-    pairs, energy = [], np.zeros(len(own))
+    """By word: start of its passages, and these; and how many looked-up words a window needs for each passage.
+
+    A leak lacks at most `slack` words of a passage, so it has all but `slack` of any of them. Looked up are the
+    passage's selective words, and the next rarest where these are no more than `slack`.
+    """
+    pairs, least = [], np.zeros(len(own), np.int64)
     for i, (_, w, _) in enumerate(own):
-        rare = w[idf[w] >= SELECTIVE]
-        use = rare if (idf[rare] ** 2).sum() >= MIN_ENERGY * (idf[w] ** 2).sum() else w
-        energy[i] = (idf[use] ** 2).sum()
-        pairs += [(x, i) for x in np.unique(use).tolist()]
+        slack = len(w) - min(needed(len(w), MIN_COVER), needed(len(w), MIN_COVER_ANSWER))
+        use = max(slack + 1, int((idf[w] >= SELECTIVE).sum()))
+        least[i] = use - slack
+        pairs += [(x, i) for x in np.unique(w[np.argsort(-idf[w], kind="stable")[:use]]).tolist()]
     pairs.sort()
     term = np.array([t for t, _ in pairs], np.int64)
-    return np.searchsorted(term, np.arange(len(idf) + 1)), np.array([p for _, p in pairs], np.int64), energy
+    return np.searchsorted(term, np.arange(len(idf) + 1)), np.array([p for _, p in pairs], np.int64), least
+
 
+def sharing(own: np.ndarray, offs: np.ndarray, first: np.ndarray, many: np.ndarray, index: tuple) -> tuple[np.ndarray, np.ndarray]:
+    """Pairs of a window (numbered through all rows, ascending) and a passage of which it has enough looked-up words.
 
-def sharing(own: np.ndarray, offs: np.ndarray, first: np.ndarray, many: np.ndarray, idf: np.ndarray, index: tuple) -> np.ndarray:
-    """Windows (numbered through all rows) that share MIN_SHARE of some passage's energy in selective words. A window is two blocks of STRIDE words."""
-    starts, lists, energy = index
+    A window is two blocks of STRIDE words. A passage with a word several times may match as often: its window then
+    needs the word as often too, so each word of the window counts one.
+    """
+    starts, lists, least = index
     n = starts[1:] - starts[:-1]
     at = np.flatnonzero(own >= 0)
     at = at[n[own[at]] > 0]
@@ -140,17 +154,31 @@ def sharing(own: np.ndarray, offs: np.ndarray, first: np.ndarray, many: np.ndarr
     good = np.concatenate([np.ones(len(at), bool), (block > 0) & (block < many[row])])
     word = np.concatenate([word, word])[good]
     window = window[good]
+    found = []
+    order = np.argsort(window, kind="stable")
+    word, window = word[order], window[order]
     times = n[word]
-    where = np.repeat(starts[word] - np.concatenate([[0], np.cumsum(times)])[:-1], times) + np.arange(times.sum())
-    key = np.repeat(window, times) * len(energy) + lists[where]
-    order = np.argsort(key)
-    key = key[order]
-    if not len(key):
-        return key
-    cut = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
-    total = np.add.reduceat(np.repeat(idf[word] ** 2, times)[order], cut)
-    key = key[cut]
-    return np.unique(key[total >= MIN_SHARE * energy[key % len(energy)]] // len(energy))
+    upto = np.cumsum(times)
+    x = 0
+    while x < len(word):  # some windows at once, so that their looked-up pairs take bounded memory
+        y = max(x + 1, int(np.searchsorted(upto, (upto[x - 1] if x else 0) + EXPANDED, "right")))
+        y = int(np.searchsorted(window, window[y - 1], "right"))
+        t = times[x:y]
+        where = np.repeat(starts[word[x:y]] - np.concatenate([[0], np.cumsum(t)])[:-1], t) + np.arange(t.sum())
+        key, total = np.unique(np.repeat(window[x:y], t) * len(least) + lists[where], return_counts=True)
+        found.append(key[total >= least[key % len(least)]])
+        x = y
+    key = np.concatenate(found) if found else np.zeros(0, np.int64)
+    return key // len(least), key % len(least)
+
+
+def common(h: np.ndarray, begin: np.ndarray, end: np.ndarray, passage: np.ndarray, held: np.ndarray, terms: int) -> np.ndarray:
+    """Of each pair: words of the window that stand in the passage. `held` has passage * terms + word of all passages, sorted."""
+    place = begin[:, None] + np.arange(WINDOW)
+    word = np.where(place < end[:, None], h[np.minimum(place, len(h) - 1)], -1)
+    key = np.where(word >= 0, passage[:, None] * terms + word, -1)
+    at = np.minimum(np.searchsorted(held, key), len(held) - 1)
+    return (held[at] == key).sum(1)
 
 
 def randomised_svd(rows: DataFrame, rank: int, dims: int = DIMS, oversample: int = OVERSAMPLE, powers: int = POWERS, seed: int = 7) -> np.ndarray:
@@ -214,8 +242,8 @@ def holds(window: np.ndarray, answer: np.ndarray) -> bool:
     return n > 0 and any((window[k : k + n] == answer).all() for k in np.flatnonzero(window[: len(window) - n + 1] == answer[0]))
 
 
-def leaks(documents: DataFrame, benchmark: DataFrame, min_cosine: float = MIN_COSINE, rank: int = RANK) -> DataFrame:
-    """(doc_id, item_id, cosine, cover): pairs of a document and an item that leaks into it."""
+def leaks(documents: DataFrame, benchmark: DataFrame, rank: int = RANK) -> DataFrame:
+    """(doc_id, item_id, cosine, cover): pairs of a document and an item that leaks into it. No pair is left out for its cosine."""
     spark = documents.sparkSession
     docs = pick(documents, doc_id="long", text="string")
     bench = pick(benchmark, item_id="long", text="string", answer="string")
@@ -224,12 +252,12 @@ def leaks(documents: DataFrame, benchmark: DataFrame, min_cosine: float = MIN_CO
     for at in range(0, max(n, 1), BLOCK):
         block = bench if n <= BLOCK else bench.orderBy("item_id", "text").offset(at).limit(BLOCK)
         items = [(r["item_id"], r["text"], r["answer"]) for r in block.collect()]  # at most BLOCK short texts
-        found = search(spark, docs, passages(items), min_cosine, rank)
+        found = search(spark, docs, passages(items), rank)
         out = found if out is None else out.union(found)
     return out.groupBy("doc_id", "item_id").agg(F.max("cosine").alias("cosine"), F.max("cover").alias("cover"))
 
 
-def search(spark, docs: DataFrame, bench: tuple, min_cosine: float, rank: int) -> DataFrame:
+def search(spark, docs: DataFrame, bench: tuple, rank: int) -> DataFrame:
     schema = "doc_id long, item_id long, cosine double, cover double"
     vocabulary, own = bench
     if not own:
@@ -246,38 +274,33 @@ def search(spark, docs: DataFrame, bench: tuple, min_cosine: float, rank: int) -
     latent = np.stack([np.asarray(w, np.float32) @ directions[d] for _, d, w in rows])
     norm = np.maximum(np.sqrt(np.square(latent).sum(1)), 1e-9)
     table = (directions[place] * idf[:, None]).astype(np.float32)  # words x rank
-    shared = spark.sparkContext.broadcast((vocabulary, idf, table, latent, norm, own, postings(own, idf)))
+    held = np.unique(np.concatenate([i * len(vocabulary) + w.astype(np.int64) for i, (_, w, _) in enumerate(own)]))
+    least = np.array([min(needed(len(w), MIN_COVER), needed(len(w), MIN_COVER_ANSWER)) for _, w, _ in own])
+    shared = spark.sparkContext.broadcast((vocabulary, table, latent, norm, own, postings(own, idf), held, least))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        vocabulary, idf, table, latent, norm, own, index = shared.value
+        vocabulary, table, latent, norm, own, index, held, least = shared.value
         for b in pieces(batches, most=SLICE):
             ids = b.column(b.schema.get_field_index("doc_id")).to_pylist()
             offs, h = terms(b.column(b.schema.get_field_index("text")), vocabulary)
             size = np.diff(offs)
             many = np.where(size > 0, np.maximum(1, -(-size // STRIDE) - 1), 0)
             first = np.concatenate([[0], np.cumsum(many)])
-            able = sharing(h, offs, first[:-1], many, idf, index)
-            row = np.searchsorted(first, able, "right") - 1
-            begin = offs[row] + (able - first[row]) * STRIDE
+            window, passage = sharing(h, offs, first[:-1], many, index)
+            row = np.searchsorted(first, window, "right") - 1
+            begin = offs[row] + (window - first[row]) * STRIDE
             end = np.minimum(begin + WINDOW, offs[row + 1])
             found = []
-            for at in range(0, len(able), 2048):
-                x, y, r0 = begin[at : at + 2048], end[at : at + 2048], row[at : at + 2048]
-                n = y - x
-                flat = np.repeat(x - np.concatenate([[0], np.cumsum(n)])[:-1], n) + np.arange(n.sum())
-                r = np.repeat(np.arange(len(x)), n)[h[flat] >= 0]
-                g = table[h[flat][h[flat] >= 0]]
-                vec = np.zeros((len(x), table.shape[1]), np.float32)
-                starts = np.flatnonzero(np.concatenate([[True], r[1:] != r[:-1]]))
-                vec[r[starts]] = np.add.reduceat(g, starts)
-                dot = vec @ latent.T
-                cosine = dot / np.maximum(np.sqrt(np.square(vec).sum(1)), 1e-9)[:, None] / norm
-                for i, j in zip(*np.nonzero((cosine >= min_cosine) & (dot >= MIN_ENERGY * norm**2)), strict=True):
-                    item, p, answer = own[j]
-                    window = h[x[i] : y[i]]
-                    cover = lcs(p, window) / len(p)
-                    if cover >= MIN_COVER or (cover >= MIN_COVER_ANSWER and holds(window, answer)):
-                        found.append((ids[r0[i]], item, float(cosine[i, j]), cover))
+            for at in range(0, len(window), 4096):
+                x, y, j, r0 = (v[at : at + 4096] for v in (begin, end, passage, row))
+                for k in np.flatnonzero(common(h, x, y, j, held, len(vocabulary)) >= least[j]):
+                    item, p, answer = own[j[k]]
+                    own_words = h[x[k] : y[k]]
+                    cover = lcs(p, own_words) / len(p)
+                    if cover >= MIN_COVER or (cover >= MIN_COVER_ANSWER and holds(own_words, answer)):
+                        vec = table[own_words[own_words >= 0]].sum(0)
+                        cosine = vec @ latent[j[k]] / max(float(np.sqrt(np.square(vec).sum())), 1e-9) / norm[j[k]]
+                        found.append((ids[r0[k]], item, float(cosine), cover))
             if found:
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*found, strict=True), (pa.int64(), pa.int64(), pa.float64(), pa.float64()), strict=True)], names=["doc_id", "item_id", "cosine", "cover"])
 
