@@ -24,7 +24,7 @@ def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Texts without the boilerplate lines of their source; n_chars follows."""
-    out = line_dedup.drop_boilerplate(docs).drop("n_lines", "n_dropped")
+    out = line_dedup.drop_boilerplate(docs, min_pages=line_dedup.REPEATED).drop("n_lines", "n_dropped")
     return out.withColumn("n_chars", F.length("text").cast("long")).select(docs.columns)
 
 

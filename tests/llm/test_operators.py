@@ -11,7 +11,8 @@ import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
-from widthjoin.llm import archives, counts, decontaminate, katz, line_dedup, neardup, packing, quality, secrets, tokens, toxicity
+import corpus_pipeline
+from widthjoin.llm import archives, counts, decontaminate, katz, line_dedup, neardup, packing, quality, queries, secrets, tokens, toxicity
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long"
@@ -147,6 +148,15 @@ def test_secrets_in_plans_without_python(spark):
     assert df.count() == 1 and secrets.secrets_of(empty(spark)).count() == 0
 
 
+def test_line_dedup_query_and_stage_drop_by_ratio_alone(spark, tmp_path):
+    rows = [(i, f"Share this\npage {i}", "en", "s", 1) for i in range(9)] + [(20, "Alone\nonce", "en", "t", 1)] + [(30 + i, f"Share that\nx{i}" if i < 3 else f"x{i}", "en", "u", 1) for i in range(60)]
+    spark.createDataFrame(rows, SCHEMA).write.parquet(f"{tmp_path}/documents.parquet")
+    expected = {i: t if s == "t" or "that" in t else t.split("\n")[-1] for i, t, _, s, _ in rows}
+    assert {r["doc_id"]: r["text"] for r in queries.op5_line_dedup(spark, str(tmp_path)).collect()} == expected
+    stage = corpus_pipeline.line_stage(spark, spark.read.parquet(f"{tmp_path}/documents.parquet"), str(tmp_path))
+    assert {r["doc_id"]: r["text"] for r in stage.collect()} == expected
+
+
 # ---- near duplicates
 
 

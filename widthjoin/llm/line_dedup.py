@@ -20,6 +20,8 @@ from .common import SPACES, ascii_lower, save
 
 #: Lines of more than this share of a host's pages, and of at least MIN_PAGES pages, are boilerplate.
 MAX_RATIO, MIN_PAGES = 0.05, 10
+#: By the ratio alone: a line need only be repeated. The query and the pipeline drop so; ORACLE_SQL and the default still have MIN_PAGES.
+REPEATED = 2
 #: Hosts with boilerplate up to this number are broadcast; beyond it they are joined by salted keys.
 MAX_BROADCAST_HOSTS, SALTS = 20_000, 32
 

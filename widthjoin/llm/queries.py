@@ -61,7 +61,7 @@ def op4_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = pick(table(spark, sf_dir, "documents"), doc_id="long", text="string", source="string")
-    return line_dedup.drop_boilerplate(docs).select("doc_id", "text", "n_lines", "n_dropped")
+    return line_dedup.drop_boilerplate(docs, min_pages=line_dedup.REPEATED).select("doc_id", "text", "n_lines", "n_dropped")
 
 
 def op10_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
