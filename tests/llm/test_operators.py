@@ -217,6 +217,19 @@ def test_sketches_estimate_similarity():
         assert abs((neardup.densified(x, neardup.SKETCH, tries) == neardup.densified(y, neardup.SKETCH, tries)).mean() - j) < 0.08
 
 
+@pytest.mark.parametrize("size", [10, 20, 30, 40])
+def test_sketches_leave_out_no_small_linked_pair(size):
+    g = np.random.default_rng(size)
+    tries, differ = neardup.walk(neardup.SKETCH), int(0.15 * size)
+    least = 0.85 - 5 * (0.85 * 0.15 / neardup.SKETCH) ** 0.5
+    left_out = 0
+    for _ in range(400):
+        x = np.unique(g.integers(0, 1 << 63, size, dtype=np.uint64) * np.uint64(2))
+        y = np.delete(x, g.choice(size, differ, replace=False))  # similarity (size - differ) / size >= 0.85
+        left_out += (neardup.densified(x, neardup.SKETCH, tries) == neardup.densified(y, neardup.SKETCH, tries)).mean() < least
+    assert left_out == 0
+
+
 # ---- toxicity
 
 

@@ -3,7 +3,7 @@
 A document's set is its distinct k-word shingles. Equal sets are one class with
 one representative. Each representative's set is hashed once; each bin keeps its
 least hash, empty bins borrow from a bin that a fixed random walk over the bins
-finds first (densification), and bands of bins are bucket keys. In each bucket
+finds first, each bin by a walk of its own (densification), and bands of bins are bucket keys. In each bucket
 the first member is the centre of a star: members are compared with it on full
 sets, so a bucket of n rows makes n - 1 pairs. Members that end up outside their
 centre's component become centres themselves, for the members of other
@@ -74,7 +74,12 @@ def densified(own: np.ndarray, bins: int, tries: np.ndarray) -> np.ndarray:
     if not full.all():
         empty = np.flatnonzero(~full)
         found = full[tries[empty]]
-        first = np.where(found.any(1), tries[empty, found.argmax(1)], np.flatnonzero(full)[0])
+        first = tries[empty, found.argmax(1)]
+        lost = np.flatnonzero(~found.any(1))
+        if len(lost):  # few bins are full: each empty bin goes on through all bins in an order of its own
+            have = np.flatnonzero(full)
+            rank = mixed((empty[lost].astype(np.uint64)[:, None] << np.uint64(32)) + have.astype(np.uint64)[None, :] + np.uint64(0x2F0B4C47))
+            first[lost] = have[rank.argmin(1)]
         out[empty] = out[first]
     return out
 
