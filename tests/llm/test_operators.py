@@ -494,6 +494,11 @@ def test_katz_against_brute_force(spark, monkeypatch, chunk, spread):
         assert math.isclose(got[i]["base_score"], e[3], rel_tol=1e-9) and math.isclose(got[i]["score"], e[4], rel_tol=1e-9)
 
 
+def test_katz_refuses_orders_it_does_not_have(spark):
+    with pytest.raises(ValueError):
+        katz.score_texts(spark.createDataFrame([(1, "a b", False)], "doc_id long, text string, held_out boolean"), order=3)
+
+
 def test_katz_edges(spark):
     assert katz.score_texts(spark.createDataFrame([], "doc_id long, text string, held_out boolean")).count() == 0
     only = spark.createDataFrame([(1, "a b", True), (None, None, True)], "doc_id long, text string, held_out boolean")

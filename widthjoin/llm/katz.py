@@ -353,7 +353,9 @@ def scorer(parts: int, spread: int, model: dict, hot: dict[int, tuple]):
 
 
 def score_texts(documents: DataFrame, order: int = ORDER) -> DataFrame:
-    """SCORES of all rows of (doc_id, text, held_out); rows with held_out = false train the model."""
+    """SCORES of all rows of (doc_id, text, held_out); rows with held_out = false train the model. Orders above ORDER are not implemented."""
+    if not 1 <= order <= ORDER:
+        raise ValueError(f"order {order}: only orders 1 to {ORDER} are implemented")
     spark = documents.sparkSession
     docs = documents.select(F.col("doc_id").cast("long"), F.col("text").cast("string"), F.coalesce("held_out", F.lit(False)).alias("held_out"))
     chunks = save(docs.mapInArrow(chunked, CHUNKS), "none")
