@@ -5,13 +5,13 @@ from __future__ import annotations
 import ctypes
 import tempfile
 import uuid
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: An Arrow batch is cut into pieces of at most this many bytes of text (one row may be longer).
@@ -28,24 +28,74 @@ def pick(df: DataFrame, **kinds: str) -> DataFrame:
     return df.select(*[(F.col(f"`{c}`") if c in have else F.lit(None)).cast(k).alias(c) for c, k in kinds.items()])
 
 
+def unused(name: str, *frames: DataFrame) -> str:
+    """A column name that none of the tables has."""
+    taken = {c.lower() for f in frames for c in f.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
+#: Paths of tables saved since each call of finished() that has not returned yet.
+_saved: list[list[str]] = []
+
+
 def scratch(spark: SparkSession) -> str:
-    """A new path in the folder all executors share: spark.checkpoint.dir; a temporary folder only where that is unset."""
+    """A new path in the folder all executors share, spark.checkpoint.dir. A temporary folder only where that is unset and the master is local."""
     sc = spark.sparkContext
     top = sc.getConf().get("spark.checkpoint.dir")
     if not top:
         if not sc._jsc.sc().getCheckpointDir().isDefined():
+            if not sc.master.startswith("local") or sc.master.startswith("local-cluster"):
+                raise ValueError("spark.checkpoint.dir is not set: a cluster needs a folder that all its machines share")
             sc.setCheckpointDir(tempfile.mkdtemp(prefix="widthjoin-"))
         top = sc._jsc.sc().getCheckpointDir().get()
-    return f"{top.rstrip('/')}/{uuid.uuid4().hex}"
+    path = f"{top.rstrip('/')}/{uuid.uuid4().hex}"
+    if _saved:
+        _saved[-1].append(path)
+    return path
 
 
-def save(df: DataFrame, codec: str = "zstd") -> DataFrame:
+def save(df: DataFrame, codec: str = "zstd", path: str | None = None) -> DataFrame:
     """Write once to the shared folder and read back: cuts lineage, survives lost executors."""
-    path = scratch(df.sparkSession)
+    path = path or scratch(df.sparkSession)
     df.write.option("compression", codec).parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def delete(spark: SparkSession, path: str) -> None:
+    p = spark._jvm.org.apache.hadoop.fs.Path(path)
+    p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
+
+
+def finished(spark: SparkSession, make: Callable[[], DataFrame]) -> DataFrame:
+    """make()'s rows, saved; the tables that were saved on the way are deleted. Without it a lazy result still reads them."""
+    path, own = scratch(spark), []
+    _saved.append(own)
+    try:
+        df = make()
+        df.write.option("compression", "zstd").parquet(path)
+    finally:
+        _saved.pop()
+        for x in own:
+            delete(spark, x)
+    return spark.read.schema(df.schema).parquet(path)
+
+
+def row_key(id: Column, text: Column) -> Column:
+    """A 64-bit hash of a row's id and text: rows that share an id alone have different ones."""
+    return F.xxhash64(F.coalesce(id.cast("string"), F.lit("")), F.lit("|"), F.coalesce(text.cast("string"), F.lit("")))
+
+
+def without(documents: DataFrame, found: Callable[[DataFrame], DataFrame], id: str = "doc_id", text: str = "text") -> DataFrame:
+    """The documents, with their columns, but for the rows that found() names: it gets (doc_id, text), doc_id being the row's key, and returns some of these doc_id."""
+    key = row_key(F.col(f"`{id}`"), F.col(f"`{text}`"))
+    name = unused("gone", documents)
+    rows = documents.select(key.alias("doc_id"), F.col(f"`{text}`").cast("string").alias("text"))
+    gone = save(found(rows).select(F.col("doc_id").alias(name)).distinct())
+    return documents.join(small(gone), key == F.col(name), "left_anti")
+
+
 def small(df: DataFrame, rows: int | None = None, limit: int = BROADCAST_ROWS) -> DataFrame:
     """Hint a broadcast if the counted rows (ids, hashes, short arrays) stay below the limit; else leave the join to Spark."""
     return F.broadcast(df) if (df.count() if rows is None else rows) <= limit else df

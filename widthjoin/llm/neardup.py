@@ -12,9 +12,9 @@ the rest is compared on full sets. Nothing is capped, and a large group of copie
 costs one star.
 
 Null or empty text: empty set, no links. Fewer words than k: the whole sequence
-is the one shingle. Equal sets of one document id (repeated rows) are one
-document. Null ids form no class of their own: they take part under null, and
-the smallest id wins over null. An empty table gives an empty result; only id
+is the one shingle. Texts are told apart by their sets, not by their ids: rows
+that repeat an id with another text are rows of their own. Rows without an id
+take part; their component has the smallest id in it, null if it has none. An empty table gives an empty result; only id
 and text are read, so other columns' names do not matter.
 """
 
@@ -27,12 +27,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import coded, hashes, mixed, pick, pieces, save, small, words
+from .common import coded, delete, hashes, mixed, pick, pieces, row_key, save, scratch, small, unused, words
 
 BINS, ROWS = 128, 4
 #: Bins of the sketch that tells which further pairs are worth a full comparison; and how large buckets are split for them.
 SKETCH, BLOCK_CENTRES, BLOCK_MEMBERS = 1024, 512, 2048
-SIGNED = "doc_id long, n_shingles long, set_key binary, bands array<long>"
+SIGNED = "doc_id long, row_key long, n_shingles long, set_key binary, bands array<long>"
 MULT = (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xFF51AFD7ED558CCD, 0xC4CEB9FE1A85EC53, 0x2545F4914F6CDD1D)
 
 
@@ -106,13 +106,21 @@ def signatures(batches: Iterator[pa.RecordBatch], k: int, bins: int = BINS, rows
                 continue
             key.append(hashlib.md5(s.tobytes()).digest())
             sig.append(band_keys(s, bins, rows, tries))
-        yield pa.RecordBatch.from_arrays([b.column(b.schema.get_field_index("doc_id")), pa.array(size, pa.int64()), pa.array(key, pa.binary()), pa.array(sig, pa.list_(pa.int64()))], names=names)
+        yield pa.RecordBatch.from_arrays([b.column(b.schema.get_field_index("doc_id")), b.column(b.schema.get_field_index("row_key")), pa.array(size, pa.int64()), pa.array(key, pa.binary()), pa.array(sig, pa.list_(pa.int64()))], names=names)
 
 
 def full_sets(batches: Iterator[pa.RecordBatch], k: int) -> Iterator[pa.RecordBatch]:
+    """(id, set) of rows of (text, id, set_key) whose text has that set."""
+    import hashlib
+
     for b in pieces(batches):
-        own = [s.tobytes() for s in shingle_sets(b.column(b.schema.get_field_index("text")), k)]
-        yield pa.RecordBatch.from_arrays([b.column(b.schema.get_field_index("doc_id")), pa.array(own, pa.binary())], names=["doc_id", "set"])
+        keys, ids, own = b.column(b.schema.get_field_index("set_key")).to_pylist(), [], []
+        for i, s in enumerate(shingle_sets(b.column(b.schema.get_field_index("text")), k)):
+            raw = s.tobytes()
+            if hashlib.md5(raw).digest() == keys[i]:
+                ids.append(i)
+                own.append(raw)
+        yield pa.RecordBatch.from_arrays([b.column(b.schema.get_field_index("id")).take(pa.array(ids, pa.int64())), pa.array(own, pa.binary())], names=["doc_id", "set"])
 
 
 def linked(batches: Iterator[pa.RecordBatch], num: int, den: int) -> Iterator[pa.RecordBatch]:
@@ -152,40 +160,57 @@ def components(edges: DataFrame) -> DataFrame:
             out = j.select(F.col("b").alias("a"), F.col("m").alias("b")).union(least.select(F.col("u").alias("a"), F.col("m").alias("b")))
         return out.filter("a <> b").distinct()
 
-    e = save(edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).filter("a <> b").distinct())
+    path = scratch(edges.sparkSession)
+    e = save(edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).filter("a <> b").distinct(), path=path)
     before = print_of(e)
     while before[0]:
-        e = save(star(star(e, True), False))
+        spent, path = path, scratch(edges.sparkSession)
+        e = save(star(star(e, True), False), path=path)
         now = print_of(e)
+        delete(edges.sparkSession, spent)
         if now == before:
             break
         before = now
     return e.select(F.col("a").alias("node"), F.col("b").alias("component"))
 
 
-def near_duplicates(documents: DataFrame, k: int = 3, num: int = 85, den: int = 100, bins: int = BINS, rows: int = ROWS) -> DataFrame:
-    """doc_id, n_shingles, component_id, kept: one row a document. Linked: den * |intersection| >= num * |union|."""
-    docs = pick(documents, doc_id="long", text="string")
+def classes_of(documents: DataFrame, k: int, num: int, den: int, bins: int, rows: int) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Rows (SIGNED), classes of equal sets, and (node, component) of classes with links.
+
+    A class has a number of its own, rep, and its least row: (id is null, id, row_key).
+    """
+    docs = pick(documents, doc_id="long", text="string").withColumn("row_key", row_key(F.col("doc_id"), F.col("text")))
     signed = save(docs.mapInArrow(lambda it: signatures(it, k, bins, rows), SIGNED))
-    classes = signed.filter("set_key IS NOT NULL").groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.any_value("n_shingles").alias("n"), F.any_value("bands").alias("bands"))
-    classes = save(classes.filter("rep IS NOT NULL"))
+    least = F.struct(F.isnull("doc_id").alias("no_id"), "doc_id", "row_key")
+    classes = signed.filter("set_key IS NOT NULL").groupBy("set_key").agg(F.min(least).alias("least"), F.any_value("n_shingles").alias("n"), F.any_value("bands").alias("bands"))
+    classes = save(classes.withColumn("rep", F.monotonically_increasing_id()))
     buckets = classes.select(F.explode("bands").alias("key"), "rep", "n")
     shared = buckets.groupBy("key").agg(F.min(F.struct("rep", "n")).alias("least"), F.count(F.lit(1)).alias("many")).filter("many > 1").select("key", F.col("least.rep").alias("centre"), F.col("least.n").alias("centre_n"))
     # a bucket key is on few rows of distinct sets; where near copies fill one, this inner join on its key is split by AQE
     members = save(buckets.join(shared.withColumnRenamed("key", "k2"), F.col("key") == F.col("k2")).select("key", "rep", "n", "centre", "centre_n"))
     pairs = members.filter("rep <> centre").filter(alike("n", "centre_n", num, den)).select(F.col("centre").alias("a"), F.col("rep").alias("b")).distinct()
     pairs = save(pairs)
-    needed = save(members.select(F.col("rep").alias("id")).distinct())
-    wanted = docs.join(small(needed), F.col("doc_id") == F.col("id"), "left_semi")
-    sets = save(wanted.mapInArrow(lambda it: full_sets(it, k), "doc_id long, set binary").filter(F.length("set") > 0), "none")
+    needed = members.select(F.col("rep").alias("r2")).distinct().join(classes, F.col("rep") == F.col("r2")).select(F.col("rep").alias("id"), "set_key", F.col("least.row_key").alias("of_row"))
+    wanted = docs.join(small(save(needed)), F.col("row_key") == F.col("of_row")).select("text", "id", "set_key")
+    if not signed.groupBy("row_key").agg(F.count(F.lit(1)).alias("times")).filter("times > 1").isEmpty():
+        wanted = wanted.dropDuplicates(["id"])  # repeated rows: one of each
+    sets = save(wanted.mapInArrow(lambda it: full_sets(it, k), "doc_id long, set binary"), "none")
     links = save(compare(pairs, sets, num, den))
     labels = save(components(links))
     links = further_links(members, pairs, links, labels, sets, num, den, bins, rows)
-    if links is not None:
-        labels = components(links)
-    whole = signed.join(classes.select(F.col("set_key").alias("k2"), "rep"), F.col("set_key") == F.col("k2"), "left")
-    whole = whole.join(labels, F.col("rep") == F.col("node"), "left")
-    component = F.least(F.coalesce("component", "rep", "doc_id"), "doc_id")
+    labels = labels if links is None else save(components(links))
+    return signed, classes, labels.union(labels.select("component", "component").distinct())  # the least nodes too
+
+
+def near_duplicates(documents: DataFrame, k: int = 3, num: int = 85, den: int = 100, bins: int = BINS, rows: int = ROWS) -> DataFrame:
+    """doc_id, n_shingles, component_id, kept: one row a document. Linked: den * |intersection| >= num * |union|."""
+    signed, classes, labels = classes_of(documents, k, num, den, bins, rows)
+    own = classes.select("set_key", "rep", "least").join(labels, F.col("rep") == F.col("node"), "left")
+    # of linked classes alone, the least id of each component
+    first = own.filter("component IS NOT NULL").groupBy("component").agg(F.min("least").alias("first")).withColumnRenamed("component", "c2")
+    ids = own.join(first, F.col("component") == F.col("c2"), "left").select(F.col("set_key").alias("k2"), F.coalesce("first", "least")["doc_id"].alias("least_id"))
+    whole = signed.join(ids, F.col("set_key") == F.col("k2"), "left")
+    component = F.least(F.coalesce("least_id", "doc_id"), "doc_id")
     return whole.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(True)).alias("kept"))
 
 
@@ -284,11 +309,27 @@ def compare(pairs: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame:
     return both.select("a", "b", "set_a", "set_b").mapInArrow(lambda it: linked(it, num, den), "a long, b long").distinct()
 
 
-def deduplicated(documents: DataFrame, k: int = 5, num: int = 80, den: int = 100, id: str = "doc_id", text: str = "text") -> DataFrame:
-    """The documents that stay, one of each component, with their columns. Rows that repeat an id of a text stay once."""
+def deduplicated(documents: DataFrame, k: int = 5, num: int = 80, den: int = 100, id: str = "doc_id", text: str = "text", bins: int = BINS, rows: int = ROWS) -> DataFrame:
+    """The documents that stay, with their columns: of each component the row with the least id (null last), and the least hash of its text.
+
+    A row goes for its own text: another text of the same id stays. Of rows that repeat both id and text, one stays, whatever
+    their other columns. Rows without words are linked with nothing and stay.
+    """
     own = documents.select(F.col(f"`{id}`").cast("long").alias("doc_id"), F.col(f"`{text}`").cast("string").alias("text"))
-    gone = near_duplicates(own, k, num, den).filter("NOT kept").select(F.col("doc_id").alias("_nd_gone")).distinct()
-    return documents.join(small(save(gone)), F.col(f"`{id}`") == F.col("_nd_gone"), "left_anti")
+    signed, classes, labels = classes_of(own, k, num, den, bins, rows)
+    of = classes.select("set_key", "rep", "least").join(labels, F.col("rep") == F.col("node"), "left").withColumn("c", F.coalesce("component", "rep"))
+    linked_ = of.filter("component IS NOT NULL").groupBy("component").agg(F.min("least").alias("first")).withColumnRenamed("component", "c2")
+    winner = of.join(linked_, F.col("c") == F.col("c2"), "left").select(F.col("set_key").alias("k2"), F.coalesce("first", "least")["row_key"].alias("winner"))
+    seen = signed.filter("set_key IS NOT NULL").groupBy("set_key", "row_key").agg(F.count(F.lit(1)).alias("times"))
+    seen = save(seen.join(winner, F.col("set_key") == F.col("k2")).select("row_key", (F.col("row_key") != F.col("winner")).alias("goes"), "times").filter("goes OR times > 1"))
+    key, name = row_key(F.col(f"`{id}`").cast("long"), F.col(f"`{text}`").cast("string")), unused("gone", documents)
+    named = lambda of: small(seen.filter(of).select(F.col("row_key").alias(name)))
+    left = documents.join(named("goes"), key == F.col(name), "left_anti")
+    if seen.filter("NOT goes").isEmpty():
+        return left
+    mark = unused("row_key", documents)
+    again = left.join(named("NOT goes"), key == F.col(name), "left_semi").withColumn(mark, key).dropDuplicates([mark]).drop(mark)
+    return left.join(named("NOT goes"), key == F.col(name), "left_anti").unionByName(again)
 
 
 ORACLE_SQL = r"""
