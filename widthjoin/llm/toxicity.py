@@ -1,11 +1,11 @@
 """Toxicity: a linear-chain conditional random field that tags toxic tokens.
 
-Labels are of documents, so tokens are labelled first: word and prefix features
+Labels are of documents, so tokens get weak labels first: word and prefix features
 are chosen one by one, each the one that explains most toxic documents not
 explained so far and hardly any other; tokens of toxic documents with a chosen
 feature are toxic. On these tokens the field is trained (two states; hashed word
 and affix features, start and transition weights) by gradient steps on the exact
-log-likelihood. Forward-backward marginals give offending offsets, and, by a
+log-likelihood, with a ridge on feature weights. Forward-backward marginals give offending offsets, and, by a
 logistic function fitted on the training documents, the score of a document.
 
 The training sample is bounded by TRAIN_DOCS and TRAIN_CHARS (rows with the
@@ -29,7 +29,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import coded, hashes, pick, pieces, words
+from .common import coded, hashes, pick, pieces, trim, words
 
 TRAIN_DOCS, TRAIN_CHARS = 5000, 25_000_000
 #: Of these, the field is fitted on all toxic documents and the first FIT_CLEAN others.
@@ -39,6 +39,7 @@ PREFIXES = (3, 4, 5, 6)
 #: A feature is chosen while it explains this many further toxic documents and this share of them, and its documents are toxic to this share.
 MIN_GAIN, MIN_SHARE, MIN_PURITY = 3, 0.003, 0.9
 BLOCK = 128
+RIDGE = 0.05
 SPAN_LIMIT = 0.5
 
 
@@ -73,8 +74,8 @@ def emissions(model: Model, text: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return offs, own[ids] if len(ids) else np.zeros(0)
 
 
-def chains(offs: np.ndarray, em: np.ndarray, start: np.ndarray, move: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Marginals of state 1 and log-partition of each row.
+def chains(offs: np.ndarray, em: np.ndarray, start: np.ndarray, move: np.ndarray, pairs: bool = False) -> tuple:
+    """Marginals of state 1 and log-partition of each row; with pairs, also the expected number of each move, summed over all rows.
 
     Rows are cut into blocks of BLOCK tokens that run side by side. A first pass
     gets each block's transfer matrix, a short one chains the blocks of a row, and
@@ -85,7 +86,7 @@ def chains(offs: np.ndarray, em: np.ndarray, start: np.ndarray, move: np.ndarray
     first = np.concatenate([[0], np.cumsum(nb)])
     total = int(first[-1])
     if not total:
-        return np.zeros(0), np.zeros(len(size))
+        return (np.zeros(0), np.zeros(len(size)), np.zeros((2, 2)))[: 2 + pairs]
     row = np.repeat(np.arange(len(size)), nb)
     inner = np.arange(total) - first[row]
     begin = offs[row] + inner * BLOCK
@@ -154,7 +155,7 @@ def chains(offs: np.ndarray, em: np.ndarray, start: np.ndarray, move: np.ndarray
         a1[:m] = n1 / (n0 + n1)
         a0[:m] = 1 - a1[:m]
         fw[at] = a1[:m]
-    out = np.zeros(len(em))
+    out, bw = np.zeros(len(em)), np.zeros(len(em) if pairs else 0)
     z0, z1 = exit_[order].T.copy()
     for k in range(BLOCK - 1, -1, -1):
         m = alive[k]
@@ -163,11 +164,34 @@ def chains(offs: np.ndarray, em: np.ndarray, start: np.ndarray, move: np.ndarray
         at = b0[:m] + k
         up, down = fw[at] * z1[:m], (1 - fw[at]) * z0[:m]
         out[at] = up / (up + down)
+        if pairs:
+            bw[at] = z1[:m] / (z0[:m] + z1[:m])
         y1 = z1[:m] * e1[at]
         n0, n1 = z0[:m] * m00 + y1 * m01, z0[:m] * m10 + y1 * m11
         z1[:m] = n1 / (n0 + n1)
         z0[:m] = 1 - z1[:m]
-    return out, logz
+    if not pairs:
+        return out, logz
+    inner = np.ones(len(em), bool)
+    inner[offs[:-1][size > 0]] = False
+    at = np.flatnonzero(inner)
+    a1, y0, y1 = fw[at - 1], 1 - bw[at], bw[at] * e1[at]
+    joint = np.stack([(1 - a1) * m00 * y0, (1 - a1) * m01 * y1, a1 * m10 * y0, a1 * m11 * y1])
+    return out, logz, (joint / joint.sum(0)).sum(1).reshape(2, 2)
+
+
+def gradient(model: Model, feats: np.ndarray, ids: np.ndarray, offs: np.ndarray, gold: np.ndarray) -> tuple[np.ndarray, float, np.ndarray, np.ndarray]:
+    """Of the log-likelihood of the gold states, by feature weights, bias, start and moves: seen less expected counts."""
+    em = (model.weights[feats].sum(1) + model.bias)[ids]
+    p, _, expected = chains(offs, em, model.start, model.move, pairs=True)
+    diff = np.bincount(ids, weights=gold - p, minlength=len(feats))
+    first = offs[:-1][np.diff(offs) > 0]
+    inner = np.ones(len(ids), bool)
+    inner[first] = False
+    at = np.flatnonzero(inner)
+    seen = np.bincount(2 * gold[at - 1].astype(int) + gold[at], minlength=4).reshape(2, 2)
+    start = float((gold[first] - p[first]).sum())
+    return np.bincount(feats.ravel(), weights=np.repeat(diff, feats.shape[1]), minlength=len(model.weights)), float(diff.sum()), np.array([-start, start]), seen - expected
 
 
 def parts_of(words_: set[str]) -> set[str]:
@@ -222,39 +246,25 @@ def train(rows: list[tuple[str, int]], dims: int = DIMS, rounds: int = 20, rate:
     model = Model(np.zeros(dims), -2.0, np.zeros(2), np.zeros((2, 2)), np.zeros(3))
     g2 = {k: 1e-3 for k in ("bias", "start", "move")}
     w2 = np.full(dims, 1e-3)
-    prev = np.flatnonzero(np.diff(offs) > 0)
-    inner = np.ones(len(ids), bool)
-    inner[offs[prev]] = False
-    at = np.flatnonzero(inner)
-    seen = np.zeros((2, 2))
-    np.add.at(seen, (gold[at - 1].astype(int), gold[at].astype(int)), 1)
     for _ in range(rounds):
-        em = (model.weights[feats].sum(1) + model.bias)[ids]
-        p, _z = chains(offs, em, model.start, model.move)
-        diff = np.bincount(ids, weights=gold - p, minlength=len(names))
-        gw = np.bincount(feats.ravel(), weights=np.repeat(diff, feats.shape[1]), minlength=dims) - 0.05 * model.weights
+        gw, gb, gs, gm = gradient(model, feats, ids, offs, gold)
+        gw -= RIDGE * model.weights
         w2 += gw**2
         model.weights += rate * gw / np.sqrt(w2)
-        gb = float(diff.sum())
         g2["bias"] = g2["bias"] + gb**2
         model.bias += rate * gb / math.sqrt(g2["bias"])
-        # pairwise expectations under independence of the gold neighbour: enough for two transition weights
-        expect = np.zeros((2, 2))
-        q0, q1 = p[at - 1], p[at]
-        expect[1, 1], expect[0, 1], expect[1, 0] = (q0 * q1).sum(), ((1 - q0) * q1).sum(), (q0 * (1 - q1)).sum()
-        expect[0, 0] = len(at) - expect.sum()
-        gm = seen - expect
         g2["move"] = g2["move"] + gm**2
         model.move = np.clip(model.move + 0.1 * gm / np.sqrt(g2["move"]), -3, 3)
-        gs = np.array([0.0, (gold[offs[prev]] - p[offs[prev]]).sum()])
         g2["start"] = g2["start"] + gs**2
         model.start = np.clip(model.start + 0.1 * gs / np.sqrt(g2["start"]), -3, 3)
+    del feats, ids, gold, offs, w2
     model.weights = model.weights.astype(np.float32)
     found = []
     for at in range(0, len(rows), 500):
         o, em = emissions(model, pa.array([t or "" for t, _ in rows[at : at + 500]], pa.large_string()))
         found.append(aggregates(chains(o, em, model.start, model.move)[0], o))
     model.link = fitted(np.concatenate(found), toxic)
+    trim()
     return model
 
 
@@ -294,25 +304,26 @@ def fitted(x: np.ndarray, y: np.ndarray, steps: int = 50) -> np.ndarray:
 
 
 def training_rows(documents: DataFrame, labels: DataFrame, label: str, where=None, n_docs: int = TRAIN_DOCS, n_chars: int = TRAIN_CHARS) -> list[tuple[str, int]]:
-    """The bounded sample: labelled rows in the order of their ids' hashes, until one of the bounds is met."""
+    """The bounded sample: labelled documents in the order of their ids' hashes, but for those whose text no longer fits; one text an id."""
     y = pick(labels, **{"doc_id": "long", label: "int"}).filter(f"doc_id IS NOT NULL AND {label} IS NOT NULL").groupBy("doc_id").agg(F.max(label).alias("y"))
     if where is not None:
         y = y.filter(where("doc_id"))
-    y = y.orderBy(F.xxhash64("doc_id"), "doc_id").limit(n_docs).withColumnRenamed("doc_id", "labelled")
     docs = pick(documents, doc_id="long", text="string")
-    rows = docs.join(F.broadcast(y), F.col("doc_id") == F.col("labelled")).select(F.xxhash64("doc_id").alias("h"), "doc_id", "text", "y")
+    y = y.join(docs.select("doc_id"), "doc_id", "left_semi")
+    y = y.orderBy(F.xxhash64("doc_id"), "doc_id").limit(n_docs).withColumnRenamed("doc_id", "labelled")
+    rows = docs.join(F.broadcast(y), F.col("doc_id") == F.col("labelled")).select("doc_id", "text", "y", F.xxhash64("text").alias("h"), F.length("text").alias("n"))
     # the ids are bounded; lengths first, so that no more text than the bound reaches the driver
-    sizes = sorted((r["h"], r["doc_id"], r["n"] or 0) for r in rows.select("h", "doc_id", F.length("text").alias("n")).toLocalIterator())
-    used, last = 0, None
-    for h, i, n in sizes:
-        used += n
-        if used > n_chars:
-            break
-        last = (h, i)
-    if last is None:
+    one = rows.groupBy("doc_id").agg(F.min(F.struct("h", "n")).alias("x"), F.xxhash64("doc_id").alias("o")).select("o", "doc_id", "x.h", "x.n")
+    used, chosen = 0, []
+    for r in sorted(one.collect(), key=lambda r: (r["o"], r["doc_id"])):
+        if used + (r["n"] or 0) <= n_chars:
+            used += r["n"] or 0
+            chosen.append((r["o"], r["doc_id"], r["h"]))
+    if not chosen:
         return []
-    kept = rows.filter((F.col("h") < last[0]) | ((F.col("h") == last[0]) & (F.col("doc_id") <= last[1])))
-    return [(r["text"], r["y"]) for r in sorted(kept.collect(), key=lambda r: (r["h"], r["doc_id"]))]
+    of = documents.sparkSession.createDataFrame(chosen, "o long, id long, k long")
+    kept = rows.join(F.broadcast(of), (F.col("doc_id") == F.col("id")) & (F.col("h") == F.col("k"))).groupBy("o", "id").agg(F.first("text").alias("text"), F.max("y").alias("y"))
+    return [(r["text"], r["y"]) for r in sorted(kept.toLocalIterator(), key=lambda r: (r["o"], r["id"]))]
 
 
 def scored(documents: DataFrame, model: Model, spans: bool = False) -> DataFrame:
