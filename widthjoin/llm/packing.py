@@ -4,7 +4,8 @@ Each task keeps a fixed number of open windows. A document's ids are cut into
 full sequences and a rest; the rest goes to the open window in which it leaves
 the least room, and where it fits in none, the fullest window is closed and a
 new one opened. At the end of a task its open windows are leftovers; groups of
-tasks merge theirs, largest first, until few are left.
+tasks merge theirs, largest first, and close the fullest until as many are open
+as a task keeps, so that each round of merging is no larger than the one before.
 
 A sequence is padded to `size`, or not at all if its length is a power of two.
 So a window that is full, or at a power of two when it is closed, costs nothing.
@@ -105,8 +106,11 @@ def pack_task(batches: Iterator[pa.RecordBatch], path: str, size: int = SIZE, mo
     yield arrow(out)
 
 
-def merge_group(t: pa.Table, size: int, nearly: float | None, turn: int) -> pa.Table:
-    """Leftover windows of a group of tasks, by falling length, each into the fullest window with room. Windows filled to `nearly` are closed; None: all are."""
+def merge_group(t: pa.Table, size: int, nearly: float | None, turn: int, most: int) -> pa.Table:
+    """Leftover windows of a group of tasks, by falling length, each into the fullest window with room.
+
+    Windows filled to `nearly` are closed, and the fullest others, until at most `most` are open; None: all are closed.
+    """
     windows: dict[tuple, list] = {}
     for r in sorted(t.to_pylist(), key=lambda r: (r["task"], r["window"], r["offset"])):
         windows.setdefault((r["task"], r["window"]), []).append(tuple(r[c] for c, _ in COLUMNS))
@@ -117,14 +121,15 @@ def merge_group(t: pa.Table, size: int, nearly: float | None, turn: int) -> pa.T
         if full:
             out += rows_of(full, task, number, True)
             number += 1
-    for room, w in packer.by_room:
-        out += rows_of(packer.open[w], task, number, nearly is None or size - room >= nearly * size)
+    for k, (room, w) in enumerate(packer.by_room):  # the fullest first
+        over = len(packer.by_room) - k > most
+        out += rows_of(packer.open[w], task, number, nearly is None or over or size - room >= nearly * size)
         number += 1
     return pa.Table.from_batches([arrow(out)])
 
 
-def merger(size: int, nearly: float | None, turn: int):
-    return lambda t: merge_group(t, size, nearly, turn)
+def merger(size: int, nearly: float | None, turn: int, most: int):
+    return lambda t: merge_group(t, size, nearly, turn, most)
 
 
 def packed(documents: DataFrame, path: str | None = None, size: int = SIZE, most: int = OPEN, end_id: int = END_ID) -> DataFrame:
@@ -144,7 +149,7 @@ def packed(documents: DataFrame, path: str | None = None, size: int = SIZE, most
         last = width >= tasks
         group = F.floor(own / width).alias("g")
         nearly = None if last else NEARLY
-        merged = save(left.withColumn("g", group).groupBy("g").applyInArrow(merger(size, nearly, turn), SCHEMA))
+        merged = save(left.withColumn("g", group).groupBy("g").applyInArrow(merger(size, nearly, turn, most), SCHEMA))
         done.append(merged.filter("closed"))
         if last:
             break
