@@ -84,7 +84,7 @@ def test_quality_against_brute_force(spark):
 def test_line_dedup_against_brute_force(spark):
     rows = corpus() + [(200 + i, f"Share  this\npage {i}\n\n share THIS ", "en", "s9", 1) for i in range(12)] + [(300, "Share this\nx", "en", None, 1)]
     df = clashing(spark, rows).withColumnRenamed("row", "_ld")
-    got = {r["doc_id"]: r for r in line_dedup.drop_boilerplate(df).collect()}
+    got = {r["doc_id"]: r for r in line_dedup.drop_boilerplate(df, min_pages=10).collect()}
     norm = lambda x: " ".join(words(lower(x)))
     pages, freq = Counter(r[3] for r in rows), Counter()
     for _, t, _, s, _ in rows:
@@ -100,6 +100,22 @@ def test_line_dedup_against_brute_force(spark):
     assert line_dedup.drop_boilerplate(empty(spark)).count() == 0
 
 
+def test_line_dedup_by_ratio_alone_with_ties_clashes_and_long_texts(spark):
+    rows = [(i, f"Top\nown {i}", "s") for i in range(9)]  # a host of 9 pages, a line on all of them
+    rows += [(100 + i, ("rare\n" if i < 2 else "") + f"page {i}", "t") for i in range(40)]  # 2 of 40 pages are the ratio itself
+    rows += [(200 + i, ("often\n" if i < 3 else "") + f"page {i}", "u") for i in range(40)]
+    rows += [(300, "\n".join(["Top", *(f"line {k}" for k in range(50_000)), "x" * 300_000]), "s"), (301, "", "s"), (302, None, "s"), (303, "a\na", None), (303, "a\na", None)]
+    df = spark.createDataFrame([(*r, 7, "h", 1, 2) for r in rows], "doc_id long, text string, source string, n_lines long, ld_host string, ld_keys int, `ld.x` int")
+    out = line_dedup.drop_boilerplate(df)
+    assert out.columns == [*df.columns, "n_lines_", "n_dropped"]
+    got = {r["doc_id"]: r for r in out.collect()}
+    assert len(out.collect()) == len(rows) and all(r["n_lines"] == 7 and r["ld_host"] == "h" for r in got.values())
+    assert [got[i]["text"] for i in range(9)] == [f"own {i}" for i in range(9)]
+    assert got[100]["text"].startswith("rare") and got[200]["text"] == "page 0"
+    assert got[300]["text"].startswith("line 0\n") and got[300]["n_lines_"] == 50_002 and got[300]["n_dropped"] == 1
+    assert got[301]["text"] == "" and got[302]["text"] is None and got[303]["text"] == ""
+
+
 def test_line_dedup_by_salted_hosts(spark, monkeypatch):
     df = spark.createDataFrame([(i, f"Share this\npage {i}", "en", "s", 1) for i in range(12)], SCHEMA)
     plain = sorted(r["text"] for r in line_dedup.drop_boilerplate(df).collect())
@@ -203,6 +219,13 @@ def test_near_duplicates_edges(spark):
     assert neardup.near_duplicates(empty(spark)).count() == 0
     one = spark.createDataFrame([(7, "a b c", "en", "s", 1), (7, "a b c", "en", "s", 1), (None, "a b c", "en", "s", 1)], SCHEMA)
     assert {(r["doc_id"], r["component_id"], r["kept"]) for r in neardup.near_duplicates(one).collect() if r["doc_id"]} == {(7, 7, True)}
+    many = [(5, "t u v w x"), (7, "t u v w x"), (7, "o p q r s"), (7, "o p q r s"), (None, "t u v w x"), (None, "l m n o p"), (None, "l m n o p"), (None, None), (8, ""), (8, "")]
+    frame = spark.createDataFrame([(*r, "x", 1) for r in many], "doc_id long, text string, gone string, row_key int")
+    left = neardup.deduplicated(frame, 5, 80, 100)
+    assert left.columns == frame.columns
+    assert sorted(((r["doc_id"], r["text"]) for r in left.collect()), key=str) == sorted([(5, "t u v w x"), (7, "o p q r s"), (None, "l m n o p"), (None, None), (8, ""), (8, "")], key=str)
+    null = {(r["n_shingles"], r["component_id"]) for r in neardup.near_duplicates(frame).collect() if r["doc_id"] is None}
+    assert null == {(3, 5), (3, None), (0, None)}
     left = neardup.deduplicated(spark.createDataFrame([(1, "a b c d e f", "en", "s", 1), (2, "A b c d e f", "en", "s", 1), (3, None, "en", "s", 1)], SCHEMA), 5, 80, 100)
     assert sorted(r["doc_id"] for r in left.collect()) == [1, 3] and left.columns == SCHEMA.replace(" long", "").replace(" string", "").split(", ")
 
@@ -254,6 +277,67 @@ def test_marginals_against_enumeration(sizes, seed):
             assert np.allclose(each / total, p[offs[r] : offs[r + 1]]) and math.isclose(math.log(total), z[r], rel_tol=1e-9, abs_tol=1e-9)
 
 
+def test_gradient_against_finite_differences():
+    g = np.random.default_rng(4)
+    offs = np.array([0, 5, 5, 12, 300])
+    ids, feats = g.integers(0, 20, 300), g.integers(0, 16, (20, 3))
+    gold = g.random(300) < 0.4
+
+    def model(v):
+        return toxicity.Model(v[:16].copy(), v[16], v[17:19].copy(), v[19:].reshape(2, 2).copy(), np.zeros(3))
+
+    def likelihood(v):
+        m = model(v)
+        em = (m.weights[feats].sum(1) + m.bias)[ids]
+        _, z = toxicity.chains(offs, em, m.start, m.move)
+        own = 0.0
+        for a, b in zip(offs[:-1], offs[1:]):
+            y = gold[a:b].astype(int)
+            own += (em[a:b] * y).sum() + (m.start[y[0]] if b > a else 0) + m.move[y[:-1], y[1:]].sum()
+        return own - z.sum()
+
+    v = g.normal(size=23)
+    gw, gb, gs, gm = toxicity.gradient(model(v), feats, ids, offs, gold)
+    exact = np.concatenate([gw, [gb], gs, gm.ravel()])
+    for i in range(23):
+        step = np.zeros(23)
+        step[i] = 1e-5
+        assert abs((likelihood(v + step) - likelihood(v - step)) / 2e-5 - exact[i]) < 1e-4 * max(1, abs(exact[i]))
+
+
+def test_scores_against_plain_forward_backward(spark):
+    g = np.random.default_rng(8)
+    model = toxicity.Model(g.normal(size=64).astype(np.float32), -0.3, np.array([0.0, -0.4]), g.normal(size=(2, 2)), np.array([-1.0, 0.5, 0.7]))
+    vocab = ["one", "two!", "Three", "été", "x1", "prefixed", "prefixes"]
+    texts = [" ".join(g.choice(vocab, n)) for n in (1, 2, 7, 400)] + ["", None]
+    got = {r["doc_id"]: r for r in toxicity.scored(spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "doc_id long, text string"), model, spans=True).collect()}
+    import pyarrow as pa
+
+    for i, t in enumerate(texts):
+        w = words(t)
+        em = model.weights[toxicity.features(pa.array(w, pa.string()), 64)].sum(1) + model.bias if w else np.zeros(0)
+        a, b = [], []
+        for k, e in enumerate(em):  # messages in logarithms, token by token
+            before = [model.start[y] if k == 0 else np.logaddexp(a[-1][0] + model.move[0, y], a[-1][1] + model.move[1, y]) for y in (0, 1)]
+            a.append((before[0], before[1] + e))
+        nxt = (0.0, 0.0)
+        for e in em[::-1]:
+            b.append(nxt)
+            nxt = tuple(np.logaddexp(model.move[y, 0] + nxt[0], model.move[y, 1] + e + nxt[1]) for y in (0, 1))
+        p = np.array([1 / (1 + math.exp((x[0] + y[0]) - (x[1] + y[1]))) for x, y in zip(a, b[::-1])])
+        top = min(max(p.max() if w else 0.0, 1e-6), 1 - 1e-6)
+        z = -1.0 + 0.5 * math.log(top / (1 - top)) + 0.7 * math.log1p(p[p >= 0.05].sum())
+        assert abs(got[i]["score"] - 1 / (1 + math.exp(-z))) < 1e-5
+        assert [(s["s"], s["e"]) for s in got[i]["spans"]] == [(m.start(), m.end()) for m, q in zip(WORD.finditer(t or ""), p) if q >= 0.5]
+
+
+def test_a_text_beyond_the_sample_is_left_out_not_the_rest(spark):
+    rows = [(i, "w " * (500 if i == 3 else 5)) for i in range(10)] + [(4, "w " * 5), (None, "x")]
+    lab = spark.createDataFrame([(i, 1, i % 2) for i in range(10)] + [(50, 1, 1), (None, 1, 1), (5, 1, None)], "doc_id long, quality int, toxic int")
+    got = toxicity.training_rows(spark.createDataFrame(rows, "doc_id long, text string"), lab, "toxic", n_docs=10, n_chars=200)
+    assert len(got) == 9 and all(len(t) == 10 for t, _ in got)
+
+
 def test_toxic_spans_are_learnt_with_inflections(spark):
     r = random.Random(5)
     fill = [f"{a}{b}" for a in ("tha", "ing", "ero", "ban", "lor") for b in ("en", "on", "is", "ur")]
@@ -305,6 +389,28 @@ def test_packing_loses_no_token(spark):
     assert row["tokens"] == sum(x[2] * n for x, n in expected.items()) and row["share"] < 0.2
 
 
+def test_special_tokens_of_the_vocabulary_and_long_texts(spark):
+    from tokenizers import Tokenizer
+
+    path = tokens.vocabulary("byte_bpe_50k.json")
+    t = Tokenizer.from_file(path)
+    texts = ["x<|endoftext|>y", "<|endoftext|>", "<|endoftext|><|endoftext|> a", "a <|endoftext|>\n<|endoftext", "Wort " * 60_000 + "<|endoftext|>"]
+    got = packing.packed(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), path).collect()
+    expected = Counter()
+    for i, x in enumerate(texts):
+        ids = np.array([*t.encode(x, add_special_tokens=False).ids, 1], "<u4")
+        expected.update((i, a, min(2048, len(ids) - a), zlib.crc32(ids[a : a + 2048].tobytes()), len(ids)) for a in range(0, len(ids), 2048))
+    assert Counter((x["doc_id"], x["start"], x["length"], x["ids_crc32"], x["doc_tokens"]) for x in got) == expected
+
+
+def test_merging_keeps_few_windows_open():
+    import pyarrow as pa
+
+    rows = [r for w in range(300) for r in packing.rows_of([(w, 0, 1100, 0, 1100)], w % 30, w, False)]
+    out = packing.merge_group(pa.Table.from_batches([packing.arrow(rows)]), 2048, packing.NEARLY, 1, 64).to_pylist()
+    assert len(out) == 300 and sum(not r["closed"] for r in out) == 64  # none fits another: all but 64 are done
+
+
 def test_best_fit_and_closing_order():
     p = packing.Packer(10, 2)
     assert p.put(6, ["a"]) is None and p.put(8, ["b"]) is None
@@ -428,6 +534,37 @@ def test_leaks_among_thousands_of_items_against_brute_force(spark):
     assert got == expected and len(expected) >= 40
 
 
+def paraphrased(seed=6, n=120):
+    r = random.Random(seed)
+    vocab = [f"v{i}" for i in range(3000)]
+    line = lambda n: [r.choice(vocab[:60] if r.random() < 0.4 else vocab) for _ in range(n)]
+    items = [(i, " ".join(line(r.randint(16, 90)))) for i in range(n)]
+    docs = [(1000 + i, " ".join(line(200))) for i in range(60)]
+    for i, t in items:
+        leak = [r.choice(vocab) if r.random() < 0.2 else x for x in t.split()]
+        docs.append((i, " ".join(line(60) + leak + line(60))))
+    return items, docs
+
+
+def test_paraphrases_with_a_fifth_of_the_words_changed_are_found(spark):
+    items, docs = paraphrased()
+    d, b = spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string")
+    got = {(x["doc_id"], x["item_id"]) for x in decontaminate.leaks(d, b, min_cosine=decontaminate.MIN_COSINE).collect()}
+    assert len(got & {(i, i) for i, _ in items}) >= 0.95 * len(items) and not {p for p in got if p[0] != p[1]}
+    blocks = {(x["doc_id"], x["item_id"]) for x in decontaminate.leaks(d, b, min_cosine=decontaminate.MIN_COSINE, block=25).collect()}
+    assert blocks == got  # one latent space, whatever the blocks
+    left = decontaminate.decontaminated(spark.createDataFrame([*((i, t, 1) for i, t in docs), (3, "clean text of an id that leaks", 2), (None, items[4][1], 3), (None, None, 4)], "doc_id long, text string, gone int"), b)
+    assert sorted(((x["doc_id"], x["gone"]) for x in left.collect()), key=str) == sorted([*((1000 + i, 1) for i in range(60)), (3, 2), (None, 4)] + [(i, 1) for i, _ in items if (i, i) not in got], key=str)
+
+
+def test_repeated_items_rows_and_long_texts_in_decontamination(spark):
+    items, docs = paraphrased(n=6)
+    long = " ".join(f"z{k % 977}" for k in range(60_000)) + " " + items[2][1]
+    d = spark.createDataFrame([*docs, (7, long), (7, long), (8, items[3][1]), (8, items[3][1])], "doc_id long, text string")
+    got = [(x["doc_id"], x["item_id"]) for x in decontaminate.leaks(d, spark.createDataFrame(items + items, "item_id long, text string")).collect()]
+    assert len(got) == len(set(got)) and {(7, 2), (8, 3)} <= set(got)
+
+
 @given(st.lists(st.integers(0, 4), max_size=12), st.lists(st.integers(0, 4), max_size=12))
 @settings(max_examples=80, deadline=None)
 def test_lcs_against_dynamic_programming(a, b):

@@ -25,7 +25,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import coded, hashes, pick, pieces, save, words
+from .common import coded, hashes, pick, pieces, save, trim, without, words
 
 #: Words of a window, and between the starts of two; a passage has at most STRIDE words, so some window holds it whole.
 WINDOW, STRIDE = 64, 32
@@ -36,6 +36,8 @@ DIMS, GROUP = 1 << 15, 1 << 9
 SELECTIVE = 3.0
 #: Covered share of a passage's words, without and with its answer in the window. Answers: the last ANSWER words of a passage, where the benchmark states none.
 MIN_COVER, MIN_COVER_ANSWER, ANSWER = 0.8, 0.6, 4
+#: Without the answer, the lesser share is enough if the matched stretch has this latent cosine with the passage, and so many words in common.
+MIN_COSINE, MIN_COMMON = 0.7, 8
 #: Bytes of text searched at once: each selective word is written out for each passage that has it.
 SLICE = 3 << 20
 #: Looked-up words written out at once.
@@ -79,9 +81,9 @@ def passages(items: list[tuple]) -> tuple[pa.Array, list[tuple[int, np.ndarray,
     return vocabulary, out
 
 
-def document_frequencies(documents: DataFrame, vocabulary: pa.Array) -> tuple[np.ndarray, int]:
-    """Documents with each benchmark word, and all documents. One pass; a task sends one number a word."""
-    shared = documents.sparkSession.sparkContext.broadcast(vocabulary)
+def document_frequencies(documents: DataFrame, vocabulary: pa.Array) -> DataFrame:
+    """(term, n): documents with each benchmark word by its place, and all documents under -1. One pass; a task sends one number a word."""
+    shared = documents.sparkSession.sparkContext.broadcast(vocabulary)  # words of at most BLOCK items
 
     def count(batches):
         v = shared.value
@@ -100,14 +102,19 @@ def document_frequencies(documents: DataFrame, vocabulary: pa.Array) -> tuple[np
         some = np.flatnonzero(df)
         yield pa.RecordBatch.from_arrays([pa.array(np.append(some, -1)), pa.array(np.append(df[some], n))], names=["term", "n"])
 
-    rows = documents.select("text").mapInArrow(count, "term long, n long").groupBy("term").agg(F.sum("n").alias("n")).collect()
-    df, total = np.zeros(len(vocabulary), np.int64), 0
-    for r in rows:
+    out = save(documents.select("text").mapInArrow(count, "term long, n long").groupBy("term").agg(F.sum("n").alias("n")))
+    shared.destroy()
+    return out
+
+
+def inverse_frequencies(counted: DataFrame, n_words: int) -> np.ndarray:
+    df, total = np.zeros(n_words, np.int64), 0
+    for r in counted.toLocalIterator():
         if r["term"] < 0:
             total = r["n"]
         else:
             df[r["term"]] = r["n"]
-    return df, total
+    return np.log((total + 1.0) / (df + 1.0)) + 0.1
 
 
 def folded(vocabulary: pa.Array, dims: int = DIMS) -> np.ndarray:
@@ -181,15 +188,16 @@ def common(h: np.ndarray, begin: np.ndarray, end: np.ndarray, passage: np.ndarra
     return (held[at] == key).sum(1)
 
 
-def randomised_svd(rows: DataFrame, rank: int, dims: int = DIMS, oversample: int = OVERSAMPLE, powers: int = POWERS, seed: int = 7) -> np.ndarray:
-    """Right singular directions (dims x rank) of the sparse matrix in rows (passage, dims array, weights array).
+def randomised_svd(rows: DataFrame, rank: int, dims: int = DIMS, oversample: int = OVERSAMPLE, powers: int = POWERS, seed: int = 7, used: np.ndarray | None = None) -> np.ndarray:
+    """Right singular directions (used dimensions x rank; without `used`, all dims) of the sparse matrix in rows (passage, dims array, weights array).
 
     Each pass computes A'(A Q) task by task; tasks send the groups of GROUP dimensions they touch,
-    and these are summed in Spark. The driver holds dims x (rank + oversample).
+    and these are summed in Spark. The driver holds used dimensions (sorted, at most DIMS) x (rank + oversample).
     """
-    width = rank + oversample
+    used = np.arange(dims) if used is None else used
+    width, dims = rank + oversample, len(used)
     spark = rows.sparkSession
-    q = np.random.default_rng(seed).standard_normal((dims, width)).astype(np.float32)
+    q = np.random.default_rng(seed).standard_normal((dims, width), np.float32)
 
     def step(q):
         shared = spark.sparkContext.broadcast(q)
@@ -198,7 +206,7 @@ def randomised_svd(rows: DataFrame, rank: int, dims: int = DIMS, oversample: int
             acc, seen = np.zeros((dims, width), np.float32), np.zeros(dims, bool)
             for b in batches:
                 for d, w in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
-                    w = np.asarray(w, np.float32)
+                    d, w = np.searchsorted(used, d), np.asarray(w, np.float32)
                     acc[d] += w[:, None] * (w @ shared.value[d])
                     seen[d] = True
             blocks = [k for k in range(0, dims, GROUP) if seen[k : k + GROUP].any()]
@@ -210,9 +218,10 @@ def randomised_svd(rows: DataFrame, rank: int, dims: int = DIMS, oversample: int
 
         parts = rows.select("dims", "weights").mapInArrow(run, "dim long, v binary").groupBy("dim").applyInArrow(add, "dim long, v binary")
         out = np.zeros((dims, width), np.float32)
-        for r in parts.collect():
-            out[r["dim"] : r["dim"] + GROUP] = np.frombuffer(bytes(r["v"]), np.float32).reshape(-1, width)
-        shared.unpersist()
+        for r in parts.toLocalIterator():
+            out[r["dim"] : r["dim"] + GROUP] = np.frombuffer(r["v"], np.float32).reshape(-1, width)
+        shared.destroy()
+        trim()
         return out
 
     for _ in range(powers):
@@ -227,14 +236,31 @@ def randomised_svd(rows: DataFrame, rank: int, dims: int = DIMS, oversample: int
 
 def lcs(a: np.ndarray, b: np.ndarray) -> int:
     """Length of the longest common subsequence, bit-parallel over a."""
+    return lcs_end(a, b)[0]
+
+
+def lcs_end(a: np.ndarray, b: np.ndarray) -> tuple[int, int]:
+    """Length of the longest common subsequence, and how long a prefix of b holds one."""
     masks: dict[int, int] = {}
     for i, x in enumerate(a.tolist()):
         masks[x] = masks.get(x, 0) | 1 << i
     v = full = (1 << len(a)) - 1
-    for x in b.tolist():
-        u = v & masks.get(x, 0)
-        v = ((v + u) | (v - u)) & full
-    return len(a) - v.bit_count()
+    most, end = 0, 0
+    for k, x in enumerate(b.tolist()):
+        if x in masks:
+            u = v & masks[x]
+            v = ((v + u) | (v - u)) & full
+            n = len(a) - v.bit_count()
+            if n > most:
+                most, end = n, k + 1
+    return most, end
+
+
+def aligned(passage: np.ndarray, window: np.ndarray) -> tuple[int, np.ndarray]:
+    """Length of the longest common subsequence, and the words of the window between its first and last word."""
+    n, end = lcs_end(passage, window)
+    _, size = lcs_end(passage[::-1], window[:end][::-1])
+    return n, window[end - size : end]
 
 
 def holds(window: np.ndarray, answer: np.ndarray) -> bool:
@@ -242,41 +268,72 @@ def holds(window: np.ndarray, answer: np.ndarray) -> bool:
     return n > 0 and any((window[k : k + n] == answer).all() for k in np.flatnonzero(window[: len(window) - n + 1] == answer[0]))
 
 
-def leaks(documents: DataFrame, benchmark: DataFrame, rank: int = RANK) -> DataFrame:
-    """(doc_id, item_id, cosine, cover): pairs of a document and an item that leaks into it. No pair is left out for its cosine."""
+def blocks_of(bench: DataFrame, most: int) -> Iterator[list[tuple]]:
+    """The items, block by block; a block has about `most`."""
+    n = -(-bench.count() // most)
+    number = F.pmod(F.xxhash64("item_id", "text", "answer"), F.lit(max(n, 1)))
+    for k in range(n):
+        rows = ((r["item_id"], r["text"] or "", r["answer"] or "") for r in bench.filter(number == k).collect())
+        yield sorted(rows, key=lambda r: (r[0] is None, r[0] or 0, *r[1:]))  # each time in one order
+
+
+def weights_of(own: list, place: np.ndarray, idf: np.ndarray) -> list[tuple]:
+    """(passage, dims, weights): the rows of the TF-IDF matrix."""
+    rows = []
+    for i, (_, w, _) in enumerate(own):
+        d, inv = np.unique(place[w], return_inverse=True)
+        rows.append((i, d.tolist(), np.bincount(inv, weights=idf[w]).tolist()))
+    return rows
+
+
+MATRIX = "passage long, dims array<long>, weights array<double>"
+SCHEMA = "doc_id long, item_id long, cosine double, cover double"
+
+
+def leaks(documents: DataFrame, benchmark: DataFrame, rank: int = RANK, min_cosine: float | None = None, block: int = BLOCK) -> DataFrame:
+    """(doc_id, item_id, cosine, cover): pairs of a document and an item that leaks into it.
+
+    With min_cosine, a paraphrase without the answer is a leak too, if its stretch has this latent cosine with the passage.
+    One latent space is fitted to the passages of the whole benchmark; the corpus is then searched for a block of items at a time.
+    """
     spark = documents.sparkSession
     docs = pick(documents, doc_id="long", text="string")
     bench = pick(benchmark, item_id="long", text="string", answer="string")
+    counted, matrix, used, n_passages = [], None, np.zeros(0, np.int64), 0
+    for items in blocks_of(bench, block):
+        vocabulary, own = passages(items)
+        counted.append(document_frequencies(docs, vocabulary) if own else None)
+        if own:
+            place = folded(vocabulary)
+            rows = save(spark.createDataFrame(weights_of(own, place, inverse_frequencies(counted[-1], len(vocabulary))), MATRIX))
+            matrix = rows if matrix is None else matrix.union(rows)
+            used, n_passages = np.union1d(used, place), n_passages + len(own)
+    if matrix is None:
+        return spark.createDataFrame([], SCHEMA)
+    own = randomised_svd(matrix, min(rank, n_passages), used=used)
+    directions = np.zeros((DIMS, own.shape[1]), np.float32)
+    directions[used] = own
     out = None
-    n = bench.count()
-    for at in range(0, max(n, 1), BLOCK):
-        block = bench if n <= BLOCK else bench.orderBy("item_id", "text").offset(at).limit(BLOCK)
-        items = [(r["item_id"], r["text"], r["answer"]) for r in block.collect()]  # at most BLOCK short texts
-        found = search(spark, docs, passages(items), rank)
-        out = found if out is None else out.union(found)
+    for items, count in zip(blocks_of(bench, block), counted, strict=True):
+        if count is not None:
+            found = search(spark, docs, passages(items), count, directions, min_cosine)
+            out = found if out is None else out.union(found)
     return out.groupBy("doc_id", "item_id").agg(F.max("cosine").alias("cosine"), F.max("cover").alias("cover"))
 
 
-def search(spark, docs: DataFrame, bench: tuple, rank: int) -> DataFrame:
-    schema = "doc_id long, item_id long, cosine double, cover double"
+def search(spark, docs: DataFrame, bench: tuple, counted: DataFrame, directions: np.ndarray, min_cosine: float | None) -> DataFrame:
+    """The leaks of a block. Its broadcast holds the words and passages of at most about BLOCK items."""
     vocabulary, own = bench
-    if not own:
-        return spark.createDataFrame([], schema)
-    df, total = document_frequencies(docs, vocabulary)
-    idf = np.log((total + 1.0) / (df + 1.0)) + 0.1
+    idf = inverse_frequencies(counted, len(vocabulary))
     place = folded(vocabulary)
-    rows = []
-    for i, (_, w, _) in enumerate(own):
-        d, inv = np.unique(place[w], return_inverse=True)
-        rows.append((i, d.tolist(), np.bincount(inv, weights=idf[w]).tolist()))
-    matrix = spark.createDataFrame(rows, "passage long, dims array<long>, weights array<double>")
-    directions = randomised_svd(matrix, min(rank, len(rows)))
-    latent = np.stack([np.asarray(w, np.float32) @ directions[d] for _, d, w in rows])
-    norm = np.maximum(np.sqrt(np.square(latent).sum(1)), 1e-9)
     table = (directions[place] * idf[:, None]).astype(np.float32)  # words x rank
+    latent = np.stack([np.asarray(w, np.float32) @ directions[d] for _, d, w in weights_of(own, place, idf)])
+    norm = np.sqrt(np.square(latent).sum(1))
     held = np.unique(np.concatenate([i * len(vocabulary) + w.astype(np.int64) for i, (_, w, _) in enumerate(own)]))
     least = np.array([min(needed(len(w), MIN_COVER), needed(len(w), MIN_COVER_ANSWER)) for _, w, _ in own])
     shared = spark.sparkContext.broadcast((vocabulary, table, latent, norm, own, postings(own, idf), held, least))
+    del table, latent, held
+    trim()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         vocabulary, table, latent, norm, own, index, held, least = shared.value
@@ -295,20 +352,20 @@ def search(spark, docs: DataFrame, bench: tuple, rank: int) -> DataFrame:
                 x, y, j, r0 = (v[at : at + 4096] for v in (begin, end, passage, row))
                 for k in np.flatnonzero(common(h, x, y, j, held, len(vocabulary)) >= least[j]):
                     item, p, answer = own[j[k]]
-                    own_words = h[x[k] : y[k]]
-                    cover = lcs(p, own_words) / len(p)
-                    if cover >= MIN_COVER or (cover >= MIN_COVER_ANSWER and holds(own_words, answer)):
-                        vec = table[own_words[own_words >= 0]].sum(0)
-                        cosine = vec @ latent[j[k]] / max(float(np.sqrt(np.square(vec).sum())), 1e-9) / norm[j[k]]
+                    n, span = aligned(p, h[x[k] : y[k]])
+                    cover = n / len(p)
+                    if cover < MIN_COVER_ANSWER:
+                        continue
+                    vec = table[span[span >= 0]].sum(0)
+                    cosine = vec @ latent[j[k]] / max(float(np.sqrt(np.square(vec).sum())) * norm[j[k]], 1e-9)
+                    if cover >= MIN_COVER or (min_cosine is not None and cosine >= min_cosine and n >= MIN_COMMON) or holds(h[x[k] : y[k]], answer):
                         found.append((ids[r0[k]], item, float(cosine), cover))
             if found:
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*found, strict=True), (pa.int64(), pa.int64(), pa.float64(), pa.float64()), strict=True)], names=["doc_id", "item_id", "cosine", "cover"])
 
-    return docs.mapInArrow(run, schema)
+    return docs.mapInArrow(run, SCHEMA)
 
 
-def decontaminated(documents: DataFrame, benchmark: DataFrame, id: str = "doc_id", text: str = "text") -> DataFrame:
-    """The documents, with their columns, into which no item leaks."""
-    own = documents.select(F.col(f"`{id}`").alias("doc_id"), F.col(f"`{text}`").alias("text"))
-    gone = save(leaks(own, benchmark).select(F.col("doc_id").alias("_dc_gone")).distinct())
-    return documents.join(gone, F.col(f"`{id}`") == F.col("_dc_gone"), "left_anti")
+def decontaminated(documents: DataFrame, benchmark: DataFrame, id: str = "doc_id", text: str = "text", min_cosine: float | None = MIN_COSINE) -> DataFrame:
+    """The documents, with their columns, into which no item leaks. A row goes if its own text leaks, not for its id: of rows that share an id, the clean ones stay."""
+    return without(documents, lambda rows: leaks(rows, benchmark, min_cosine=min_cosine), id, text)

@@ -19,7 +19,7 @@ def op1_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Four batches: all documents; revisions (upper case) of those with id % 10 = 3; deletes of id % 10 = 7; the revisions again, which changes nothing."""
     docs = pick(table(spark, sf_dir, "documents"), doc_id="long", source="string", lang="string", text="string")
-    rollup = counts.Rollup(spark, scratch(spark), {"byte_bpe_50k": tokens.vocabulary("byte_bpe_50k.tiktoken"), "byte_bpe_multi_50k": tokens.vocabulary("byte_bpe_multi_50k.tiktoken")})
+    rollup = counts.Rollup(spark, scratch(spark), {"byte_bpe_50k": tokens.vocabulary("byte_bpe_50k.json"), "byte_bpe_multi_50k": tokens.vocabulary("byte_bpe_multi_50k.tiktoken")})
     revised = docs.filter("doc_id % 10 = 3").withColumn("op", F.lit("revise")).withColumn("text", F.upper("text"))
     rollup.apply("b1", docs.withColumn("op", F.lit("insert")))
     rollup.apply("b2", revised)
@@ -39,7 +39,7 @@ def fold(doc_id: str, n: int):
 def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs, labels = table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")
     model = toxicity.train_on(docs, labels, where=lambda c: fold(c, 5) != 0)
-    return toxicity.scored(docs, model).select("doc_id", (fold("doc_id", 5) == 0).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
+    return toxicity.scored(docs, model, spans=True).select("doc_id", (fold("doc_id", 5) == 0).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"), "spans")
 
 
 def op9_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -52,16 +52,16 @@ def op2_katz(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return packing.packed(table(spark, sf_dir, "documents"), tokens.vocabulary("byte_bpe_50k.tiktoken")).drop("used")
+    return packing.packed(table(spark, sf_dir, "documents"), tokens.vocabulary("byte_bpe_50k.json")).drop("used")
 
 
 def op4_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return decontaminate.leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+    return decontaminate.leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"), min_cosine=decontaminate.MIN_COSINE)
 
 
 def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = pick(table(spark, sf_dir, "documents"), doc_id="long", text="string", source="string")
-    return line_dedup.drop_boilerplate(docs, min_pages=line_dedup.REPEATED).select("doc_id", "text", "n_lines", "n_dropped")
+    return line_dedup.drop_boilerplate(docs).select("doc_id", "text", "n_lines", "n_dropped")
 
 
 def op10_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
