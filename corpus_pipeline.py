@@ -12,20 +12,19 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from widthjoin.llm import decontaminate, line_dedup, neardup, packing, toxicity
-from widthjoin.llm.common import save, small, table
+from widthjoin.llm.common import finished, table, without
 
 
 def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Without the documents that the tagger, trained on the labelled ones among docs, calls toxic."""
     model = toxicity.train_on(docs, table(spark, sf_dir, "labels"))
-    gone = save(toxicity.scored(docs, model).filter("score >= 0.5").select(F.col("doc_id").alias("_tox_gone")).distinct())
-    return docs.join(small(gone), F.col("doc_id") == F.col("_tox_gone"), "left_anti")
+    return without(docs, lambda rows: toxicity.scored(rows, model).filter("score >= 0.5"))
 
 
 def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Texts without the boilerplate lines of their source; n_chars follows."""
-    out = line_dedup.drop_boilerplate(docs, min_pages=line_dedup.REPEATED).drop("n_lines", "n_dropped")
-    return out.withColumn("n_chars", F.length("text").cast("long")).select(docs.columns)
+    out = line_dedup.drop_boilerplate(docs, counts=False)
+    return out.withColumn("n_chars", F.length("text").cast("long")).select(docs.columns) if "n_chars" in docs.columns else out
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -57,5 +56,5 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     for _, stage in STAGES:
-        docs = save(stage(spark, docs, sf_dir))
+        docs = finished(spark, lambda stage=stage, docs=docs: stage(spark, docs, sf_dir))
     return docs
