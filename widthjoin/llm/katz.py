@@ -1,28 +1,32 @@
 """Katz backoff language model: Good-Turing discounted counts, exactly normalised backoff weights, recursive evaluation.
 
 Texts are cut into chunks of tokens that are written once, with a local table of
-word hashes. N-gram counts, discounts and backoff weights live in tables
-partitioned by context. Chunks do not carry n-grams around one by one: each sends
-its distinct (context, word) pairs, sorted and compressed, to the partitions that
-own them, these answer with the counts in the same order, and the chunk then
-evaluates each token recursively: the longest n-gram seen in training gives the
-discounted probability, otherwise the context's backoff weight times the
-probability of the shorter n-gram, down to unigrams and the unseen word.
+word hashes. Counts of each order live in a table partitioned by context. Chunks
+do not carry n-grams around one by one: each sends its distinct (context, word)
+pairs, sorted and compressed, to the partitions that own them, these answer with
+the counts in the same order, and the chunk then evaluates each token
+recursively: the longest n-gram seen in training gives the discounted
+probability, otherwise the context's backoff weight times the probability of the
+shorter n-gram, down to unigrams and the unseen word.
 
 For contexts with seen followers, mass(context) = sum of discounted conditional
 probabilities, lower(context) = sum of the followers' lower-order probabilities,
 and the backoff weight is (1 - mass) / (1 - lower): sums to one exactly, over the
-vocabulary and one unseen word.
+vocabulary and one unseen word. Weights are worked out where some text backs off.
+
+fit() stores the tables of all orders, by partition; a stored model scores other
+texts by the same exchange, its rows being one more sender of counts.
 
 Null or empty text: the end token alone. The first token of a text has no
-context and takes its unigram probability. Repeated rows are texts of their own,
-also in training. No training text: every word is the unseen word. A row without
-an id is not held out. Only id and text are read.
+context and takes its unigram probability, the second one its bigram's. Repeated
+rows are texts of their own, also in training. No training text: every word is
+the unseen word. A row without an id is not held out. Only id and text are read.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -33,12 +37,12 @@ from pyspark.sql import functions as F
 
 from .common import coded, hashes, mixed, pieces, save, words
 
-#: Bytes of text in a chunk at most (one text may be longer).
-CHUNK_BYTES = 8 << 20
+#: Bytes of text in a chunk at most (one text may be longer), and tokens that a partition should answer for.
+CHUNK_BYTES, PART_TOKENS = 8 << 20, 1_500_000
 #: Good-Turing discounts apply to counts up to this.
 TOP = 5
 END = np.uint64(0x9D39247E33776D41)  # hash of the end token
-ORDER = 2
+ORDER = 3
 #: A context is hot, and its followers spread over all partitions, above this many tokens and above 8 times an even share.
 MIN_SPREAD = 50_000
 CHUNKS = "chunk long, n long, docs binary, offs binary, held binary, vocab binary, ids binary"
@@ -60,14 +64,14 @@ def unpacked(b, kind) -> np.ndarray:
 
 
 def chunked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """One row a chunk: ids of rows, offsets, held-out marks, sorted hashes of the local words, and each token's local word."""
+    """One row a chunk: ids of rows, offsets, held-out marks, hashes of the local words, and each token's local word."""
     number = TaskContext.get().partitionId() << 24
     for b in pieces(batches, most=CHUNK_BYTES):
         text, doc, held = (b.column(b.schema.get_field_index(c)) for c in ("text", "doc_id", "held_out"))
         offs, flat = words(text, lower=True)
         ids, names = coded(flat)
         vocab = np.append(hashes(names), END)
-        order = np.argsort(vocab)
+        order = np.argsort(-np.append(np.bincount(ids, minlength=len(names)), len(offs) - 1), kind="stable")  # frequent words get small numbers
         rank = np.empty(len(vocab), np.int32)
         rank[order] = np.arange(len(vocab))
         n = len(offs) - 1
@@ -106,6 +110,15 @@ def batch_of(rows: list[tuple], schema: str) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(c, kinds[k]) for c, (_, k) in zip(cols, fields, strict=True)], names=[n for n, _ in fields])
 
 
+
+def by_part(part: np.ndarray, parts: int) -> Iterator[tuple[int, np.ndarray]]:
+    """The places of each partition that occurs, in their order."""
+    order = np.argsort(part, kind="stable")
+    cuts = np.searchsorted(part[order], np.arange(parts + 1))
+    for p in np.flatnonzero(np.diff(cuts)):
+        yield int(p), order[cuts[p] : cuts[p + 1]]
+
+
 WORDS = "part long, chunk long, words binary, counts binary"
 
 
@@ -114,21 +127,21 @@ def word_requests(batches, parts: int):
     for r in rows_in(batches):
         _, offs, held, vocab, ids = read_chunk(r)
         train = np.repeat(~held, np.diff(offs))
-        n = np.bincount(ids[train], minlength=len(vocab)).astype(np.int32)
-        part = owner(vocab, parts)
-        yield batch_of([(int(p), r["chunk"], packed(vocab[part == p]), packed(n[part == p])) for p in np.unique(part)], WORDS)
+        n = np.bincount(ids[train], minlength=len(vocab))
+        yield batch_of([(p, r["chunk"], packed(vocab[at]), packed(n[at])) for p, at in by_part(owner(vocab, parts), parts)], WORDS)
 
 
-def total_counts(keys: list[np.ndarray], counts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
-    """Distinct keys, sorted, and the sums of their counts; merged pair by pair, so that copies of all lists never stand together."""
-    if not keys:
-        return np.zeros(0, np.uint64), np.zeros(0, np.int64)
-    k = np.concatenate(keys)
-    c = np.concatenate(counts)
+def total_counts(keys: list[np.ndarray], counts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct keys, sorted; the sums of their counts; and the place of each given key among them."""
+    k = np.concatenate(keys) if keys else np.zeros(0, np.uint64)
     order = np.argsort(k, kind="stable")
-    k, c = k[order], c[order]
-    first = np.flatnonzero(np.concatenate([[True], k[1:] != k[:-1]]))
-    return k[first], np.add.reduceat(c.astype(np.int64), first)
+    k = k[order]
+    first = np.concatenate([np.ones(min(1, len(k)), bool), k[1:] != k[:-1]])
+    place = np.empty(len(k), np.int64)
+    place[order] = np.cumsum(first) - 1
+    c = np.concatenate(counts)[order].astype(np.int64) if keys else np.zeros(0, np.int64)
+    at = np.flatnonzero(first)
+    return k[at], np.add.reduceat(c, at) if len(c) else c, place
 
 
 def histogram(c: np.ndarray) -> list[int]:
@@ -170,139 +183,296 @@ def finish_unigrams(model: dict) -> dict:
     return model
 
 
+#: Senders that are no chunk: a partition's totals for the driver, and a stored model's rows.
+TOTALS, MODEL = -1, -2
 ANSWER = "chunk long, part long, counts binary, ids binary"
 
 
-def word_counter(parts: int, spread: int):
-    """Answers to all chunks that asked a partition: counts and numbers of words. Under chunk -1 its histogram, and words above `spread` with their counts."""
+def word_counter(parts: int, spread: int, store: bool):
+    """Answers to all chunks that asked a partition: counts and numbers of words, frequent words first. TOTALS: the histogram, and words above `spread` with their counts."""
 
     def run(t: pa.Table) -> pa.Table:
-        asked = [(r["chunk"], unpacked(r["words"], np.uint64), unpacked(r["counts"], np.int32)) for r in t.to_pylist()]
-        keys, total = total_counts([a[1] for a in asked], [a[2] for a in asked])
+        asked = [(r["chunk"], unpacked(r["words"], np.uint64), unpacked(r["counts"], np.int64)) for r in t.to_pylist()]
+        keys, total, place = total_counts([a[1] for a in asked], [a[2] for a in asked])
+        rank = np.empty(len(keys), np.int64)
+        rank[np.lexsort((keys, -total))] = np.arange(len(keys))
         part = t.column("part")[0].as_py()
-        out = []
+        out, at = [], 0
         for c, w, _ in asked:
-            at = np.searchsorted(keys, w)
-            out.append((c, part, packed(total[at]), packed(at * parts + part)))
+            own = place[at : at + len(w)]
+            at += len(w)
+            if c != MODEL:
+                out.append((c, part, packed(total[own]), packed(rank[own] * parts + part)))
         hot = np.flatnonzero(total > spread)
-        own = np.array([*histogram(total), *(hot * parts + part), *total[hot]], np.int64)
-        return pa.Table.from_batches([batch_of([*out, (-1, part, packed(own), packed(np.zeros(0, np.int64)))], ANSWER)])
+        own = np.array([*histogram(total), *(rank[hot] * parts + part), *total[hot]], np.int64)
+        out.append((TOTALS, part, packed(own), packed(np.zeros(0, np.int64))))
+        if store:
+            out.append((MODEL, part, packed(total), packed(keys)))
+        return pa.Table.from_batches([batch_of(out, ANSWER)])
 
     return run
 
 
-def word_tables(chunk: dict, answers: list[dict], parts: int) -> tuple[np.ndarray, ...]:
-    """A chunk's arrays, with the training count and the number of each local word."""
-    docs, offs, held, vocab, ids = read_chunk(chunk)
-    part = owner(vocab, parts)
-    count, number = np.zeros(len(vocab), np.int64), np.zeros(len(vocab), np.int64)
-    for r in answers:
-        own = part == r["part"]
-        count[own], number[own] = unpacked(r["counts"], np.int64), unpacked(r["ids"], np.int64)
-    return docs, offs, held, ids, count, number
-
+K1, K2 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F)
 
-def local_pairs(offs, ids, count) -> tuple[np.ndarray, ...]:
-    """Distinct (context, word) of known words as local numbers, and for each token its place among them, or -1."""
-    v = len(count)
-    key = np.full(len(ids), -1, np.int64)
-    key[1:] = ids[:-1].astype(np.int64) * v + ids[1:]
-    key[offs[:-1]] = -1
-    known = count[ids] > 0
-    key[1:][~(known[1:] & known[:-1])] = -1
-    own, inv = np.unique(key, return_inverse=True)
-    skip = int(len(own) > 0 and own[0] < 0)
-    own = own[skip:]
-    return own // v, own % v, inv - skip
 
+def joined(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """The hash by which a context and its follower, or the two words of a context, are known."""
+    with np.errstate(over="ignore"):
+        return mixed(a.astype(np.uint64) * K1 + b.astype(np.uint64) * K2)
 
-def pair_part(number_a: np.ndarray, number_b: np.ndarray, count_a: np.ndarray, parts: int, spread: int) -> np.ndarray:
-    """Owner of a pair: its context's partition; for contexts above `spread` the follower's, so that none holds all followers of a hot word."""
-    return np.where(count_a > spread, (number_b // parts) % parts, number_a % parts)
 
-
-PAIRS = "part long, chunk long, contexts binary, runs binary, followers binary, counts binary, lower binary"
+def ranks(*keys: np.ndarray) -> np.ndarray:
+    """Places in the order of the first key, then the next."""
+    out = np.empty(len(keys[0]), np.int64)
+    out[np.lexsort(keys[::-1])] = np.arange(len(out))
+    return out
 
 
-def split_pairs(a, b, count, number, parts, spread):
-    """For each partition: places of its pairs, its contexts and how many of the pairs each has.
+@dataclass
+class Level:
+    """A chunk's distinct n-grams of one order: context and follower of each; each token's n-gram, or -1; contexts whose weight a text needs in any case.
 
-    Contexts are all known words of the chunk that the partition owns, with or
-    without pairs here, as each may have to back off; and hot ones with pairs there.
+    And what the tables answered: counts of n-grams, divisors and backoff weights of contexts.
     """
-    part = pair_part(number[a], number[b], count[a], parts, spread)
-    order = np.argsort(part, kind="stable")
-    cuts = np.searchsorted(part[order], np.arange(parts + 1))
-    known = np.flatnonzero((count > 0) & (count <= spread))
-    known = known[np.argsort(number[known] % parts, kind="stable")]
-    ends = np.searchsorted(number[known] % parts, np.arange(parts + 1))
-    for p in range(parts):
-        own = order[cuts[p] : cuts[p + 1]]
-        ctx = np.union1d(known[ends[p] : ends[p + 1]], a[own])
-        if len(ctx):
-            yield p, own, ctx, np.bincount(np.searchsorted(ctx, a[own]), minlength=len(ctx)).astype(np.int32)
 
+    context: np.ndarray
+    follower: np.ndarray
+    place: np.ndarray
+    need: np.ndarray
+    count: np.ndarray | None = None
+    by: np.ndarray | None = None
+    weight: np.ndarray | None = None
+
+
+class Local:
+    """A chunk with the answers it has got so far, order by order."""
+
+    def __init__(self, chunk: dict, answers: list[dict], parts: int, spread: int):
+        self.parts, self.spread = parts, spread
+        self.docs, self.offs, self.held, vocab, self.ids = read_chunk(chunk)
+        self.count, self.number = np.zeros(len(vocab), np.int64), np.zeros(len(vocab), np.int64)
+        got = {r["part"]: r for r in answers if r["kind"] == 1}
+        for p, at in by_part(owner(vocab, parts), parts):
+            self.count[at], self.number[at] = unpacked(got[p]["counts"], np.int64), unpacked(got[p]["ids"], np.int64)
+        self.answers = answers
+        self.held_token = np.repeat(self.held, np.diff(self.offs))
+        self.levels: dict[int, Level] = {}
+
+    def keys(self, order: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Of the contexts of an order: their key, their training count, and the second word's number (nought for words)."""
+        if order == 2:
+            return self.number, self.count, np.zeros_like(self.number)
+        two = self.levels[2]
+        return joined(self.number[two.context], self.number[two.follower]).view(np.int64), two.count, self.number[two.follower]
+
+    def ngrams(self, order: int) -> Level:
+        """The n-grams of tokens whose context has been seen in training. The follower must be known; an unknown one needs the context's weight."""
+        ids, v = self.ids, len(self.count)
+        own = ids if order == 2 else self.levels[2].place
+        context = np.full(len(ids), -1, np.int64)
+        context[1:] = own[:-1]
+        context[self.offs[:-1]] = -1
+        seen = context >= 0
+        _, times, _ = self.keys(order)
+        seen[seen] = times[context[seen]] > 0
+        known = self.count[ids] > 0
+        need = np.zeros(len(times), bool)
+        need[context[seen & ~known]] = True
+        key = np.where(seen & known, context * v + ids, -1)
+        distinct, inv = np.unique(key, return_inverse=True)
+        skip = int(len(distinct) > 0 and distinct[0] < 0)
+        distinct = distinct[skip:]
+        out = Level(distinct // v, distinct % v, inv - skip, need)
+        self.levels[order] = out
+        return out
+
+    def split(self, order: int):
+        """For each partition: its n-grams, its contexts in the order of their numbers, and how many of these n-grams each has.
+
+        A context's n-grams are in one partition, but for hot contexts, whose followers are dealt over all.
+        """
+        own = self.levels[order]
+        key, times, second = self.keys(order)
+        first = self.number if order == 2 else self.number[self.levels[2].context]
+        home = owner(mixed(key.view(np.uint64)), self.parts)
+        hot = times > self.spread
+        part = home[own.context]
+        away = hot[own.context]
+        part[away] = owner(joined(key[own.context[away]], self.number[own.follower[away]]), self.parts)
+        rank = ranks(first, second)
+        by_rank = np.empty(len(rank), np.int64)
+        by_rank[rank] = np.arange(len(rank))
+        word = ranks(self.number)
+        order_ = np.argsort((part * len(rank) + rank[own.context]) * len(word) + word[own.follower], kind="stable")
+        cuts = np.searchsorted(part[order_], np.arange(self.parts + 1))
+        alone = np.flatnonzero(own.need & ~hot)
+        alone = alone[np.argsort(home[alone], kind="stable")]
+        ends = np.searchsorted(home[alone], np.arange(self.parts + 1))
+        for p in range(self.parts):
+            at = order_[cuts[p] : cuts[p + 1]]
+            r = rank[own.context[at]]
+            ctx = np.union1d(r, rank[alone[ends[p] : ends[p + 1]]])
+            if len(ctx):
+                yield p, at, by_rank[ctx], np.bincount(np.searchsorted(ctx, r), minlength=len(ctx)).astype(np.int32)
+
+    def learn(self, order: int, d: np.ndarray, hot: dict[int, tuple]) -> Level:
+        """Take in the tables' answers."""
+        own = self.ngrams(order)
+        key, times, _ = self.keys(order)
+        got = {r["part"]: r for r in self.answers if r["kind"] == order}
+        own.count, own.by, own.weight = np.zeros(len(own.context), np.int64), times.astype(np.float64), np.ones(len(times))
+        less = sum(1 << r for r in range(1, TOP + 1) if d[r] < 1)
+        lower_by = None if order == 2 else self.levels[2].by[self.levels[2].follower]
+        for p, at, ctx, _ in self.split(order):
+            x = got[p]
+            own.count[at] = unpacked(x["counts"], np.int64)
+            own.by[ctx] += (unpacked(x["present"], np.uint8) & less) == 0
+            some = ctx[unpacked(x["which"], np.int32)]
+            lower = unpacked(x["lower"], np.float64)
+            _, own.weight[some] = backoff(unpacked(x["stats"], np.int64).reshape(TOP + 1, -1), lower if order == 2 else lower / lower_by[some], d)
+        for i in np.flatnonzero(times > self.spread):
+            if int(key[i]) in hot:
+                stats, lower = hot[int(key[i])]
+                by, weight = backoff(stats.reshape(-1, 1), np.array([lower if order == 2 else lower / lower_by[i]]), d)
+                own.by[i], own.weight[i] = by[0], weight[0]
+        return own
+
+
+LEVEL = "part long, chunk long, contexts binary, seconds binary, runs binary, followers binary, counts binary, asked binary, lower binary, need binary"
+
+
+def requester(order: int, parts: int, spread: int, model: dict, hot: dict):
+    """A chunk's n-grams of an order, to the partitions that own them: counts in training texts, which ones held-out texts have, and the counts of the next shorter ones."""
 
-def pair_requester(parts: int, spread: int):
     def run(key, chunk: pa.Table, answers: pa.Table) -> pa.Table:
         out = []
         for r in chunk.to_pylist():
-            _, offs, held, ids, count, number = word_tables(r, answers.to_pylist(), parts)
-            a, b, place = local_pairs(offs, ids, count)
-            train = np.repeat(~held, np.diff(offs)) & (place >= 0)
-            n = np.bincount(place[train], minlength=len(a)).astype(np.int32)
-            for p, own, ctx, runs in split_pairs(a, b, count, number, parts, spread):
-                out.append((p, r["chunk"], packed(number[ctx]), packed(runs), packed(number[b[own]]), packed(n[own]), packed(count[b[own]])))
-        return pa.Table.from_batches([batch_of(out, PAIRS)])
+            own = Local(r, answers.to_pylist(), parts, spread)
+            for k in range(2, order):
+                own.learn(k, model[f"d{k}"], hot[k])
+            x = own.ngrams(order)
+            used = x.place >= 0
+            n = np.bincount(x.place[used & ~own.held_token], minlength=len(x.context))
+            asked = np.bincount(x.place[used & own.held_token], minlength=len(x.context)) > 0
+            if order == 2:
+                first, second, lower = own.number, None, own.count[x.follower]
+            else:
+                two = own.levels[2]
+                first, second = own.number[two.context], own.number[two.follower]
+                # the shorter n-gram is the token's own bigram
+                lower = np.zeros(len(x.context), np.int64)
+                lower[x.place[used]] = two.count[two.place[used]]
+            for p, at, ctx, runs in own.split(order):
+                gaps = np.diff(first[ctx], prepend=0)
+                out.append((p, r["chunk"], packed(gaps), None if second is None else packed(second[ctx]), packed(runs), packed(own.number[x.follower[at]]), packed(n[at]), packed(asked[at]), packed(lower[at]), packed(x.need[ctx])))
+        return pa.Table.from_batches([batch_of(out, LEVEL)])
 
     return run
 
 
-PAIR_ANSWER = "chunk long, part long, counts binary, stats binary, lower binary"
+LEVEL_ANSWER = "chunk long, part long, counts binary, present binary, which binary, stats binary, lower binary"
 
 
-def pair_counter(model: dict, hot: np.ndarray):
-    """Answers: counts of pairs, and for each context its followers by count (1 to TOP), the sum of larger counts, and their lower-order mass.
-    Under chunk -1: the histogram, and these sums of the hot contexts, of which a partition has a share."""
-    k1, k2 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F)
+def level_counter(order: int, model: dict, hot: np.ndarray, spread: int, store: bool):
+    """Answers: counts of n-grams; for each context which counts up to TOP its followers have; and for contexts from which a held-out text backs off
+    its followers by count (1 to TOP), the sum of larger counts, and their lower-order mass. TOTALS: the histogram, shares of hot contexts, keys above `spread`."""
 
     def run(t: pa.Table) -> pa.Table:
-        asked = []
+        part, asked = t.column("part")[0].as_py(), []
         for r in t.to_pylist():
+            ctx = np.cumsum(unpacked(r["contexts"], np.int64))
+            if r["seconds"] is not None:
+                ctx = joined(ctx, unpacked(r["seconds"], np.int64)).view(np.int64)
             runs = unpacked(r["runs"], np.int32)
-            ctx = unpacked(r["contexts"], np.int64)
-            a, b = np.repeat(ctx, runs), unpacked(r["followers"], np.int64)
-            with np.errstate(over="ignore"):
-                key = mixed(a.astype(np.uint64) * k1 + b.astype(np.uint64) * k2)
-            asked.append((r["chunk"], ctx, key, a, unpacked(r["counts"], np.int32), unpacked(r["lower"], np.int64)))
-        key, a = np.concatenate([x[2] for x in asked]), np.concatenate([x[3] for x in asked])
-        order = np.argsort(key, kind="stable")
-        key = key[order]
-        first = np.flatnonzero(np.concatenate([np.ones(min(1, len(key)), bool), key[1:] != key[:-1]]))
-        n = np.concatenate([x[4] for x in asked])[order].astype(np.int64)
-        total = np.add.reduceat(n, first) if len(n) else n
-        at = order[first]
-        keys, a, low = key[first], a[at], np.concatenate([x[5] for x in asked])[at]
-        ctx, inv = np.unique(a, return_inverse=True)
-        stats = [np.bincount(inv, weights=total == r, minlength=len(ctx)) for r in range(1, TOP + 1)]
-        stats.append(np.bincount(inv, weights=np.where(total > TOP, total, 0), minlength=len(ctx)))
+            a = np.repeat(ctx, runs)
+            asked.append((r["chunk"], ctx, a, joined(a, unpacked(r["followers"], np.int64)), unpacked(r["counts"], np.int64), unpacked(r["asked"], bool), unpacked(r["lower"], np.int64), unpacked(r["need"], bool), r))
+        keys, total, place = total_counts([x[3] for x in asked], [x[4] for x in asked])
+        a, low = np.zeros(len(keys), np.int64), np.zeros(len(keys), np.int64)
+        every = np.concatenate([x[2] for x in asked])
+        a[place] = every
+        low[place] = np.concatenate([x[6] for x in asked])
+        contexts, inv = np.unique(a, return_inverse=True)
+        present = np.zeros(len(contexts), np.uint8)
+        for r in range(1, TOP + 1):
+            present[inv[total == r]] |= np.uint8(1 << r)
+        wanted = np.zeros(len(contexts), bool)
+        gone = np.concatenate([x[5] for x in asked]) & (total[place] == 0)
+        wanted[inv[place[gone]]] = True
+        of = lambda c: np.minimum(np.searchsorted(contexts, c), max(len(contexts) - 1, 0))
+        for x in asked:
+            c = x[1][x[7]]
+            if len(c) and len(contexts):
+                at = of(c)
+                wanted[at[contexts[at] == c]] = True
+        is_hot = np.isin(contexts, hot)
+        wanted |= is_hot
+        some = np.flatnonzero(wanted)
+        at = np.full(len(contexts), -1, np.int64)
+        at[some] = np.arange(len(some))
+        own = np.flatnonzero((at[inv] >= 0) & (total > 0)) if len(inv) else np.zeros(0, np.int64)
+        where, c = at[inv[own]], total[own]
+        stats = [np.bincount(where, weights=c == r, minlength=len(some)) for r in range(1, TOP + 1)]
+        stats.append(np.bincount(where, weights=np.where(c > TOP, c, 0), minlength=len(some)))
         stats = np.stack(stats).astype(np.int64)
-        lower = np.bincount(inv, weights=np.where(total > 0, unigram(low, model), 0.0), minlength=len(ctx))
-        part, out = t.column("part")[0].as_py(), []
-        for c, own, k, *_ in asked:
-            i = np.append(ctx, -1)[np.searchsorted(ctx, own)] == own  # the others have no followers
-            at = np.searchsorted(ctx, own[i])
-            s, w = np.zeros((TOP + 1, len(own)), np.int64), np.zeros(len(own))
-            s[:, i], w[i] = stats[:, at], lower[at]
-            out.append((c, part, packed(total[np.searchsorted(keys, k)]), packed(s.ravel()), packed(w)))
-        i = np.flatnonzero(np.isin(ctx, hot))
-        own = np.array(histogram(total), np.int64)
-        out.append((-1, part, packed(np.concatenate([own, ctx[i], stats[:, i].ravel()])), packed(np.zeros(0, np.int64)), packed(lower[i])))
-        return pa.Table.from_batches([batch_of(out, PAIR_ANSWER)])
+        shorter = unigram(low[own], model) if order == 2 else discounted(low[own], model["d2"])
+        lower = np.bincount(where, weights=shorter, minlength=len(some))
+        out, begin = [], 0
+        for chunk, ctx, mine, *_ in asked:
+            counts = total[place[begin : begin + len(mine)]]
+            begin += len(mine)
+            if chunk == MODEL:
+                continue
+            k = of(ctx) if len(contexts) else np.zeros(len(ctx), np.int64)
+            found = contexts[k] == ctx if len(contexts) else np.zeros(len(ctx), bool)
+            bits = np.where(found, present[k] if len(present) else 0, 0).astype(np.uint8)
+            which = np.flatnonzero(found & (wanted[k] if len(wanted) else False)).astype(np.int32)
+            out.append((chunk, part, packed(counts), packed(bits), packed(which), packed(stats[:, at[k[which]]].ravel()), packed(lower[at[k[which]]])))
+        i = at[np.flatnonzero(is_hot)]
+        above = keys[total > spread].view(np.int64)
+        whole = np.array([*histogram(total), len(i), *contexts[is_hot], *stats[:, i].ravel(), *above], np.int64)
+        out.append((TOTALS, part, packed(whole), None, None, None, packed(lower[i])))
+        if store:  # sorted by context, as a sender's rows are
+            full = np.flatnonzero(total > 0)
+            out.append((MODEL, part, *model_row(asked, place, total, low, full)))
+        return pa.Table.from_batches([batch_of(out, LEVEL_ANSWER)])
 
     return run
 
 
+def model_row(asked: list, place: np.ndarray, total: np.ndarray, low: np.ndarray, full: np.ndarray) -> tuple:
+    """The partition's n-grams as a sender would send them: contexts, runs, followers, counts, counts of shorter ones, in the columns of LEVEL_ANSWER."""
+    n, three = len(total), asked[0][8]["seconds"] is not None
+    first, second, follower = (np.zeros(n, np.int64) for _ in range(3))
+    begin = 0
+    for _, ctx, mine, *_, r in asked:
+        runs = unpacked(r["runs"], np.int32)
+        at = place[begin : begin + len(mine)]
+        begin += len(mine)
+        first[at] = np.repeat(np.cumsum(unpacked(r["contexts"], np.int64)), runs)
+        if three:
+            second[at] = np.repeat(unpacked(r["seconds"], np.int64), runs)
+        follower[at] = unpacked(r["followers"], np.int64)
+    order = full[np.lexsort((follower[full], second[full], first[full]))]
+    f, s = first[order], second[order]
+    starts = np.flatnonzero(np.concatenate([np.ones(min(1, len(f)), bool), (f[1:] != f[:-1]) | (s[1:] != s[:-1])]))
+    runs = np.diff(np.append(starts, len(f))).astype(np.int32)
+    two = packed(s[starts]) if three else None
+    return packed(total[order]), two, packed(runs), packed(np.concatenate([np.diff(f[starts], prepend=0), follower[order]])), packed(low[order])
+
+
+def stored_requests(rows: DataFrame, order: int) -> DataFrame:
+    """A stored model's rows as requests."""
+
+    def run(batches):
+        for r in rows_in(batches):
+            runs, both, n = unpacked(r["which"], np.int32), unpacked(r["stats"], np.int64), unpacked(r["counts"], np.int64)
+            gaps, followers = both[: len(runs)], both[len(runs) :]
+            yield batch_of([(r["part"], MODEL, packed(gaps), r["present"], r["which"], packed(followers), packed(n), packed(np.zeros(len(n), bool)), r["lower"], packed(np.zeros(len(runs), bool)))], LEVEL)
+
+    return rows.filter(F.col("chunk") == MODEL).mapInArrow(run, LEVEL)
+
+
 def backoff(stats: np.ndarray, lower: np.ndarray, d: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Of contexts: the divisor of their followers' counts, and the backoff weight. Where no discount leaves mass, the divisor is larger by one."""
     r = np.arange(1, TOP + 1)[:, None]
@@ -315,89 +485,116 @@ def backoff(stats: np.ndarray, lower: np.ndarray, d: np.ndarray) -> tuple[np.nda
 SCORES = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
 
 
-def scorer(parts: int, spread: int, model: dict, hot: dict[int, tuple]):
+def scorer(order: int, parts: int, spread: int, model: dict, hot: dict):
     def run(key, chunk: pa.Table, answers: pa.Table) -> pa.Table:
         out = []
-        every = answers.to_pylist()
         for r in chunk.to_pylist():
-            docs, offs, held, ids, count, number = word_tables(r, [x for x in every if x["kind"] == 1], parts)
-            n = np.diff(offs)
-            base = np.log10((count + 1.0) / (model["h1"][0] + model["h1"][1] + 1.0))
-            one = unigram(count, model)
-            p = one[ids]
-            if model["order"] > 1:
-                a, b, place = local_pairs(offs, ids, count)
-                c2, by, weight = np.zeros(len(a), np.int64), np.ones(len(count)), np.ones(len(count))
-                got = {x["part"]: x for x in every if x["kind"] == 2}
-                for q, own, ctx, _runs in split_pairs(a, b, count, number, parts, spread):
-                    x = got[q]
-                    c2[own] = unpacked(x["counts"], np.int64)
-                    by[ctx], weight[ctx] = backoff(unpacked(x["stats"], np.int64).reshape(TOP + 1, -1), unpacked(x["lower"], np.float64), model["d2"])
-                for i in np.flatnonzero(count > spread):
-                    by[i], weight[i] = hot[int(number[i])]
-                seen = np.zeros(len(ids), bool)
-                pair = place >= 0
-                seen[pair] = c2[place[pair]] > 0
-                follows = np.ones(len(ids), bool)
-                follows[offs[:-1]] = False
-                before = np.concatenate([[0], ids[:-1]])
-                p = np.where(follows, weight[before] * p, p)
-                at = place[seen]
-                p[seen] = discounted(c2[at], model["d2"]) / by[a[at]]
+            own = Local(r, answers.to_pylist(), parts, spread)
+            ids, n, offs = own.ids, np.diff(own.offs), own.offs
+            base = np.log10((own.count + 1.0) / (model["h1"][0] + model["h1"][1] + 1.0))
+            p = unigram(own.count, model)[ids]
+            for k in range(2, order + 1):
+                x = own.learn(k, model[f"d{k}"], hot[k])
+                _, times, _ = own.keys(k)
+                context = np.full(len(ids), -1, np.int64)
+                context[1:] = (ids if k == 2 else own.levels[2].place)[:-1]
+                context[offs[:-1]] = -1
+                at = np.flatnonzero(context >= 0)
+                at = at[times[context[at]] > 0]
+                place = x.place[at]
+                seen = (place >= 0) & (x.count[place] > 0) if len(x.count) else np.zeros(len(at), bool)
+                p[at[~seen]] *= x.weight[context[at[~seen]]]
+                g = place[seen]
+                p[at[seen]] = discounted(x.count[g], model[f"d{k}"]) / x.by[x.context[g]]
             total = lambda x: np.add.reduceat(x, offs[:-1]) if len(n) else np.zeros(0)  # noqa: E731  every text has its end token
-            cols = (docs, held, n, total((count[ids] > 0).astype(np.int64)), np.full(len(n), model["h1"][0]), total(base[ids]), total(np.log10(p)))
+            cols = (own.docs, own.held, n, total((own.count[ids] > 0).astype(np.int64)), np.full(len(n), model["h1"][0]), total(base[ids]), total(np.log10(p)))
             out.append(pa.RecordBatch.from_arrays([pa.array(c) for c in cols], names=[x.split()[0] for x in SCORES.split(", ")]))
         return pa.Table.from_batches(out)
 
     return run
 
 
-def score_texts(documents: DataFrame, order: int = ORDER) -> DataFrame:
-    """SCORES of all rows of (doc_id, text, held_out); rows with held_out = false train the model. Orders above ORDER are not implemented."""
+#: Answers of all orders in one table: kind is the order.
+REPLY = {"chunk": "long", "kind": "int", "part": "long", "counts": "binary", "ids": "binary", "present": "binary", "which": "binary", "stats": "binary", "lower": "binary"}
+
+
+def replies(answers: DataFrame, kind: int) -> DataFrame:
+    have = set(answers.columns)
+    return answers.filter("chunk >= 0").withColumn("kind", F.lit(kind)).select(*[(F.col(c) if c in have or c == "kind" else F.lit(None)).cast(t).alias(c) for c, t in REPLY.items()])
+
+
+def score_texts(documents: DataFrame, order: int = ORDER, store: str | None = None, model_path: str | None = None) -> DataFrame:
+    """SCORES of all rows of (doc_id, text, held_out); rows with held_out = false train the model.
+
+    store: a folder for the tables of all orders. model_path: such a folder, whose model scores all rows; they train nothing then.
+    """
     if not 1 <= order <= ORDER:
         raise ValueError(f"order {order}: only orders 1 to {ORDER} are implemented")
     spark = documents.sparkSession
-    docs = documents.select(F.col("doc_id").cast("long"), F.col("text").cast("string"), F.coalesce("held_out", F.lit(False)).alias("held_out"))
+    held = F.lit(True) if model_path else F.coalesce("held_out", F.lit(False))
+    docs = documents.select(F.col("doc_id").cast("long"), F.col("text").cast("string"), held.alias("held_out"))
     chunks = save(docs.mapInArrow(chunked, CHUNKS), "none")
     n, tokens = chunks.agg(F.count(F.lit(1)), F.coalesce(F.sum("n"), F.lit(0))).first()
     if not n:
         return spark.createDataFrame([], SCORES)
-    parts = max(8, n)
+    parts = max(8, -(-tokens // PART_TOKENS))
     spread = max(MIN_SPREAD, 8 * tokens // parts)
+    if model_path:
+        meta = spark.read.parquet(f"{model_path}/meta").first()
+        parts, spread, order = meta["parts"], meta["spread"], min(order, meta["order"])
+    stored = lambda k, schema: spark.read.schema(schema).parquet(f"{model_path}/order={k}")
     asked = chunks.select("chunk", "docs", "offs", "held", "vocab", "ids").mapInArrow(lambda it: word_requests(it, parts), WORDS)
-    answers = save(asked.groupBy("part").applyInArrow(word_counter(parts, spread), ANSWER), "none")
-    h1, hot_words = np.zeros(TOP + 3, np.int64), []
-    for r in answers.filter("chunk = -1").select("counts").toLocalIterator():  # a histogram and a few hot words each
+    if model_path:
+        asked = asked.union(stored(1, ANSWER).select("part", "chunk", F.col("ids").alias("words"), "counts"))
+    keep_rows = store is not None
+    answers = save(asked.groupBy("part").applyInArrow(word_counter(parts, spread, keep_rows), ANSWER), "none")
+    if store:
+        answers.filter(F.col("chunk") == MODEL).write.mode("overwrite").parquet(f"{store}/order=1")
+    h1, hot_keys = np.zeros(TOP + 3, np.int64), []
+    for r in answers.filter(F.col("chunk") == TOTALS).select("counts").toLocalIterator():  # a histogram and a few hot words each
         x = unpacked(r["counts"], np.int64)
         h1 += x[: TOP + 3]
-        hot_words += x[TOP + 3 : TOP + 3 + (len(x) - TOP - 3) // 2].tolist()
+        hot_keys += x[TOP + 3 : TOP + 3 + (len(x) - TOP - 3) // 2].tolist()
     model = finish_unigrams({"h1": h1.tolist(), "order": order})
-    replies = answers.filter("chunk >= 0").select("chunk", F.lit(1).alias("kind"), "part", "counts", "ids", F.lit(None).cast("binary").alias("stats"), F.lit(None).cast("binary").alias("lower"))
-    hot: dict[int, tuple] = {}
-    if order > 1:
+    got, hot = replies(answers, 1), {}
+    for k in range(2, order + 1):
         collected(spark)
-        pairs = chunks.groupBy("chunk").cogroup(replies.groupBy("chunk")).applyInArrow(pair_requester(parts, spread), PAIRS)
-        second = save(pairs.groupBy("part").applyInArrow(pair_counter(model, np.array(sorted(hot_words), np.int64)), PAIR_ANSWER), "none")
-        h2, shares = np.zeros(TOP + 3, np.int64), {}
-        for r in second.filter("chunk = -1").select("counts", "lower").toLocalIterator():
+        wanted = chunks.groupBy("chunk").cogroup(got.groupBy("chunk")).applyInArrow(requester(k, parts, spread, model, dict(hot)), LEVEL)
+        if model_path:
+            wanted = wanted.union(stored_requests(stored(k, LEVEL_ANSWER), k))
+        level = save(wanted.groupBy("part").applyInArrow(level_counter(k, model, np.array(sorted(hot_keys), np.int64), spread, keep_rows), LEVEL_ANSWER), "none")
+        if store:
+            level.filter(F.col("chunk") == MODEL).write.mode("overwrite").parquet(f"{store}/order={k}")
+        h, shares, hot_keys = np.zeros(TOP + 3, np.int64), {}, []
+        for r in level.filter(F.col("chunk") == TOTALS).select("counts", "lower").toLocalIterator():
             x, low = unpacked(r["counts"], np.int64), unpacked(r["lower"], np.float64)
-            h2 += x[: TOP + 3]
-            k = len(low)
-            stats = x[TOP + 3 + k :].reshape(TOP + 1, k)
-            for i, c in enumerate(x[TOP + 3 : TOP + 3 + k].tolist()):
-                s, w = shares.get(c, (0, 0.0))
-                shares[c] = (s + stats[:, i], w + low[i])
-        model |= {"d2": discounts(h2.tolist()[2:]), "h2": h2.tolist()}
-        for c in hot_words:
-            s, w = shares.get(c, (np.zeros(TOP + 1, np.int64), 0.0))
-            by, weight = backoff(np.asarray(s).reshape(-1, 1), np.array([w]), model["d2"])
-            hot[c] = (float(by[0]), float(weight[0]))
-        replies = replies.union(second.filter("chunk >= 0").select("chunk", F.lit(2), "part", "counts", F.lit(None).cast("binary"), "stats", "lower"))
+            h += x[: TOP + 3]
+            m, x = int(x[TOP + 3]), x[TOP + 4 :]
+            stats = x[m : m + (TOP + 1) * m].reshape(TOP + 1, m)
+            for i, c in enumerate(x[:m].tolist()):
+                before, w = shares.get(c, (np.zeros(TOP + 1, np.int64), 0.0))
+                shares[c] = (before + stats[:, i], w + low[i])
+            hot_keys += x[m + (TOP + 1) * m :].tolist()
+        model |= {f"d{k}": discounts(h.tolist()[2:]), f"h{k}": h.tolist()}
+        hot[k] = shares
+        got = got.union(replies(level, k))
         collected(spark)
-    out = chunks.groupBy("chunk").cogroup(replies.groupBy("chunk")).applyInArrow(scorer(parts, spread, model, hot), SCORES)
+    if store:
+        spark.createDataFrame([(parts, spread, order)], "parts long, spread long, `order` int").coalesce(1).write.mode("overwrite").parquet(f"{store}/meta")
+    out = chunks.groupBy("chunk").cogroup(got.groupBy("chunk")).applyInArrow(scorer(order, parts, spread, model, hot), SCORES)
     return out.withColumn("doc_id", F.when(F.col("doc_id") != F.lit(-(2**63)), F.col("doc_id")))
 
 
+def fit(documents: DataFrame, path: str, order: int = ORDER) -> None:
+    """Store the model of all rows of (doc_id, text) in a folder: a table for each order, a row for each partition of it."""
+    score_texts(documents.withColumn("held_out", F.lit(False)), order, store=path)
+
+
+def score(documents: DataFrame, path: str) -> DataFrame:
+    """SCORES of (doc_id, text) by a stored model."""
+    return score_texts(documents.withColumn("held_out", F.lit(True)), model_path=path)
+
+
 def collected(spark) -> None:
     """Let Spark drop the shuffle files of steps that are over."""
     spark.sparkContext._jvm.System.gc()
