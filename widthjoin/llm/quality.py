@@ -1,13 +1,13 @@
 """Quality rules: base counts of a text, and cross-document line frequency by host.
 
-Normalised lines are hashed; for each host the distinct documents (distinct
-texts) with a line are counted; lines above the limits count as removed; a
-document that keeps too small a share of its words is rejected.
-
-Null text: no words, so the base rejects it. Null host: a host of its own.
-Lines without a word count for nothing. Rows that repeat a text in a host count
-once in its line frequencies and get the same verdict. An empty table gives an
-empty result; other columns are not read.
+Normalised lines are hashed; for each host the documents with a line are
+counted; lines above the limits are removed from the text; a document that
+keeps too small a share of its words is rejected.
+
+Null text: no words, so the base rejects it; it counts as a document of its
+host. Null host: a host of its own. Lines without a word count for nothing.
+Repeated rows are documents of their own. A line at a limit stays. An empty
+table gives an empty result; other columns are not read.
 """
 
 from __future__ import annotations
@@ -21,14 +21,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import coded, pick, pieces, sums, words
-from .line_dedup import has_word, line_key
+from .line_dedup import drop_boilerplate
 
-#: A line is over the limits in a host if this many distinct texts and this share of them have it.
-MIN_DOCS, MAX_SHARE = 10, 0.05
+#: A line is over the limits in a host if this many of its documents, and more than this share of them, have it.
+MIN_DOCS, MAX_SHARE = 2, 0.05
 #: A document is depleted if it keeps less than this share of its words.
 MIN_KEPT = 0.5
 SYMBOLS = b"#*$%&|<>"
-SCHEMA = "doc_id long, source string, text_key long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long"
+SCHEMA = "doc_id long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, n_kept_words long, cleaned string"
 
 
 def repeated_words(ids: np.ndarray, offs: np.ndarray) -> np.ndarray:
@@ -78,44 +78,24 @@ def base_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         at = np.frombuffer(text.buffers()[1], np.int64)[text.offset : text.offset + len(text) + 1]
         symbols = sums(lookup[raw[at[0] : at[-1]]], at - at[0])
         chars = sums(pc.utf8_length(flat).to_numpy(zero_copy_only=False), offs)
-        cols = [np.diff(offs), chars, symbols, repeated_lines(text), repeated_words(ids, offs)]
-        yield pa.RecordBatch.from_arrays(
-            [b.column(b.schema.get_field_index(c)) for c in ("doc_id", "source", "text_key")] + [pa.array(c.astype(np.int64)) for c in cols],
-            names=[x.split()[0] for x in SCHEMA.split(", ")],
-        )
-
-
-def line_verdicts(docs: DataFrame, min_docs: int = MIN_DOCS, max_share: float = MAX_SHARE) -> DataFrame:
-    """(source, text_key, lost_share): of each distinct text of a host, the share of its words in lines over the limits.
-
-    A text is reduced to (key, words) pairs of its distinct lines in its own row; hot lines are summed by map-side
-    combine, and the join back to a hot line is an inner equi-join, which Spark splits when it is skewed.
-    """
-    texts = docs.select("source", "text_key", "text")
-    line = lambda x: F.struct(line_key(x).alias("k"), F.size(F.regexp_extract_all(x, F.lit(r"([^\x20\x09-\x0D]+)"), 1)).alias("w"))
-    pairs = texts.select("source", "text_key", F.explode(F.transform(F.filter(F.split("text", "\n"), has_word), line)).alias("l")).select("source", "text_key", "l.k", "l.w")
-    per_text = pairs.groupBy("source", "text_key", "k").agg(F.sum("w").alias("w"), F.count(F.lit(1)).alias("times"))
-    counts = per_text.groupBy("source", "k").agg(F.count(F.lit(1)).alias("n_docs")).filter(F.col("n_docs") >= min_docs)
-    totals = texts.groupBy("source", "text_key").agg(F.count(F.lit(1)).alias("copies")).groupBy("source").agg(F.count(F.lit(1)).alias("host_docs"))
-    over = counts.alias("c").join(totals.alias("t"), F.col("c.source").eqNullSafe(F.col("t.source"))).filter(F.col("n_docs") > max_share * F.col("host_docs")).select(F.col("c.source").alias("over_source"), F.col("k").alias("over_k"))
-    lost = per_text.join(over, F.col("source").eqNullSafe(F.col("over_source")) & (F.col("k") == F.col("over_k")))
-    return lost.groupBy("source", "text_key").agg(F.sum("w").alias("lost"))
+        cleaned = b.column(b.schema.get_field_index("cleaned"))
+        changed = pc.is_valid(cleaned).to_numpy(zero_copy_only=False).astype(bool)
+        left = np.diff(offs)
+        left[changed] = np.diff(words(cleaned.filter(pa.array(changed)).cast(pa.large_string()))[0])
+        cols = [np.diff(offs), chars, symbols, repeated_lines(text), repeated_words(ids, offs), left]
+        yield pa.RecordBatch.from_arrays([b.column(b.schema.get_field_index("doc_id"))] + [pa.array(c.astype(np.int64)) for c in cols] + [cleaned], names=[x.split()[0] for x in SCHEMA.split(", ")])
 
 
 def quality(documents: DataFrame, min_docs: int = MIN_DOCS, max_share: float = MAX_SHARE, min_kept: float = MIN_KEPT) -> DataFrame:
-    """doc_id, base counts, base_failed, n_lost_words, kept."""
-    docs = pick(documents, doc_id="long", source="string", text="string").withColumn("text_key", F.xxhash64(F.coalesce("text", F.lit(""))))
-    base = docs.mapInArrow(base_counts, SCHEMA)
-    # lost words are sums over all copies of a text in a host, so they are divided by the copies
-    copies = docs.groupBy("source", "text_key").agg(F.count(F.lit(1)).alias("copies"))
-    lost = line_verdicts(docs, min_docs, max_share).alias("v").join(copies.alias("n"), F.col("v.source").eqNullSafe(F.col("n.source")) & (F.col("v.text_key") == F.col("n.text_key"))).select(F.col("v.source").alias("lost_source"), F.col("v.text_key").alias("lost_key"), F.expr("lost div copies").alias("lost"))
-    joined = base.join(lost, F.col("source").eqNullSafe(F.col("lost_source")) & (F.col("text_key") == F.col("lost_key")), "left")
+    """doc_id, base counts, base_failed, n_lost_words, kept, and cleaned: the text without the lines over the limits, null where it has none of them."""
+    docs = pick(documents, doc_id="long", source="string", text="string").withColumn("cleaned", F.col("text"))
+    docs = drop_boilerplate(docs, "cleaned", "source", max_share, min_docs, counts=False)
+    base = docs.select("doc_id", "text", F.when(F.col("cleaned") != F.col("text"), F.col("cleaned")).alias("cleaned")).mapInArrow(base_counts, SCHEMA)
     failed = (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
-    lost_words = F.coalesce("lost", F.lit(0)).cast("long")
-    return joined.select(
+    return base.select(
         "doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words",
-        failed.alias("base_failed"), lost_words.alias("n_lost_words"),
-        (~failed & (F.col("n_words") - lost_words >= min_kept * F.col("n_words"))).alias("kept"),
+        failed.alias("base_failed"), (F.col("n_words") - F.col("n_kept_words")).alias("n_lost_words"),
+        (~failed & (F.col("n_kept_words") >= min_kept * F.col("n_words"))).alias("kept"), "cleaned",
     )
 
 
@@ -127,12 +107,12 @@ g AS (SELECT doc_id, i FROM (SELECT doc_id, i, count(*) OVER (PARTITION BY doc_i
 r AS (SELECT doc_id, count(DISTINCT i + j) AS n FROM g, (SELECT unnest([0, 1, 2]) AS j) GROUP BY doc_id),
 b AS (SELECT doc_id, count(*) AS n, sum(length(w)) AS chars FROM w GROUP BY doc_id),
 l AS (SELECT doc_id, source, text, unnest(string_split(text, chr(10))) AS line FROM d),
-f AS (SELECT doc_id, source, text, line, trim(regexp_replace(lower(line), '[\x20\x09-\x0D]+', ' ', 'g')) AS k, len(regexp_extract_all(line, '[^\x20\x09-\x0D]+')) AS n FROM l WHERE regexp_matches(line, '[^\x20\x09-\x0D]')),
+f AS (SELECT doc_id, source, text, line, trim(regexp_replace(translate(line, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+', ' ', 'g')) AS k, len(regexp_extract_all(line, '[^\x20\x09-\x0D]+')) AS n FROM l WHERE regexp_matches(line, '[^\x20\x09-\x0D]')),
 u AS (SELECT doc_id, count(*) - count(DISTINCT line) AS n FROM f GROUP BY doc_id),
-h AS (SELECT source, count(DISTINCT text) AS n FROM d GROUP BY source),
-c AS (SELECT source, k, count(DISTINCT text) AS n FROM f GROUP BY source, k),
-o AS (SELECT c.source, k FROM c JOIN h ON c.source = h.source WHERE c.n >= {MIN_DOCS} AND c.n > {MAX_SHARE} * h.n),
-x AS (SELECT doc_id, sum(n) AS n FROM f JOIN o ON f.source = o.source AND f.k = o.k GROUP BY doc_id),
+h AS (SELECT source, count(*) AS n FROM d GROUP BY source),
+c AS (SELECT source, k, count(DISTINCT doc_id) AS n FROM f GROUP BY source, k),
+o AS (SELECT c.source, k FROM c JOIN h ON c.source IS NOT DISTINCT FROM h.source WHERE c.n >= {MIN_DOCS} AND c.n > {MAX_SHARE} * h.n),
+x AS (SELECT doc_id, sum(n) AS n FROM f JOIN o ON f.source IS NOT DISTINCT FROM o.source AND f.k = o.k GROUP BY doc_id),
 a AS (SELECT d.doc_id, coalesce(b.n, 0)::BIGINT AS n_words, coalesce(b.chars, 0)::BIGINT AS word_chars,
         length(regexp_replace(text, '[^#*$%&|<>]', '', 'g'))::BIGINT AS n_symbols, coalesce(u.n, 0)::BIGINT AS n_dup_lines, coalesce(r.n, 0)::BIGINT AS n_repeat_words, coalesce(x.n, 0)::BIGINT AS n_lost_words
       FROM d LEFT JOIN b ON b.doc_id = d.doc_id LEFT JOIN u ON u.doc_id = d.doc_id LEFT JOIN r ON r.doc_id = d.doc_id LEFT JOIN x ON x.doc_id = d.doc_id),
