@@ -17,6 +17,8 @@ import math
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .line_dedup import let
+
 #: Fixed values of the base: patterns as Java regular expressions, in the order of kinds.
 ASSIGN = r"""(?i:(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?)([A-Za-z0-9+/_.=-]+)"""
 ACCESS = r"AKIA[A-Z0-9]{16,}"
@@ -30,6 +32,8 @@ MIN_RATIO = 0.6
 #: Rows of the labelled samples: random strings, and documents whose words are the ordinary identifiers.
 RANDOM_ROWS, SAMPLE_DOCS = 3000, 2000
 SMOOTHING = 0.5
+#: Matches are added up in blocks of this many, as an array that grows by one element is copied each time.
+BLOCK = 256
 
 
 def spans(text: str, pattern: str):
@@ -48,7 +52,19 @@ def spans(text: str, pattern: str):
         end = start + F.length(x["v"])
         return F.struct(end.alias("at"), F.concat(a["out"], F.array(F.struct(start.alias("s"), end.alias("e"), x["v"].alias("v")))).alias("out"))
 
-    return F.when(t.rlike(pattern), F.aggregate(both, F.struct(F.lit(0).alias("at"), none.alias("out")), step, lambda a: a["out"])).otherwise(none)
+    def block(a, x):  # where a block starts
+        size = F.aggregate(x, F.lit(0), lambda n, y: n + y["g"] + F.length(y["v"]))
+        return F.struct((a["at"] + size).alias("at"), F.concat(a["out"], F.array(F.struct(a["at"].alias("at"), x.alias("x")))).alias("out"))
+
+    starts = F.array().cast("array<struct<at:int,x:array<struct<g:int,v:string>>>>")
+    placed = F.aggregate(blocks(both), F.struct(F.lit(0).alias("at"), starts.alias("out")), block, lambda a: a["out"])
+    own = F.transform(placed, lambda z: F.aggregate(z["x"], F.struct(z["at"].alias("at"), none.alias("out")), step, lambda a: a["out"]))
+    return F.when(t.rlike(pattern), F.flatten(own)).otherwise(none)
+
+
+def blocks(values):
+    """An array's elements in arrays of at most BLOCK."""
+    return let(values, lambda x: F.when(F.size(x) > 0, F.transform(F.sequence(F.lit(0), F.floor((F.size(x) - 1) / BLOCK).cast("int")), lambda k: F.slice(x, k * BLOCK + 1, F.lit(BLOCK)))).otherwise(F.filter(F.array(x), lambda y: F.size(y) > 0)))
 
 
 def labelled_sample(documents: DataFrame, text: str = "text", id: str = "doc_id", n_random: int = RANDOM_ROWS, n_docs: int = SAMPLE_DOCS) -> DataFrame:
@@ -99,8 +115,14 @@ def scan(documents: DataFrame, model: list[float], text: str = "text", id: str =
         pair = lambda acc, i: acc + F.element_at(table, at(v, i - 1) * n + at(v, i) + 1)
         return F.aggregate(F.sequence(F.lit(2), F.length(v)), F.lit(0.0), pair) / (F.length(v) - 1)
 
-    free = lambda x: ~F.exists("base", lambda b: (b["s"] < x["e"]) & (x["s"] < b["e"]))
-    return d.select("doc_id", "assign", "access", "hex", F.filter("runs", lambda x: free(x) & (ratio(x["v"]) > min_ratio)).alias("markov"))
+    # spans of the base in order of their starts, in blocks with the range they cover
+    def free(x, base):
+        meets = lambda b: (b["s"] < x["e"]) & (x["s"] < b["e"])
+        return ~F.exists(base, lambda k: meets(k) & F.exists(k["x"], meets))
+
+    ranges = F.transform(blocks(F.array_sort(F.transform("base", lambda b: F.struct(b["s"].alias("s"), b["e"].alias("e"))))), lambda x: F.struct(x[0]["s"].alias("s"), F.array_max(F.transform(x, lambda b: b["e"])).alias("e"), x.alias("x")))
+    markov = F.when(F.size("runs") == 0, F.col("runs")).otherwise(let(ranges, lambda base: F.filter("runs", lambda x: free(x, base) & (ratio(x["v"]) > min_ratio))))
+    return d.select("doc_id", "assign", "access", "hex", markov.alias("markov"))
 
 
 def digest(found: DataFrame) -> DataFrame:
