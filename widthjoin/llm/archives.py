@@ -5,7 +5,8 @@ lengths that their version block states. Each record gets an equivalent WARC
 record: identifier (from its content, so a repeated task writes the same),
 timestamp, type and digests. Records are text rows that end in the WARC
 terminator, so Spark's own committed writer makes the files, on any file
-system, and reruns after lost executors leave no doubles.
+system, and reruns after lost executors leave no doubles. A row holds a segment
+of records, bounded in bytes.
 
 Null html: an empty payload. Null url: "-" in the header line. Null id: no id
 header, null when read back. Of equal payloads the one with the largest id is
@@ -24,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import pick, pieces, scratch
+from .common import pick, pieces, save, scratch
 
 #: Field names of an ARC header line, by version.
 ARC_FIELDS = {
@@ -35,8 +36,10 @@ ARC_TITLE = {1: "URL IP-address Archive-date Content-type Archive-length", 2: "U
 END = b"\r\n\r\n"
 #: Equal payloads from this size on are written once.
 MIN_REVISIT = 1000
-#: Records in a written file, so that one file, read whole by a task, stays small.
-FILE_RECORDS = 2000
+#: A text row of a written file is a segment of records, of at most this many bytes of html (one page may be longer); segments in a file, which one task reads whole.
+SEGMENT_BYTES, FILE_SEGMENTS = 4 << 20, 8
+#: Digests of repeated payloads up to this number are broadcast.
+BROADCAST_DIGESTS = 200_000
 REVISIT_PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 ID_HEADER = "X-Page-Id"
 
@@ -152,7 +155,7 @@ def page_record_id(page_id: int) -> str:
 
 def pages_to_warc(batches: Iterator[pa.RecordBatch], version: int = 2, date: str = "20240101000000") -> Iterator[pa.RecordBatch]:
     """Pages are laid out as ARC segments, parsed by the converter, and come out as WARC records."""
-    for b in pieces(batches, "html", 4 << 20):
+    for b in pieces(batches, "html", SEGMENT_BYTES):
         rows = b.to_pylist()
         segment = bytearray(arc_version_block(version, date=date))
         for r in rows:
@@ -164,24 +167,30 @@ def pages_to_warc(batches: Iterator[pa.RecordBatch], version: int = 2, date: str
             if r["page_id"] is not None:  # revisits name the page's own identifier
                 whole = re.sub(rb"WARC-Record-ID: [^\r]*", f"WARC-Record-ID: {page_record_id(r['page_id'])}".encode(), whole, count=1)
             out.append(whole)
-        yield pa.RecordBatch.from_arrays([pa.array(out, pa.binary())], names=["record"])
+        yield pa.RecordBatch.from_arrays([pa.array([END.join(out)] if out else [], pa.binary())], names=["records"])
 
 
 def revisits(pages: DataFrame, min_bytes: int = MIN_REVISIT) -> DataFrame:
-    """pages with target: the page a row revisits, else null. Digests of equal payloads are found without moving html; only digests that repeat are joined."""
-    d = pages.withColumn("body", F.encode(F.coalesce("html", F.lit("")), "UTF-8"))
-    d = d.withColumn("sha", F.when(F.length("body") >= min_bytes, F.sha1("body"))).drop("body")
+    """pages with target: the page a row revisits, else null.
+
+    Digests are counted by themselves; those that repeat are broadcast, if few, so that html stays where it is, else joined by digest.
+    """
+    body = F.encode(F.coalesce("html", F.lit("")), "UTF-8")
+    d = pages.withColumn("sha", F.when(F.length(body) >= min_bytes, F.unhex(F.sha1(body))))
     last = d.filter("sha IS NOT NULL").groupBy("sha").agg(F.max("page_id").alias("last"), F.count(F.lit(1)).alias("n")).filter("n > 1").select(F.col("sha").alias("sha_of"), "last")
-    # rows without a digest find no partner; a key of their own keeps them from meeting in one task
-    d = d.withColumn("sha", F.coalesce("sha", F.concat(F.lit("-"), F.coalesce(F.col("page_id").cast("string"), F.col("url"), F.lit("")))))
+    last = save(last)
+    if last.count() <= BROADCAST_DIGESTS:
+        last = F.broadcast(last)
+    else:  # rows without a digest find no partner; a key of their own keeps them from meeting in one task
+        d = d.withColumn("sha", F.coalesce("sha", F.encode(F.concat(F.lit("-"), F.coalesce(F.col("page_id").cast("string"), F.col("url"), F.lit(""))), "UTF-8")))
     return d.join(last, d.sha == last.sha_of, "left").select("page_id", "url", "html", F.when(~F.col("page_id").eqNullSafe(F.col("last")), F.col("last")).alias("target"))
 
 
-def write_warc(pages: DataFrame, path: str, version: int = 2, min_bytes: int = MIN_REVISIT, file_records: int = FILE_RECORDS) -> None:
+def write_warc(pages: DataFrame, path: str, version: int = 2, min_bytes: int = MIN_REVISIT, file_segments: int = FILE_SEGMENTS) -> None:
     """One WARC record a page (page_id, url, html), as .gz files in path."""
     p = revisits(pick(pages, page_id="long", url="string", html="string"), min_bytes)
-    records = p.mapInArrow(lambda it: pages_to_warc(it, version), "record binary")
-    records.select(F.col("record").cast("string").alias("value")).write.option("lineSep", END.decode()).option("compression", "gzip").option("maxRecordsPerFile", file_records).text(path)
+    segments = p.mapInArrow(lambda it: pages_to_warc(it, version), "records binary")
+    segments.select(F.col("records").cast("string").alias("value")).write.option("lineSep", END.decode()).option("compression", "gzip").option("maxRecordsPerFile", file_segments).text(path)
 
 
 def read_warc(spark, path: str) -> DataFrame:
