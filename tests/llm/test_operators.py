@@ -78,6 +78,19 @@ def test_quality_against_brute_force(spark):
     assert quality.quality(empty(spark)).count() == 0
 
 
+def test_quality_removes_lines_ties_copies_and_long_texts(spark):
+    own = lambda i: " ".join(f"u{i}x{k}" for k in range(60))
+    rows = [(i, ("Menu  bar\n" if i < 2 else "") + own(i), "h") for i in range(40)]  # 2 of 40 is the limit itself
+    rows += [(100 + i, ("MENU bar\n" if i < 3 else "") + own(i), "g") for i in range(40)]
+    rows += [(200, own(0), "k"), (201, own(0), "k"), (202, None, None), (203, "a " * 700_000, None), (204, "x\n" * 50_000 + "y" * 200_000, "k")]
+    got = {r["doc_id"]: r for r in quality.quality(spark.createDataFrame([(*r, 1) for r in rows], "doc_id long, text string, source string, cleaned int")).collect()}
+    assert len(got) == len(rows)
+    assert got[0]["cleaned"] is None and got[0]["n_lost_words"] == 0
+    assert got[100]["cleaned"] == own(0) and got[100]["n_lost_words"] == 2 and got[100]["kept"] and got[103]["cleaned"] is None
+    assert not got[200]["kept"] and not got[201]["kept"] and got[200]["cleaned"] == ""  # copies raise their lines' frequency
+    assert got[203]["n_words"] == 700_000 and got[203]["base_failed"] and got[204]["n_words"] == 50_001 and got[202]["n_words"] == 0
+
+
 # ---- line dedup
 
 
@@ -158,6 +171,28 @@ def test_secrets_against_brute_force(spark):
     assert got[6]["spans"] == f"markov:13:{13 + 24}" and got[7]["spans"] == ""
 
 
+def test_many_and_long_matches_in_one_text(spark):
+    text = " é ".join(f"token={i:06d}x" for i in range(30_000)) + " " + "AKIA" + "Q" * 200_000 + " Zk3vQ9xTb7LmW2pRr8Yc5HdJ"
+    rows = [(1, text), (2, "none " * 300_000), (2, "none"), (None, None)]
+    got = sorted(secrets.digest(secrets.scan(spark.createDataFrame([(*r, "x", 1) for r in rows], "doc_id long, text string, runs string, base int"), [0.7] * 68 * 68)).collect(), key=lambda r: -r["n_assign"])
+    own = base_spans(text)
+    assert len(got) == 4 and got[0]["n_assign"] == 30_000 and got[0]["n_access"] == 1 and [r["n_assign"] for r in got[1:]] == [0, 0, 0]
+    assert got[0]["base_sha256"] == hashlib.sha256(",".join(":".join(map(str, x)) for x in own).encode()).hexdigest()
+    assert got[0]["n_markov"] == 1 and got[0]["spans"].endswith(f",markov:{len(text) - 24}:{len(text)}")
+
+
+def test_models_against_brute_force(spark):
+    sample = [("Ab3Qz9", True), ("zzTop1", True), ("some_word", False), ("other-word", False), ("x", False), ("", True)]
+    model = secrets.train(spark.createDataFrame(sample, "value string, is_random boolean"))
+    n = len(secrets.ALPHABET) + 1
+    counts_ = {k: Counter() for k in (True, False)}
+    for v, k in sample:
+        at = [secrets.ALPHABET.find(c) + 1 for c in v]
+        counts_[k].update(zip(at, at[1:]))
+    prob = lambda k, a, b: (counts_[k][a, b] + 0.5) / (sum(c for (x, _), c in counts_[k].items() if x == a) + 0.5 * n)
+    assert all(abs(model[a * n + b] - (math.log(prob(True, a, b)) - math.log(prob(False, a, b)))) < 1e-6 for a in range(n) for b in range(n))
+
+
 def test_secrets_in_plans_without_python(spark):
     df = secrets.secrets_of(spark.createDataFrame([(0, "internationalisation password=abcdefg", "en", "s", 1)], SCHEMA))
     assert "Python" not in df._jdf.queryExecution().toString() and "Arrow" not in df._jdf.queryExecution().toString()
@@ -461,6 +496,20 @@ def test_arc_versions_and_round_trip(spark):
     assert archives.round_trip(df.limit(0)).count() == 0
 
 
+def test_archives_with_repeated_ids_nulls_and_large_pages(spark, tmp_path, monkeypatch):
+    monkeypatch.setattr(archives, "SEGMENT_BYTES", 5000)
+    big = "z" * 1500
+    pages = [(1, "u", big), (1, "u", big), (None, "n", big), (None, None, None), (2, "v", big), (2, "v", big)] + [(10 + i, "p", f"{i} " * 900) for i in range(30)] + [(99, "l", "é" * 1_500_000)]
+    df = spark.createDataFrame([(*p, "x") for p in pages], "page_id long, url string, html string, target string").coalesce(1)
+    rows = [tuple(r[c] for c in ("page_id", "payload_bytes", "record_type", "refers_to")) for r in archives.round_trip(df, f"file://{tmp_path}/w").collect()]
+    small = [x for x in rows if x[1] == 1500]
+    assert Counter(small) == Counter({(1, 1500, "revisit", 2): 2, (None, 1500, "revisit", 2): 1, (2, 1500, "response", None): 2})
+    assert len(rows) == len(pages) and (None, 0, "response", None) in rows and (99, 3_000_000, "response", None) in rows
+    assert len([f for f in (tmp_path / "w").iterdir() if f.name.startswith("part-")]) >= 2
+    monkeypatch.setattr(archives, "BROADCAST_DIGESTS", -1)
+    assert Counter(tuple(r[c] for c in ("page_id", "payload_bytes", "record_type", "refers_to")) for r in archives.round_trip(df).collect()) == Counter(rows)
+
+
 # ---- token counts
 
 
@@ -484,6 +533,57 @@ def test_rollups_are_additive_and_idempotent(spark, tmp_path):
         rollup.apply("b6", change([("upsert", 5, "a", "en", "again")]))
 
 
+def test_rollups_against_a_recount_with_compaction_ties_and_versions(spark, tmp_path):
+    paths = {"json": tokens.vocabulary("byte_bpe_50k.json"), "multi": tokens.vocabulary("byte_bpe_multi_50k.tiktoken")}
+    rollup = counts.Rollup(spark, f"file://{tmp_path}/r", paths)
+    r, held, extra = random.Random(3), {}, []
+    n = lambda t: tuple(len(tokens.encode(p, t or "")) for p in paths.values())
+    for k in range(4):
+        rows = []
+        for _ in range(25):
+            op, i = r.choice(["insert", "revise", "delete"]), r.choice([None, *range(12)])
+            rows.append((op, i, r.choice(["a", None]), r.choice(["en", "de"]), r.choice(["one two", "x " * r.randint(1, 400), "", None, "<|endoftext|>"])))
+        best = {}
+        for op, i, s, lang, t in rows:
+            if i is None:
+                extra += [(s, lang, n(t))] * (op == "insert")
+            else:
+                key = (op, *((None, None) if op == "delete" else n(t)), s, lang)
+                best[i] = max(best.get(i, key), key, key=lambda x: tuple((v is not None, v) for v in x))
+        for i, (op, *tokens_, s, lang) in best.items():
+            held.pop(i, None)
+            if op != "delete":
+                held[i] = (s, lang, tuple(tokens_))
+        assert rollup.apply(f"b{k}", spark.createDataFrame(rows, "op string, doc_id long, source string, lang string, text string"))
+        if k in (1, 2):
+            rollup.compact()
+        expected = Counter()
+        for s, lang, own in [*held.values(), *extra]:
+            for v, m in zip(paths, own):
+                expected[s, lang, v, "docs"] += 1
+                expected[s, lang, v, "tokens"] += m
+        got = Counter()
+        for x in rollup.totals().collect():
+            got.update({(x["source"], x["lang"], x["version"], "docs"): x["n_docs"], (x["source"], x["lang"], x["version"], "tokens"): x["n_tokens"]})
+        assert +got == +expected
+    assert len(list((tmp_path / "r/base").iterdir())) == 1 and not rollup.apply("b1", spark.createDataFrame([("delete", 1)], "op string, doc_id long"))
+
+
+def test_token_count_query_against_a_recount(spark, tmp_path):
+    rows = [(i, t, lang, s, 1) for i, t, lang, s, _ in corpus(n=40)]
+    spark.createDataFrame(rows, SCHEMA).write.parquet(f"{tmp_path}/documents.parquet")
+    expected = Counter()
+    for v, f in (("byte_bpe_50k", "byte_bpe_50k.json"), ("byte_bpe_multi_50k", "byte_bpe_multi_50k.tiktoken")):
+        for i, t, lang, s, _ in rows:
+            if i % 10 != 7:
+                expected[s, lang, v, "docs"] += 1
+                expected[s, lang, v, "tokens"] += len(tokens.encode(tokens.vocabulary(f), (t or "").upper() if i % 10 == 3 else t or ""))
+    got = Counter()
+    for x in queries.op6_token_counts(spark, str(tmp_path)).collect():
+        got.update({(x["source"], x["lang"], x["version"], "docs"): x["n_docs"], (x["source"], x["lang"], x["version"], "tokens"): x["n_tokens"]})
+    assert +got == +expected
+
+
 # ---- decontamination
 
 
@@ -585,7 +685,7 @@ def test_randomised_svd_against_exact(spark):
 # ---- language model
 
 
-def katz_reference(docs, held):
+def katz_reference(docs, held, order=2):
     tok = lambda t: [*words(lower(t)), None]
     train = [tok(t) for i, t in docs if not held(i)]
     c1, c2 = Counter(w for t in train for w in t), Counter(p for t in train for p in zip(t, t[1:]))
@@ -611,29 +711,61 @@ def katz_reference(docs, held):
 
     for a in list(follow)[:15]:
         assert math.isclose(sum(two(a, w) for w in c1) + two(a, "never seen"), 1, rel_tol=1e-9)
+    c3 = Counter(x for t in train for x in zip(t, t[1:], t[2:]))
+    d3 = katz.discounts([sum(v == r for v in c3.values()) for r in range(1, katz.TOP + 2)])
+    after = defaultdict(dict)
+    for (a, b, c), v in c3.items():
+        after[a, b][c] = v
+
+    def three(a, b, c):
+        f = after.get((a, b))
+        if not f:
+            return two(b, c)
+        times, mass = sum(f.values()), sum(cut(v, d3) for v in f.values())
+        by = times + 1 if mass >= times else times
+        return cut(f[c], d3) / by if c in f else (1 - mass / by) / (1 - sum(two(b, w) for w in f)) * two(b, c)
+
+    for a, b in list(after)[:8]:
+        assert math.isclose(sum(three(a, b, w) for w in c1) + three(a, b, "never seen"), 1, rel_tol=1e-9)
     out = {}
     for i, t in docs:
         t = tok(t)
-        out[i] = (len(t), sum(c1[w] > 0 for w in t), n, sum(math.log10((c1[w] + 1) / (n + len(c1) + 1)) for w in t), math.log10(one(t[0])) + sum(math.log10(two(a, b)) for a, b in zip(t, t[1:])))
+        out[i] = (len(t), sum(c1[w] > 0 for w in t), n, sum(math.log10((c1[w] + 1) / (n + len(c1) + 1)) for w in t), math.log10(one(t[0])) + sum(math.log10(two(a, b)) for a, b in (zip(t, t[1:]) if order == 2 else zip(t[:1], t[1:2]))) + sum(math.log10(three(*x)) for x in (zip(t, t[1:], t[2:]) if order == 3 else ())))
     return out
 
 
-@pytest.mark.parametrize("chunk,spread", [(12 << 20, 50_000), (600, 20)])
-def test_katz_against_brute_force(spark, monkeypatch, chunk, spread):
+@pytest.mark.parametrize("order", [2, 3])
+@pytest.mark.parametrize("chunk,spread,part", [(12 << 20, 50_000, 10**6), (600, 20, 40)])
+def test_katz_against_brute_force(spark, monkeypatch, chunk, spread, part, order):
     monkeypatch.setattr(katz, "CHUNK_BYTES", chunk)
     monkeypatch.setattr(katz, "MIN_SPREAD", spread)
-    docs = [(i, t) for i, t, *_ in corpus(n=40)]
+    monkeypatch.setattr(katz, "PART_TOKENS", part)
+    docs = [(i, t) for i, t, *_ in corpus(n=40)] + [(100 + i, "hot one hot two hot three hot one hot hot four " * 25 + f"hot u{i} x") for i in range(4)]
     held = lambda i: i % 5 == 2
     df = spark.createDataFrame([(i, t, held(i), "x") for i, t in docs], "doc_id long, text string, held_out boolean, ids string").repartition(3)
-    got = {r["doc_id"]: r for r in katz.score_texts(df).collect()}
-    for i, e in katz_reference(docs, held).items():
+    got = {r["doc_id"]: r for r in katz.score_texts(df, order).collect()}
+    for i, e in katz_reference(docs, held, order).items():
         assert (got[i]["n_tokens"], got[i]["n_known"], got[i]["train_tokens"]) == e[:3] and got[i]["held_out"] == held(i)
         assert math.isclose(got[i]["base_score"], e[3], rel_tol=1e-9) and math.isclose(got[i]["score"], e[4], rel_tol=1e-9)
 
 
+def test_katz_models_are_stored_and_score_other_texts(spark, tmp_path, monkeypatch):
+    monkeypatch.setattr(katz, "CHUNK_BYTES", 900)
+    docs = [(i, t) for i, t, *_ in corpus(n=40)] + [(300, "w1 w2 " * 20_000), (301, "w3 " * 5), (301, "w3 " * 5)]
+    held = lambda i: i % 5 == 2
+    reference = katz_reference([(k, t) for k, (_, t) in enumerate(docs)], held, 3)
+    frame = lambda some: spark.createDataFrame([(k, t) for k, (_, t) in enumerate(docs) if some(k)], "doc_id long, text string")
+    katz.fit(frame(lambda k: not held(k)), f"file://{tmp_path}/m")
+    assert {x.name for x in (tmp_path / "m").iterdir()} == {"meta", "order=1", "order=2", "order=3"}
+    for r in katz.score(frame(lambda k: True), f"file://{tmp_path}/m").collect():
+        e = reference[r["doc_id"]]
+        assert (r["n_tokens"], r["n_known"], r["train_tokens"]) == e[:3]
+        assert math.isclose(r["base_score"], e[3], rel_tol=1e-9) and math.isclose(r["score"], e[4], rel_tol=1e-9)
+
+
 def test_katz_refuses_orders_it_does_not_have(spark):
     with pytest.raises(ValueError):
-        katz.score_texts(spark.createDataFrame([(1, "a b", False)], "doc_id long, text string, held_out boolean"), order=3)
+        katz.score_texts(spark.createDataFrame([(1, "a b", False)], "doc_id long, text string, held_out boolean"), order=4)
 
 
 def test_katz_edges(spark):

@@ -13,7 +13,7 @@ from .common import pick, scratch, table
 
 
 def op1_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return quality.quality(table(spark, sf_dir, "documents"))
+    return quality.quality(table(spark, sf_dir, "documents")).drop("cleaned")
 
 
 def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
