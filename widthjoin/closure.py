@@ -54,6 +54,23 @@ def settle(stats: Statistics, vars: Vars, bounds: Bounds) -> tuple[Bounds, list[
     return done, [by[s] for s in order if s in by and done[s] < bounds.get(s, done[s] + 1)]
 
 
+def settle_cardinalities(bounds: Bounds) -> tuple[Bounds, list[Step]]:
+    """settle() where sizes are the only statistics: each set takes the least bound of a set above it, by one projection."""
+    own, steps = dict(bounds) | {EMPTY: Fraction(1)}, []
+    below = {x for s in bounds for x in subsets(s) if x}
+    for x in sorted(below, key=lambda s: (-len(s), show(s))):
+        least = min((s for s in bounds if x <= s and s), key=lambda s: (bounds[s], len(s), show(s)))
+        if x not in bounds or bounds[least] < bounds[x]:
+            own[x] = Fraction(bounds[least])
+            steps.append(Step(x, least))
+    return own, steps
+
+
+def only_cardinalities(stats: Statistics, bounds: Bounds) -> bool:
+    """No constraint has a condition, and none is below the bound of its own set."""
+    return all(not t.x and t.y in bounds and bounds[t.y] <= t.max_degree for t in stats.terms)
+
+
 def apply(inst: Instance, steps: list[Step]) -> Instance:
     out = inst.copy()
     for step in steps:
@@ -68,7 +85,7 @@ def apply(inst: Instance, steps: list[Step]) -> Instance:
 
 
 def close_bounds(stats: Statistics, inst: Instance, bounds: Bounds, vars: Vars) -> tuple[Instance, Bounds]:
-    closed, steps = settle(stats, vars, bounds)
+    closed, steps = settle_cardinalities(bounds) if only_cardinalities(stats, bounds) else settle(stats, vars, bounds)
     return apply(inst, steps), closed
 
 

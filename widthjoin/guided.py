@@ -3,7 +3,8 @@
 The driver works through a queue of branches. A branch is an instance, an
 augmented form of the input, and bounds for its relations. All decisions come
 from bounds and a few measured scalars; rows stay in Spark. Splits cover every
-row, so answers are right whatever the bounds say; bounds only steer the cost.
+row, and every relation stays within its bound: a join is made only where the
+degrees, counted before, say that it is no larger.
 """
 
 from __future__ import annotations
@@ -18,11 +19,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .acyclic import acyclic_boolean, acyclic_evaluate, reduce_bags
-from .bounds import EMPTY, Bounds, Defect, lowest_defect
+from .bounds import EMPTY, Bounds, Defect, low_family, lowest_defect, satisfies, subsets
 from .closure import close_bounds
 from .decomposition import TreeDecomposition, covered_by, enumerate_decompositions
 from .instance import Instance, columns, natural_join, project, semijoin
-from .materialize import count_all, keep, keep_counted
+from .materialize import keep, keep_counted
 from .partition import equal_degree_parts, heavy_light
 from .query import ConjunctiveQuery, Vars, show
 from .statistics import Statistics, cardinalities, check_statistics
@@ -32,8 +33,10 @@ from .statistics import Statistics, cardinalities, check_statistics
 class Options:
     """eps or fanout: the slack of a light part's degree, N^eps; auto: eps 1/4 below a million rows, 1/8 above.
 
-    light_mode: "batched" takes all light parts at once, as one relation of at most
-    N^(c+eps) rows; "separate" makes a branch of each part, as the analysis has it.
+    light_mode: "separate" makes a branch of each light part, as the analysis has it; "batched" makes as few
+    branches as keep every join within c: a pair whose whole join is that small is not split at all, and
+    light parts are taken together while the sum of their joins stays within c.
+    orientation: "auto" splits the side with the smaller measured degree, relative to what the bounds allow.
     """
 
     eps: float | None = None
@@ -46,7 +49,7 @@ class Options:
     verify: bool = False
     group_leaves: bool = True
     split: bool = True
-    max_depth: int = 200
+    max_depth: int | None = None
     parallel: int = 4
 
 
@@ -70,7 +73,7 @@ class Run:
     leaves: list[tuple[object, Instance]] = field(default_factory=list)
 
     def frame(self, spark: SparkSession) -> DataFrame:
-        kinds = {"branch": "int", "parent": "int", "kind": "string", "depth": "int", "outcome": "string", "x": "string", "y": "string", "w": "string", "c_size": "double", "c_log": "double", "theta": "double", "threshold": "bigint", "n_rows": "bigint", "row_bound": "double", "ok": "boolean", "n_heavy": "bigint", "heavy_bound": "double", "n_relations": "int", "largest": "bigint", "phi": "double"}
+        kinds = {"branch": "int", "parent": "int", "kind": "string", "depth": "int", "outcome": "string", "x": "string", "y": "string", "w": "string", "c_size": "double", "c_log": "double", "theta": "double", "threshold": "bigint", "n_rows": "bigint", "row_bound": "double", "ok": "boolean", "n_heavy": "bigint", "heavy_bound": "double", "n_light": "int", "n_relations": "int", "largest": "bigint", "phi": "double", "low_family": "int"}
         return spark.createDataFrame([tuple(r.get(k) for k in kinds) for r in self.trace], ", ".join(f"{k} {v}" for k, v in kinds.items()))
 
     @property
@@ -85,6 +88,51 @@ def fan_out(n: int, options: Options) -> int:
     return max(1, math.ceil(max(n, 1) ** eps))
 
 
+@dataclass
+class Profile:
+    """Of two relations over common variables: rows, largest degrees, heavy keys that have a partner, and the rows of their join, whole and without heavy keys."""
+
+    rows_x: int
+    rows_y: int
+    max_x: int
+    max_y: int
+    heavy_x: int
+    heavy_y: int
+    light_x: int
+    light_y: int
+    joined: int
+
+    def turned(self) -> Profile:
+        return Profile(self.rows_y, self.rows_x, self.max_y, self.max_x, self.heavy_y, self.heavy_x, self.light_y, self.light_x, self.joined)
+
+
+def join_profile(rx: DataFrame, ry: DataFrame, w: Vars, limit_x: int, limit_y: int) -> Profile:
+    """From degrees alone, in one job: no row of the join is made. light_y: joined rows of the keys that are not heavy in ry."""
+    own, n = columns(w), lambda c: F.coalesce(c, F.lit(0)).cast("decimal(19,0)")
+    dx, dy = (r.groupBy(*own).agg(F.count(F.lit(1)).alias(c)) for r, c in ((rx, "nx"), (ry, "ny")))
+    j = dx.join(dy, own, "full_outer").select(n(F.col("nx")).alias("nx"), n(F.col("ny")).alias("ny"))
+    total = lambda c: F.coalesce(F.sum(c), F.lit(0)).cast("decimal(38,0)")
+    both = F.col("nx") * F.col("ny")
+    r = j.agg(
+        total(F.col("nx")), total(F.col("ny")), F.coalesce(F.max("nx"), F.lit(0)), F.coalesce(F.max("ny"), F.lit(0)),
+        F.count_if((F.col("nx") > limit_x) & (F.col("ny") > 0)), F.count_if((F.col("ny") > limit_y) & (F.col("nx") > 0)),
+        total(F.when(F.col("nx") <= limit_x, both)), total(F.when(F.col("ny") <= limit_y, both)), total(both),
+    ).first()
+    return Profile(*map(int, r))
+
+
+def batches(counts: dict[int, int], most: Fraction) -> list[list[int]]:
+    """Parts in as few groups as first fit by falling size finds, each of at most `most` rows; a part never has more."""
+    out: list[tuple[int, list[int]]] = []
+    for k in sorted(counts, key=lambda k: (-counts[k], k)):
+        i = next((i for i, (n, _) in enumerate(out) if n + counts[k] <= most), None)
+        if i is None:
+            out.append((counts[k], [k]))
+        else:
+            out[i] = (out[i][0] + counts[k], [*out[i][1], k])
+    return [own for _, own in out]
+
+
 def preference(options: Options, bags: list[Vars], light_side: dict) -> Callable[[Defect], tuple] | None:
     """Order of tied defects: unions inside a bag, splits on nothing, small unions; or the cheaper join, or small unions, or names."""
     if callable(options.tie_break):
@@ -95,7 +143,7 @@ def preference(options: Options, bags: list[Vars], light_side: dict) -> Callable
         return lambda d: (len(d.x | d.y), show(d.x | d.y))
     if options.tie_break == "cheapest_join":
         return lambda d: (light_side.get(d.x, math.inf) + light_side.get(d.y, math.inf), show(d.x | d.y))
-    return lambda d: (not any(d.x | d.y <= b for b in bags), bool(d.w), len(d.x | d.y), show(d.x | d.y), light_side.get(d.y, math.inf) if options.orientation == "auto" else show(d.y))
+    return lambda d: (not any(d.x | d.y <= b for b in bags), bool(d.w), len(d.x | d.y), show(d.x | d.y), show(d.y))
 
 
 def prereduced(inst: Instance) -> Instance:
@@ -122,10 +170,13 @@ def explore(q: ConjunctiveQuery, inst: Instance, stats: Statistics | None, optio
     if options.prereduce:
         inst = prereduced(inst)
     stats = stats if stats is not None else cardinalities(inst)
+    if bounds is not None and (broken := check_invariants(inst, bounds, stats, q.variables)):
+        raise ValueError(f"the bounds break invariants: {broken}")
     if options.verify and (bad := check_statistics(inst, stats)):
         raise ValueError(f"the instance violates statistics: {[(show(t.y), show(t.x), t.max_degree, m) for t, m in bad]}")
     run = Run(n, fan_out(n, options))
     vars_ = q.variables
+    deepest = options.max_depth or depth_limit(len(vars_), n, run.fanout)
 
     def step(b: Branch) -> tuple[dict, list[tuple[str, Instance, Bounds | None]], object | None]:
         """A branch's trace row, its children, and what it has covered, if it is a leaf."""
@@ -141,44 +192,52 @@ def explore(q: ConjunctiveQuery, inst: Instance, stats: Statistics | None, optio
         row["n_relations"] = len(b.inst.relations)
         if (leaf := stop(set(b.inst.relations))) is not None:
             return row | {"outcome": "leaf"}, [], leaf
-        if b.depth >= options.max_depth:
+        if b.depth >= deepest:
             raise RuntimeError(f"branch {b.number} is {b.depth} deep; trace: {run.trace[-5:]}")
         d = lowest_defect(b.bounds, preference(options, bags, b.inst.sizes))
         if d is None:
             raise RuntimeError("no defect is left and no tree is covered")
+        whole = options.light_mode != "separate"
+        rx, ry = b.inst.relations[d.x], b.inst.relations[d.y]
+        profile = None
+        if d.w and options.split:
+            profile = join_profile(rx, ry, d.w, *(int(b.bounds[side] / b.bounds[d.w] * run.fanout) for side in (d.x, d.y)))
+            if options.orientation == "auto" and profile.max_x * b.bounds[d.y] < profile.max_y * b.bounds[d.x]:
+                d, rx, ry, profile = Defect(d.y, d.x, d.value), ry, rx, profile.turned()
+            b.inst.sizes[d.x], b.inst.sizes[d.y] = profile.rows_x, profile.rows_y
         theta = b.bounds[d.y] / b.bounds[d.w]
         limit = int(theta * run.fanout)
-        row |= {"outcome": "split", "x": show(d.x), "y": show(d.y), "w": show(d.w), "c_size": float(d.value), "c_log": math.log(d.value) / math.log(max(n, 2)), "theta": float(theta), "threshold": limit}
-        rx, ry = b.inst.relations[d.x], b.inst.relations[d.y]
+        row |= {"outcome": "split", "x": show(d.x), "y": show(d.y), "w": show(d.w), "c_size": float(d.value), "c_log": math.log(d.value) / math.log(max(n, 2)), "theta": float(theta), "threshold": limit, "low_family": len(low_family(b.bounds, d.value))}
+        union = d.x | d.y
+
+        def joined(part: DataFrame) -> DataFrame:
+            have = b.inst.relations.get(union)  # never rebuilt, only filtered by both sides
+            return natural_join(rx, part) if have is None else natural_join(semijoin(have, rx), part) if len(part.columns) > len(d.y) else semijoin(semijoin(have, rx), part)
+
         heavy, light, children = None, ry, []
-        if d.w and d.w != d.y and options.split:
-            keys, _ = heavy_light(ry, d.w, limit)
-            keys, row["n_heavy"] = keep_counted(keys)
-            if d.y not in b.inst.sizes:
-                b.inst.sizes[d.y] = count_all({0: ry})[0]
-            row["heavy_bound"] = b.inst.sizes[d.y] / max(limit, 1)
+        fits = profile is None or (whole and profile.joined <= d.value)
+        if profile is not None:
+            row |= {"n_heavy": 0 if fits else profile.heavy_y, "heavy_bound": profile.rows_y / max(limit, 1)}
             if row["n_heavy"]:
-                heavy, light = keys, ry.join(keys, columns(d.w), "left_anti").select(ry.columns)
-        parts = [light]
-        if options.light_mode == "separate" and d.w:
-            numbered = keep(equal_degree_parts(light, d.w, int(theta)))
-            k = numbered.agg(F.coalesce(F.max("__part"), F.lit(-1)).alias("k")).first()["k"] + 1
-            parts = [numbered.filter(F.col("__part") == i).drop("__part") for i in range(k)]
-        union = d.x | d.y
-        total, largest = 0, 0
-        for part in parts:
+                heavy = keep(semijoin(heavy_light(ry, d.w, limit)[0], rx))
+                light = ry.join(heavy, columns(d.w), "left_anti").select(ry.columns)
+        sizes: list[int] = []
+
+        def light_child(own: DataFrame, size: int) -> None:
             child = b.inst.copy()
-            if union in child.relations:  # never rebuilt, only filtered by both sides
-                own = semijoin(semijoin(child.relations[union], rx), part)
-            else:
-                own = natural_join(rx, part)
-            child.relations[union], size = keep_counted(own)
-            child.sizes[union] = size
-            total, largest = total + size, max(largest, size)
+            child.relations[union], child.sizes[union] = own, size
+            sizes.append(size)
             if size:
                 children.append(("light", *close_bounds(stats, child, b.bounds | {union: d.value}, vars_)))
-        slack = 1 if options.light_mode == "separate" or not d.w else run.fanout
-        row |= {"n_rows": total, "row_bound": float(d.value * slack), "ok": largest <= d.value * slack}
+
+        if not d.w or not options.split or fits or (whole and profile.light_y <= d.value):
+            light_child(*keep_counted(joined(light)))
+        else:
+            own = keep(joined(equal_degree_parts(light, d.w, int(theta))))
+            counts = {r["__part"]: r["n"] for r in own.groupBy("__part").agg(F.count(F.lit(1)).alias("n")).collect()}  # at most twice the fan-out
+            for batch in batches(counts, d.value) if whole else [[k] for k in sorted(counts)]:
+                light_child(own.filter(F.col("__part").isin(batch)).drop("__part"), sum(counts[k] for k in batch))
+        row |= {"n_rows": sum(sizes), "row_bound": float(d.value), "ok": max(sizes, default=0) <= d.value, "n_light": len(sizes)}
         if heavy is not None:
             child = b.inst.copy()
             child.augment(d.w, heavy)
@@ -206,6 +265,12 @@ def explore(q: ConjunctiveQuery, inst: Instance, stats: Statistics | None, optio
     return run
 
 
+def depth_limit(n_vars: int, n: int, fanout: int) -> int:
+    """What the analysis allows: at most 2^V light branches between two heavy ones, each of which lowers a potential of at most 2^V (V + 1) by the slack's exponent."""
+    eps = max(math.log(max(fanout, 2)) / math.log(max(n, 3)), 1e-3)
+    return 2**n_vars * (math.ceil(2**n_vars * (n_vars + 1) / eps) + 1)
+
+
 def potential(sizes: dict[Vars, int], vars_: Vars, n: int) -> float:
     """Sum of logarithmic sizes over all variable sets, those without a relation charged above the full join."""
     base = math.log(max(n, 2))
@@ -213,15 +278,37 @@ def potential(sizes: dict[Vars, int], vars_: Vars, n: int) -> float:
     return present + (2 ** len(vars_) - 1 - len(sizes)) * (len(vars_) + 1)
 
 
+def check_invariants(inst: Instance, bounds: Bounds, stats: Statistics, vars: Vars) -> list[str]:
+    """Why bounds may not be passed in: a relation without a bound or larger than it, a bound without a relation, no monotone function, a violated constraint."""
+    own = bounds | {EMPTY: bounds.get(EMPTY, Fraction(1))}
+    out = [f"{show(k)}: {n} rows, bound {own.get(k)}" for k, n in inst.measure().items() if k and (k not in own or n > own[k])]
+    out += [f"{show(k)}: a bound without a relation" for k in own if k and k not in inst.relations]
+    out += [] if own[EMPTY] == 1 else ["the empty set is not bounded by one row"]
+    for x in subsets(vars):
+        for y in own:
+            if x < y and (x not in own or own[x] > own[y]):
+                out.append(f"{show(x)} is above {show(y)}")
+    return out + ([] if satisfies(own, stats) else ["a degree constraint does not hold"])
+
+
 def leaf_stop(trees: list[TreeDecomposition]) -> Callable[[set[Vars]], TreeDecomposition | None]:
     return lambda signatures: next((t for t in trees if covered_by(t, signatures)), None)
 
 
 def grouped(leaves: list[tuple[TreeDecomposition, Instance]]) -> list[tuple[TreeDecomposition, dict[Vars, DataFrame]]]:
-    """One set of bags a tree: the unions of its leaves' reduced bags. Each still satisfies every atom that it covers."""
+    """One set of bags a tree: the unions of its leaves' reduced bags. Each still satisfies every atom that it covers.
+
+    Of several leaves each bag is written, side by side, as a union of their plans would be as long as all branches together.
+    """
     by: dict[TreeDecomposition, dict[Vars, DataFrame]] = {}
-    for t, inst in leaves:
-        bags = reduce_bags(inst.relations, t)
+
+    def reduced(leaf):
+        bags = reduce_bags(leaf[1].relations, leaf[0])
+        return bags if len(leaves) == 1 else {k: keep(df) for k, df in bags.items()}
+
+    with ThreadPoolExecutor(4) as pool:
+        every = list(pool.map(reduced, leaves))
+    for (t, _), bags in zip(leaves, every, strict=True):
         own = by.setdefault(t, {})
         for k, df in bags.items():
             own[k] = own[k].union(df) if k in own else df

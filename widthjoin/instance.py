@@ -3,12 +3,13 @@
 from __future__ import annotations
 
 from collections.abc import Iterable, Mapping
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .materialize import count_all, keep
+from .materialize import count_all, keep_counted
 from .query import Atom, ConjunctiveQuery, Vars
 
 
@@ -58,11 +59,17 @@ class Instance:
     @staticmethod
     def load(query: ConjunctiveQuery, tables: Mapping[str, DataFrame], materialize: bool = True) -> Instance:
         """Bind the atoms: a table's columns are an atom's variables by position. Atoms over the same variables are intersected."""
+        return Instance.of_atoms(((atom, tables[atom.relation]) for atom in query.atoms), materialize)
+
+    @staticmethod
+    def of_atoms(pairs: Iterable[tuple[Atom, DataFrame]], materialize: bool = True) -> Instance:
         out = Instance()
-        for atom in query.atoms:
-            out.augment(atom.set, bound(atom, tables[atom.relation]))
-        if materialize:
-            out.relations = {k: keep(v) for k, v in out.relations.items()}
+        for atom, table in pairs:
+            out.augment(atom.set, bound(atom, table))
+        if materialize:  # written and counted side by side
+            with ThreadPoolExecutor(4) as pool:
+                made = list(pool.map(keep_counted, out.relations.values()))
+            out.relations, out.sizes = ({k: x[i] for k, x in zip(out.relations, made, strict=True)} for i in (0, 1))
         out.measure()
         return out
 
@@ -98,13 +105,15 @@ class Instance:
 
 
 def bound(atom: Atom, table: DataFrame) -> DataFrame:
-    """An atom's relation: a repeated variable is a filter; null rows and doubles go; integers are widened, so that variables join across tables."""
-    if len(table.columns) != len(atom.vars):
-        raise ValueError(f"{atom.relation} has {len(table.columns)} columns, the atom has {len(atom.vars)} variables")
+    """An atom's relation: a constant or a repeated variable is a filter; null rows and doubles go; integers are widened, so that variables join across tables."""
+    if len(table.columns) != len(atom.vars) + len(atom.values):
+        raise ValueError(f"{atom.relation} has {len(table.columns)} columns, the atom has {len(atom.vars) + len(atom.values)} places")
     kinds = dict(table.dtypes)
     own = table.select(*[widened(F.col(f"`{c}`"), kinds[c]).alias(f"c{i}") for i, c in enumerate(table.columns)])
     first: dict[str, int] = {}
-    for i, v in enumerate(atom.vars):
+    own = select_eq(own, {f"c{i}": x for i, x in atom.values})
+    places = [i for i in range(len(table.columns)) if i not in dict(atom.values)]
+    for i, v in zip(places, atom.vars, strict=True):
         if v in first:
             own = own.filter(F.col(f"c{i}") == F.col(f"c{first[v]}"))
         else:

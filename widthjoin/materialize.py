@@ -9,20 +9,46 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Callable
 
 from pyspark.sql import DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 
 def scratch(spark: SparkSession) -> str:
-    """A new path in spark.checkpoint.dir; where that is unset, as in tests, in a temporary folder."""
+    """A new path in spark.checkpoint.dir; where that is unset and the master is local, as in tests, in a temporary folder."""
     sc = spark.sparkContext
     top = sc.getConf().get("spark.checkpoint.dir")
     if not top:
         if not sc._jsc.sc().getCheckpointDir().isDefined():
+            if not sc.master.startswith("local") or sc.master.startswith("local-cluster"):
+                raise ValueError("spark.checkpoint.dir is not set: a cluster needs a folder that all its machines share")
             sc.setCheckpointDir(tempfile.mkdtemp(prefix="widthjoin-"))
         top = sc._jsc.sc().getCheckpointDir().get()
-    return f"{top.rstrip('/')}/{uuid.uuid4().hex}"
+    path = f"{top.rstrip('/')}/{uuid.uuid4().hex}"
+    for own in _made:
+        own.append(path)
+    return path
+
+
+#: Paths made inside each call of cleaned() that has not returned yet.
+_made: list[list[str]] = []
+
+
+def cleaned(spark: SparkSession, make: Callable[[], DataFrame]) -> DataFrame:
+    """make()'s rows, written; every relation that was kept on the way is deleted. Without it a lazy result still reads them."""
+    path, own = scratch(spark), []
+    _made.append(own)
+    try:
+        df = make()
+        df.write.parquet(path)
+    finally:
+        _made.remove(own)
+        fs = spark._jvm.org.apache.hadoop.fs
+        for x in own:
+            p = fs.Path(x)
+            p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
+    return spark.read.schema(df.schema).parquet(path)
 
 
 def keep(df: DataFrame) -> DataFrame:
