@@ -4,7 +4,8 @@ from __future__ import annotations
 
 import re
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 #: name -> SQL, with tables in braces; a pair is (Spark, DuckDB). Column order is variable order.
 RELATIONS: dict[str, str | tuple[str, str]] = {
@@ -49,6 +50,18 @@ def text_for(name: str, duckdb: bool = False) -> str:
     return re.sub(r"\{(\w+)\}", r"\1", own) if duckdb else own
 
 
+def bind_atom(df: DataFrame, vars: dict[str, Column | str], where: Column | str | None = None) -> DataFrame:
+    """A table as an atom's relation: {variable: column or SQL expression}, of the rows that meet the condition. Columns are in the order given."""
+    own = df if where is None else df.filter(where)
+    return own.select(*[(F.expr(c) if isinstance(c, str) else c).alias(v) for v, c in vars.items()])
+
+
+def star(spark: SparkSession, n: int) -> DataFrame:
+    """A hub 0 with n edges to it and n from it: the instance on which every single tree needs n^2 rows."""
+    leaf = spark.range(1, n + 1).select(F.col("id").alias("a"), F.lit(0).cast("bigint").alias("b"))
+    return leaf.union(leaf.select("b", "a"))
+
+
 def relation(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     own = text_for(name)
     tables = {t: spark.read.parquet(f"{sf_dir}/{t}.parquet") for t in set(re.findall(r"\{(\w+)\}", own))}
