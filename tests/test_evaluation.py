@@ -1,13 +1,25 @@
+import datetime
+import os
+import random
+from fractions import Fraction
+
 import pytest
+from pyspark.sql import functions as F
 
-from widthjoin import workloads
+from widthjoin import sql, workloads
 from widthjoin.baselines import disjunctive_rule, dual_rules_evaluate, pairwise_evaluate, single_tree_evaluate, uniformize_evaluate
 from widthjoin.decomposition import bag_selectors, enumerate_decompositions
-from widthjoin.guided import Options, guided_evaluate
+from widthjoin.closure import close_bounds
+from widthjoin.enumerate import TreeAnswers, delay_bound, enumerate_answers, union_of
+from widthjoin.functions import dense_rank, running_total
+from widthjoin.guided import Options, batches, check_invariants, guided_evaluate, join_profile
 from widthjoin.instance import Instance, columns
 from widthjoin.partition import equal_degree_parts, heavy_light
 from widthjoin.query import parse_rule
-from widthjoin.statistics import Statistics, check_statistics, max_degree
+from widthjoin.materialize import cleaned, scratch
+from widthjoin.sources import bind_atom, star
+from widthjoin.statistics import Statistics, cardinalities, check_statistics, max_degree
+from widthjoin.streaming import windows
 from widthjoin.width import submodular_width
 
 CYCLE = "q({}) :- a(x, y), b(y, z), c(z, w), d(w, x)"
@@ -149,3 +161,124 @@ def test_sandwich_and_rule_cover(spark):
 def test_workload_sql_names(spark):
     for name in workloads.RULES:
         assert "SELECT DISTINCT" in workloads.sql(name)
+
+
+def test_every_join_stays_within_its_bound_and_relations_within_theirs(spark):
+    edge = [(i, j) for i in range(6) for j in range(6) if (i * j) % 5 < 2] + [(0, i) for i in range(14)]
+    q = parse_rule("q(x, y, z) :- a(x, y), b(y, z), c(z, x)")
+    inst = Instance.load(q, tables(spark, a=edge, b=edge, c=edge))
+    for mode in ("batched", "separate"):
+        out, run = guided_evaluate(q, inst, options=Options(fanout=2, light_mode=mode), with_run=True)
+        split = [r for r in run.trace if r.get("outcome") == "split"]
+        assert split and all(r["ok"] and r["n_rows"] <= r["row_bound"] * max(1, r["n_light"]) for r in split)
+        assert rows(out) == rows(pairwise_evaluate(q, inst))
+
+
+def test_parts_are_taken_together_within_the_bound():
+    got = batches({0: 5, 1: 4, 2: 3, 3: 1}, Fraction(8))
+    assert sorted(sum(got, [])) == [0, 1, 2, 3] and all(sum({0: 5, 1: 4, 2: 3, 3: 1}[k] for k in own) <= 8 for own in got) and len(got) == 2
+
+
+def test_profiles_count_joins_without_making_them(spark):
+    a = spark.createDataFrame([(1, i) for i in range(5)] + [(2, 9), (3, 1)], "w bigint, x bigint")
+    b = spark.createDataFrame([(1, i) for i in range(3)] + [(2, 1), (7, 1), (7, 2)], "w bigint, y bigint")
+    p = join_profile(a, b, frozenset("w"), 2, 1)
+    assert (p.rows_x, p.rows_y, p.max_x, p.max_y, p.heavy_x, p.heavy_y, p.light_x, p.light_y, p.joined) == (7, 6, 5, 3, 1, 1, 1, 1, 16)
+    t = p.turned()
+    assert (t.rows_x, t.heavy_y, t.light_y, t.joined) == (6, 1, 1, 16)
+    none = join_profile(a.limit(0), b.limit(0), frozenset("w"), 1, 1)
+    assert none.joined == 0 and none.max_x == 0
+
+
+def test_bounds_passed_in_must_keep_the_invariants(spark):
+    q = parse_rule(CYCLE.format("x, z"))
+    inst = Instance.load(q, tables(spark, a=TWO_HUBS, b=TWO_HUBS, c=TWO_HUBS, d=TWO_HUBS))
+    stats = cardinalities(inst)
+    closed, own = close_bounds(stats, inst, {k: Fraction(n) for k, n in inst.sizes.items()}, q.variables)
+    assert not check_invariants(closed, own, stats, q.variables)
+    assert rows(guided_evaluate(q, closed, stats, bounds=own)) == rows(guided_evaluate(q, inst))
+    x, xy = frozenset("x"), frozenset("xy")
+    for broken in (own | {xy: Fraction(1)}, {k: v for k, v in own.items() if k != x}, own | {frozenset("xyz"): Fraction(99)}, own | {frozenset(): Fraction(2)}, own | {x: own[xy] + 1}):
+        assert check_invariants(closed, broken, stats, q.variables)
+        with pytest.raises(ValueError):
+            guided_evaluate(q, closed, stats, bounds=broken)
+
+
+def test_answers_come_one_by_one_at_bounded_delay(spark):
+    data = dict(a=TWO_HUBS, b=[(y, x) for x, y in TWO_HUBS], c=TWO_HUBS, d=[(y, x) for x, y in TWO_HUBS])
+    for head in ("x, y", "x, y, z, w"):
+        q = parse_rule(CYCLE.format(head))
+        _, run = guided_evaluate(q, Instance.load(q, tables(spark, **data)), options=Options(fanout=2), with_run=True)
+        for per in (10**6, 60):  # at once, and part by part
+            got = list(enumerate_answers(q, run, per))
+            assert sorted(a for a, _ in got) == brute(q, data)
+            if per > 60:
+                assert max(n for _, n in got) <= delay_bound(run)
+    with pytest.raises(ValueError):
+        next(enumerate_answers(q.with_head([]), run))
+
+
+def test_delay_does_not_grow_with_the_star(spark):
+    gaps, answers = [], []
+    for n in (10, 80):
+        q = parse_rule("q(x, y) :- e(x, y), e(y, z), e(z, w), e(w, x)")
+        _, run = guided_evaluate(q, Instance.load(q, {"e": star(spark, n)}), options=Options(fanout=2), with_run=True)
+        own = list(enumerate_answers(q, run))
+        gaps.append(max(s for _, s in own))
+        answers.append(len({a for a, _ in own}))
+        assert len(own) == answers[-1]
+    assert answers == [20, 160] and gaps[0] == gaps[1]
+
+
+def test_unions_give_each_answer_once():
+    def of(rows_):
+        return TreeAnswers([("x", "y")], [()], [{(): rows_}], [set(rows_)], ("x", "y"))
+
+    sets = [of([(1, 1), (2, 2), (3, 3)]), of([(3, 3), (4, 4), (1, 1)]), of([(1, 1)]), of([])]
+    assert sorted(union_of(sets)) == [(1, 1), (2, 2), (3, 3), (4, 4)]
+
+
+def test_constants_sql_and_rules_by_name(spark):
+    lines = spark.createDataFrame([(1, 2, "R"), (1, 3, "it's"[:2]), (4, 4, "R"), (5, None, "R")], "a bigint, b int, f string")
+    assert rows(sql(spark, "q(x) :- lines(x, y, 'R')", {"lines": lines})) == [(1,), (4,)]
+    assert rows(sql(spark, "q(x, y) :- lines(x, y, 'it')", {"lines": lines})) == [(1, 3)]
+    assert rows(sql(spark, "q(f) :- lines(4, y, f)", {"lines": lines})) == [("R",)]
+    assert rows(sql(spark, "SELECT DISTINCT p.a FROM lines p, lines AS r WHERE p.b = r.b AND r.a = p.a", {"lines": lines})) == [(1,), (4,)]
+    for bad in ("q() :- lines(1, 2, 'x')", "q(x) :- lines(x, 'open, y)", "q(x) :- lines(x, __y, z)"):
+        with pytest.raises(ValueError):
+            parse_rule(bad)
+    own = bind_atom(lines, {"v": "a + 1", "u": lines.b}, "f = 'R'")
+    assert own.columns == ["v", "u"] and own.count() == 3
+
+
+def test_running_totals_over_ranges(spark):
+    r = random.Random(1)
+    data = [(i, r.randint(0, 5)) for i in range(200)]
+    df = spark.createDataFrame(data, "i bigint, n bigint").repartition(3)
+    got = {x["i"]: (x["t"], x["n"]) for x in running_total(df, [F.desc("n"), F.asc("i")], "n", "t", 5).collect()}
+    at = 0
+    for i, n in sorted(data, key=lambda x: (-x[1], x[0])):
+        at += n
+        assert got[i] == (at, n)
+    ranks = {x["n"]: x["r"] for x in dense_rank(df, "n", "r").collect()}
+    assert ranks == {n: k for k, n in enumerate(sorted({n for _, n in data}, reverse=True), 1)}
+    assert running_total(df.limit(0), [F.asc("i")], "n", "t").count() == 0
+
+
+def test_relations_kept_on_the_way_are_deleted(spark):
+    q = parse_rule("q(x, z) :- a(x, y), b(y, z)")
+    before = set(os.listdir(os.path.dirname(scratch(spark).removeprefix("file:"))))
+    out = cleaned(spark, lambda: guided_evaluate(q, Instance.load(q, tables(spark, a=TWO_HUBS, b=TWO_HUBS))))
+    after = set(os.listdir(os.path.dirname(scratch(spark).removeprefix("file:"))))
+    assert out.count() == len(brute(q, dict(a=TWO_HUBS, b=TWO_HUBS))) and len(after - before) == 1
+
+
+def test_streams_leave_late_events_out(spark, tmp_path):
+    hour = lambda h, m=0: datetime.datetime(2024, 1, 1 + h // 24, h % 24, m)
+    events = spark.createDataFrame([(i, hour(h), 1, "a", 0.0, '{"k": 1}') for i, h in enumerate((0, 0, 3, 30, 60))], "event_id bigint, ts timestamp_ntz, user_id bigint, event_type string, value double, props string")
+    events.write.parquet(f"{tmp_path}/events.parquet")
+    got = sorted((x["start"], x["n"]) for x in windows.late_events(spark, str(tmp_path)).collect())
+    assert got == [(hour(0), 2), (hour(3), 1), (hour(30), 1), (hour(60), 1)]
+    assert windows.drained(windows.distinct_edges(windows.file_stream(spark, str(tmp_path)), "100 days")).count() == 1
+    assert sorted(x["n"] for x in windows.sliding(spark.read.parquet(f"{tmp_path}/events.parquet")).collect()) == [1] * 12 + [2] * 4
+    assert sorted(x["n"] for x in windows.sessions(spark.read.parquet(f"{tmp_path}/events.parquet")).collect()) == [1, 1, 1, 2]

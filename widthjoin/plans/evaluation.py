@@ -45,17 +45,20 @@ def registry() -> dict[str, Entry]:
         out[f"{w}_full"] = entry(w)
     for k in (2, 4, 8, 16):
         out[f"w18_fanout_{k}"] = entry("w05", "u1, k1", fanout=k)
+        out[f"w18_w01_fanout_{k}"] = entry("w01", "x, y", fanout=k)
+        out[f"w18_w06_fanout_{k}"] = entry("w06", "d1", fanout=k)
     for s in ("none", "card", "keys", "measured"):
         out[f"w19_{s}"] = entry("w02", stats=s)
         out[f"w19_w08_{s}"] = entry("w08", stats=s)
     out["w20_bool"], out["w20_x"], out["w20_xy"], out["w20_xz_count"] = entry("w05", ""), entry("w05", "u1"), entry("w05", "u1, k1"), counted(entry("w01", "x, z"))
     for v, o in {"prereduce": {"prereduce": True}, "lexicographic": {"tie_break": "lexicographic"}, "smallest_union": {"tie_break": "smallest_union"}, "cheapest_join": {"tie_break": "cheapest_join"}, "per_leaf": {"group_leaves": False}, "no_heavy_reduce": {"heavy_reduce": False}, "verify": {"verify": True}, "nosplit": {"split": False}, "fixed_orientation": {"orientation": "names"}}.items():
         out[f"variant_{v}"] = entry("w02", **o)
-    out["variant_separate"] = entry("w04", light_mode="separate", fanout=4)  # a branch for each light part: exact as analysed, and many small jobs
+    # a branch for each light part, as analysed
+    out["variant_separate"] = entry("w04", light_mode="separate", fanout=4)
+    out["variant_separate_w01"] = entry("w01", "x, y", light_mode="separate", fanout=2)
     for w, head in (("w01", "x, y"), ("w02", None), ("w03", None), ("w05", None), ("w06", None)):
         for kind, engine in (("pairwise", "pairwise"), ("tree1", "tree:0"), ("trivial", "trivial"), ("dual", "dual"), ("uniform", "uniform")):
-            # on w01 the first two make all 4.5 million cycles for a few thousand answers; uniformizing takes very many small jobs on skewed inputs
-            if not (w == "w01" and kind in ("pairwise", "trivial")) and not (kind == "uniform" and w not in ("w02", "w03")):
+            if kind != "uniform" or w in ("w02", "w03"):  # on skewed inputs uniformizing makes very many small jobs
                 out[f"base_{kind}_{w}"] = entry(w, head, engine)
         if w != "w03":
             out[f"base_tree2_{w}"] = entry(w, head, "tree:1")

@@ -8,12 +8,15 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window as W
 
+from .. import workloads
 from ..baselines import uniformity_gap
+from ..functions import degree_profile, dense_rank, register, running_total, sql
 from ..instance import Instance, natural_join, project, select_eq, semijoin
 from ..materialize import keep, scratch
 from ..partition import equal_degree_parts, heavy_light
 from ..query import parse_rule
-from ..sources.relations import relation, text_for
+from ..sources import bind_atom, relation, star
+from ..sources.relations import text_for
 from ..statistics import Statistics, check_statistics, collect_statistics, degree_at, degrees, max_degree
 from ..streaming import windows
 
@@ -126,8 +129,8 @@ def registry() -> dict[str, Entry]:
         "agg_rollup": (lambda s, d: t(s, d, li).rollup("l_suppkey", "l_returnflag").agg(F.countDistinct("l_partkey").alias("n")), "SELECT l_suppkey, l_returnflag, count(DISTINCT l_partkey) AS n FROM lineitem GROUP BY ROLLUP (l_suppkey, l_returnflag)"),
         "agg_bool_or": (lambda s, d: t(s, d, "orders").groupBy("o_custkey").agg(F.bool_or(F.col("o_orderstatus") == "F").alias("some")), "SELECT o_custkey, bool_or(o_orderstatus = 'F') AS some FROM orders GROUP BY o_custkey"),
         "win_degree": (lambda s, d: r(s, d, "order_supp").withColumn("degree", rows_().over(W.partitionBy("orderkey"))), f"SELECT orderkey, suppkey, count(*) OVER (PARTITION BY orderkey) AS degree FROM {q('order_supp')}"),
-        "win_rank_degree": (lambda s, d: degrees(r(s, d, "order_supp"), ["orderkey"], ["suppkey"]).withColumn("rank", F.dense_rank().over(W.orderBy(F.desc("degree")))), f"SELECT suppkey, degree, CAST(dense_rank() OVER (ORDER BY degree DESC) AS INT) AS rank FROM (SELECT suppkey, count(*) AS degree FROM {q('order_supp')} GROUP BY suppkey)"),
-        "win_cumulative": (lambda s, d: degrees(r(s, d, "user_key_buy"), ["user_id"], ["k"]).withColumn("total", F.sum("degree").over(W.orderBy(F.desc("degree"), "k").rowsBetween(W.unboundedPreceding, 0))), f"SELECT k, degree, CAST(sum(degree) OVER (ORDER BY degree DESC, k ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS BIGINT) AS total FROM (SELECT k, count(*) AS degree FROM {q('user_key_buy')} GROUP BY k)"),
+        "win_rank_degree": (lambda s, d: dense_rank(degrees(r(s, d, "order_supp"), ["orderkey"], ["suppkey"]), "degree", "rank").withColumn("rank", F.col("rank").cast("int")), f"SELECT suppkey, degree, CAST(dense_rank() OVER (ORDER BY degree DESC) AS INT) AS rank FROM (SELECT suppkey, count(*) AS degree FROM {q('order_supp')} GROUP BY suppkey)"),
+        "win_cumulative": (lambda s, d: running_total(degrees(r(s, d, "user_key_buy"), ["user_id"], ["k"]), [F.desc("degree"), F.asc("k")], "degree", "total"), f"SELECT k, degree, CAST(sum(degree) OVER (ORDER BY degree DESC, k ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS BIGINT) AS total FROM (SELECT k, count(*) AS degree FROM {q('user_key_buy')} GROUP BY k)"),
         "win_lag": (lambda s, d: t(s, d, "events").select("event_id", F.lag("event_type").over(W.partitionBy("user_id").orderBy("ts", "event_id")).alias("before"), F.lead("event_id").over(W.partitionBy("user_id").orderBy("ts", "event_id")).alias("after")), "SELECT event_id, lag(event_type) OVER w AS before, lead(event_id) OVER w AS after FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)"),
         "win_range": (lambda s, d: t(s, d, "orders").select("o_orderkey", rows_().over(W.partitionBy("o_orderstatus").orderBy("o_custkey").rangeBetween(-10, 10)).alias("n")), "SELECT o_orderkey, count(*) OVER (PARTITION BY o_orderstatus ORDER BY o_custkey RANGE BETWEEN 10 PRECEDING AND 10 FOLLOWING) AS n FROM orders"),
         "topk_heavy": (lambda s, d: degrees(r(s, d, "doc_line"), ["doc_id"], ["line"]).orderBy(F.desc("degree"), "line").limit(10), f"SELECT line, count(*) AS degree FROM {q('doc_line')} GROUP BY line ORDER BY degree DESC, line LIMIT 10"),
@@ -143,13 +146,69 @@ def registry() -> dict[str, Entry]:
         "fn_map": (lambda s, d: degrees(r(s, d, "nation_cust"), ["custkey"], ["nationkey"]).groupBy().agg(F.map_from_entries(F.collect_list(F.struct("nationkey", "degree"))).alias("m")).select(F.explode("m").alias("nationkey", "degree")), f"SELECT nationkey, count(*) AS degree FROM {q('nation_cust')} GROUP BY nationkey"),
         "fn_json": (lambda s, d: t(s, d, "events").select("event_id", F.from_json("props", "k bigint")["k"].alias("k")), "SELECT event_id, CAST(json_extract(props, '$.k') AS BIGINT) AS k FROM events"),
         "fn_cast": (lambda s, d: t(s, d, "nation").select(F.col("n_nationkey").cast("bigint").alias("k"), F.coalesce(F.nullif("n_name", F.lit("FRANCE")), F.lit("-")).alias("name")), "SELECT CAST(n_nationkey AS BIGINT) AS k, coalesce(nullif(n_name, 'FRANCE'), '-') AS name FROM nation"),
-        "st_tumbling": (lambda s, d: windows.tumbling(t(s, d, "events")), "SELECT time_bucket(INTERVAL 1 HOUR, ts) AS start, event_type, count(*) AS n FROM events GROUP BY ALL"),
+        "st_tumbling": (lambda s, d: windows.drained(windows.tumbling(windows.file_stream(s, d)), "complete"), "SELECT time_bucket(INTERVAL 1 HOUR, ts) AS start, event_type, count(*) AS n FROM events GROUP BY ALL"),
         "st_degree_state": (lambda s, d: windows.streamed_degrees(s, d), f"SELECT user_id, count(*) AS degree FROM {q('user_key')} GROUP BY user_id"),
-        "st_delta_cycle": (lambda s, d: windows.delta_triangles(s, d), delta_sql()),
+        "st_delta_cycle": (lambda s, d: windows.delta_cycle(s, d), delta_sql()),
+        "st_sliding": (lambda s, d: windows.sliding(t(s, d, "events")), "SELECT start, count(*) AS n FROM (SELECT ts, unnest([time_bucket(INTERVAL 15 MINUTE, ts), time_bucket(INTERVAL 15 MINUTE, ts) - INTERVAL 15 MINUTE, time_bucket(INTERVAL 15 MINUTE, ts) - INTERVAL 30 MINUTE, time_bucket(INTERVAL 15 MINUTE, ts) - INTERVAL 45 MINUTE]) AS start FROM events) GROUP BY start"),
+        "st_session": (lambda s, d: windows.sessions(t(s, d, "events")), SESSION_SQL),
+        "st_late": (lambda s, d: windows.late_events(s, d), "SELECT time_bucket(INTERVAL 1 HOUR, ts) AS start, event_type, count(*) AS n FROM events GROUP BY ALL"),
+        "st_distinct_edges": (lambda s, d: windows.drained(windows.distinct_edges(windows.file_stream(s, d), "100 days")), q("user_key")[1:-1]),
+        "st_check_batches": (lambda s, d: windows.checked_batches(s, d), f"SELECT CAST(p AS INT) AS batch, max(n) AS max_degree, max(n) <= 5 AS holds FROM (SELECT p, b.user_id, count(*) AS n FROM (SELECT unnest([0, 1, 2]) AS p), {q('user_key_buy')} b WHERE b.k % 3 <= p AND b.user_id IN (SELECT user_id FROM {q('user_key_buy')} c WHERE c.k % 3 = p) GROUP BY ALL) GROUP BY p"),
+        "op_bind_atom": (lambda s, d: bind_atom(t(s, d, li), {"o": "l_orderkey", "s": F.col("l_suppkey")}, "l_returnflag = 'R'").distinct(), "SELECT DISTINCT l_orderkey AS o, l_suppkey AS s FROM lineitem WHERE l_returnflag = 'R'"),
+        "op_constants": (lambda s, d: sql(s, "q(p, x) :- lines(p, x, 'R', 1), parts(p, y)", {"lines": t(s, d, li).select("l_partkey", "l_suppkey", "l_returnflag", "l_linenumber"), "parts": t(s, d, "part").select("p_partkey", "p_brand")}), "SELECT DISTINCT l_partkey AS p, l_suppkey AS x FROM lineitem JOIN part ON l_partkey = p_partkey WHERE l_returnflag = 'R' AND l_linenumber = 1"),
+        "src_star": (lambda s, d: star(s, 50), "SELECT i AS a, CAST(0 AS BIGINT) AS b FROM (SELECT unnest(range(1, 51)) AS i) UNION ALL SELECT 0, i FROM (SELECT unnest(range(1, 51)) AS i)"),
+        "sql_entry": (by_sql, "SELECT DISTINCT c_custkey, n_name FROM customer JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey"),
+        "udtf_decompositions": (lambda s, d: lateral(s, "SELECT t.query, f.bags FROM {rules} t, LATERAL decompositions(t.rule) f"), "SELECT * FROM (VALUES ('cycle', 'wxy|wyz'), ('cycle', 'wxz|xyz'), ('triangle', 'xyz')) AS t(query, bags)"),
+        "udtf_widths": (lambda s, d: lateral(s, "SELECT t.query, f.measure, f.value FROM {rules} t, LATERAL widths(t.rule, 1000) f"), "SELECT * FROM (VALUES ('cycle', 'width', 1.5), ('cycle', 'single tree', 2.0), ('triangle', 'width', 1.5), ('triangle', 'single tree', 1.5)) AS t(query, measure, value)"),
+        "udaf_degree_profile": (lambda s, d: profiled(s, d), f"SELECT flag, count(*) || ' ' || max(n) AS profile FROM (SELECT l_returnflag AS flag, l_suppkey, count(*) AS n FROM lineitem GROUP BY ALL) GROUP BY flag"),
+        "agg_approx_distinct": (lambda s, d: t(s, d, li).groupBy("l_returnflag").agg(F.approx_count_distinct("l_partkey", 0.02).alias("a"), F.countDistinct("l_partkey").alias("n_parts")).select("l_returnflag", "n_parts", (F.abs(F.col("a") - F.col("n_parts")) <= 0.1 * F.col("n_parts")).alias("near")), "SELECT l_returnflag, count(DISTINCT l_partkey) AS n_parts, true AS near FROM lineitem GROUP BY l_returnflag"),
+        "agg_sketch_prefilter": (lambda s, d: sketched(r(s, d, "doc_line"), "line", 3), f"SELECT line, count(*) AS degree FROM {q('doc_line')} GROUP BY line HAVING count(*) > 3"),
+        "topk_answers": (lambda s, d: workloads.run(s, d, "w03").orderBy("orderkey", "partkey", "suppkey").limit(20), f"SELECT * FROM ({workloads.sql('w03')}) ORDER BY orderkey, partkey, suppkey LIMIT 20"),
+        "win_ntile": (lambda s, d: r(s, d, "order_supp").withColumn("tile", F.ntile(4).over(W.partitionBy("suppkey").orderBy("orderkey"))), f"SELECT orderkey, suppkey, CAST(ntile(4) OVER (PARTITION BY suppkey ORDER BY orderkey) AS INT) AS tile FROM {q('order_supp')}"),
+        "join_skewed": (lambda s, d: salted_join(r(s, d, "doc_line").select(F.col("doc_id").alias("d1"), "line"), r(s, d, "doc_line").select(F.col("doc_id").alias("d2"), "line"), "line").groupBy("d1").agg(rows_().alias("n")), f"SELECT a.doc_id AS d1, count(*) AS n FROM {q('doc_line')} a JOIN {q('doc_line')} b ON a.line = b.line GROUP BY a.doc_id"),
     }
     return out
 
 
+SESSION_SQL = """WITH g AS (SELECT user_id, ts, CASE WHEN ts < lag(ts) OVER w + INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS opens FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)),
+n AS (SELECT *, sum(opens) OVER (PARTITION BY user_id ORDER BY ts ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS session FROM g)
+SELECT min(ts) AS start, max(ts) + INTERVAL 30 MINUTE AS "end", user_id, count(*) AS n FROM n GROUP BY user_id, session"""
+
+
+def by_sql(s, d):
+    for name in ("customer", "nation", "region"):
+        t(s, d, name).createOrReplaceTempView(f"{name}_for_sql")
+    return sql(s, "SELECT DISTINCT c.c_custkey, n.n_name FROM customer_for_sql c, nation_for_sql AS n, region_for_sql r WHERE c.c_nationkey = n.n_nationkey AND n.n_regionkey = r.r_regionkey")
+
+
+def lateral(s, text):
+    register(s)
+    return s.sql(text, rules=s.createDataFrame([("triangle", "q() :- a(x, y), b(y, z), c(z, x)"), ("cycle", "q() :- a(x, y), b(y, z), c(z, w), d(w, x)")], "query string, rule string"))
+
+
+def profiled(s, d):
+    """The aggregate's first two figures; the others are floating point."""
+    own = t(s, d, "lineitem").groupBy(F.col("l_returnflag").alias("flag"), "l_suppkey").agg(rows_().alias("n"))
+    return own.groupBy("flag").agg(degree_profile()("n").alias("p")).select("flag", F.substring_index("p", " ", 2).alias("profile"))
+
+
+def sketched(rel: DataFrame, key: str, above: int, cells: int = 1 << 16) -> DataFrame:
+    """Keys with more than `above` rows. A sketch of hashed cells, which never counts a key too low, leaves few candidates, and only these are counted."""
+    cell = F.pmod(F.xxhash64(key), F.lit(cells))
+    full = rel.groupBy(cell.alias("__cell")).agg(rows_().alias("n")).filter(F.col("n") > above).select("__cell")
+    likely = rel.withColumn("__cell", cell).join(F.broadcast(full), "__cell", "left_semi").drop("__cell")  # at most `cells` rows
+    return degrees(likely, rel.columns, [key]).filter(F.col("degree") > above)
+
+
+def salted_join(a: DataFrame, b: DataFrame, key: str, salts: int = 8, above: int = 100) -> DataFrame:
+    """An equi-join whose heavy keys, counted on the left, are dealt over `salts` tasks; rows of the right follow their keys there."""
+    hot = degrees(a, a.columns, [key]).filter(F.col("degree") > above).select(key, F.lit(True).alias("__hot"))
+    deal = F.when(F.col("__hot"), F.pmod(F.xxhash64(*a.columns), F.lit(salts)).cast("int")).otherwise(0)
+    left = a.join(hot, key, "left").withColumn("__salt", deal).drop("__hot")
+    right = b.join(hot, key, "left").withColumn("__salt", F.explode(F.when(F.col("__hot"), F.sequence(F.lit(0), F.lit(salts - 1))).otherwise(F.array(F.lit(0))))).drop("__hot")
+    return left.join(right, [key, "__salt"]).drop("__salt")
+
+
 def augmented(s, d):
     inst = Instance({frozenset(["orderkey", "suppkey"]): relation(s, d, "order_supp")})
     inst.augment(frozenset(["orderkey", "suppkey"]), relation(s, d, "order_supp").filter("suppkey <= 5"))
@@ -157,5 +216,4 @@ def augmented(s, d):
 
 
 def delta_sql() -> str:
-    e = q("user_key_buy")
-    return f"SELECT DISTINCT a.user_id AS u1, b.user_id AS u2 FROM {e} a JOIN {e} b ON a.k = b.k AND a.user_id < b.user_id"
+    return workloads.sql("w05", "u1, k1")
