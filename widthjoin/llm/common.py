@@ -15,7 +15,9 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: An Arrow batch is cut into pieces of at most this many bytes of text (one row may be longer).
-SLICE_BYTES = 6 << 20
+SLICE_BYTES = 4 << 20
+#: Rows of an Arrow batch in the steps that save() runs: whole texts and sets stand in them.
+BATCH_ROWS, ARROW_ROWS = 1000, "spark.sql.execution.arrow.maxRecordsPerBatch"
 #: Rows of ids or of small fixed-size entries that may be broadcast, after counting them.
 BROADCAST_ROWS = 1_000_000
 UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
@@ -56,11 +58,21 @@ def scratch(spark: SparkSession) -> str:
     return path
 
 
-def save(df: DataFrame, codec: str = "zstd", path: str | None = None) -> DataFrame:
-    """Write once to the shared folder and read back: cuts lineage, survives lost executors."""
-    path = path or scratch(df.sparkSession)
-    df.write.option("compression", codec).parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+def save(df: DataFrame, codec: str = "zstd", path: str | None = None, rows: int | None = BATCH_ROWS) -> DataFrame:
+    """Write once to the shared folder and read back: cuts lineage, survives lost executors.
+
+    rows: of an Arrow batch while this is written; None leaves the session's own. JVM and worker hold whole batches, and do not give all of that back.
+    """
+    spark, path = df.sparkSession, path or scratch(df.sparkSession)
+    before = spark.conf.get(ARROW_ROWS, None)
+    if rows is not None:
+        spark.conf.set(ARROW_ROWS, str(rows))
+    try:
+        df.write.option("compression", codec).parquet(path)
+    finally:
+        if rows is not None:
+            spark.conf.unset(ARROW_ROWS) if before is None else spark.conf.set(ARROW_ROWS, before)
+    return spark.read.schema(df.schema).parquet(path)
 
 
 def delete(spark: SparkSession, path: str) -> None:
@@ -73,13 +85,11 @@ def finished(spark: SparkSession, make: Callable[[], DataFrame]) -> DataFrame:
     path, own = scratch(spark), []
     _saved.append(own)
     try:
-        df = make()
-        df.write.option("compression", "zstd").parquet(path)
+        return save(make(), path=path)
     finally:
         _saved.pop()
         for x in own:
             delete(spark, x)
-    return spark.read.schema(df.schema).parquet(path)
 
 
 def row_key(id: Column, text: Column) -> Column:
@@ -109,15 +119,16 @@ def pieces(batches: Iterator[pa.RecordBatch], column: str = "text", most: int =
     """Batches cut so that each has at most `most` bytes of the column, null text replaced by the empty string."""
     for b in batches:
         k = b.schema.get_field_index(column)
-        text = pc.fill_null(b.column(k).cast(pa.large_string()), "")
-        b = pa.RecordBatch.from_arrays([text if i == k else b.column(i) for i in range(b.num_columns)], names=b.schema.names)
-        size = np.cumsum(pc.binary_length(text).to_numpy(zero_copy_only=False)) if len(text) else np.zeros(0)
+        size = np.cumsum(pc.fill_null(pc.binary_length(b.column(k)), 0).to_numpy(zero_copy_only=False), dtype=np.int64)
         at = 0
-        while at < len(text):
+        while at < b.num_rows:
             to = max(at + 1, int(np.searchsorted(size, (size[at - 1] if at else 0) + most, "right")))
-            yield b.slice(at, to - at)
+            own = b.take(pa.array(np.arange(at, to)))  # copied piece by piece, so that no array starts inside a buffer
+            text = pc.fill_null(own.column(k).cast(pa.large_string()), "")
+            yield pa.RecordBatch.from_arrays([text if i == k else own.column(i) for i in range(b.num_columns)], names=b.schema.names)
+            del own, text
             at = to
-        del b, text, size
+        del b, size
         trim()
 
 

@@ -41,7 +41,7 @@ MIN_COSINE, MIN_COMMON = 0.7, 8
 #: Bytes of text searched at once: each selective word is written out for each passage that has it.
 SLICE = 3 << 20
 #: Looked-up words written out at once.
-EXPANDED = 4 << 20
+EXPANDED = 1 << 20
 #: Benchmark passages a broadcast block holds; longer benchmarks are searched block by block.
 BLOCK = 20_000
 
@@ -92,7 +92,7 @@ def document_frequencies(documents: DataFrame, vocabulary: pa.Array) -> DataFram
             offs, own = terms(b.column(0), v)
             row = np.repeat(np.arange(len(offs) - 1), np.diff(offs))[own >= 0]
             key = row * len(v) + own[own >= 0]
-            seen = np.zeros((len(offs) - 1) * len(v), bool) if (len(offs) - 1) * len(v) <= 1 << 26 else None
+            seen = np.zeros((len(offs) - 1) * len(v), bool) if (len(offs) - 1) * len(v) <= 1 << 24 else None
             if seen is not None:  # a bit map is faster than sorting
                 seen[key] = True
                 df += seen.reshape(-1, len(v)).sum(0)

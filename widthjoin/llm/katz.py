@@ -533,7 +533,7 @@ def score_texts(documents: DataFrame, order: int = ORDER, store: str | None = No
     spark = documents.sparkSession
     held = F.lit(True) if model_path else F.coalesce("held_out", F.lit(False))
     docs = documents.select(F.col("doc_id").cast("long"), F.col("text").cast("string"), held.alias("held_out"))
-    chunks = save(docs.mapInArrow(chunked, CHUNKS), "none")
+    chunks = save(docs.mapInArrow(chunked, CHUNKS), "none", rows=None)  # a chunk is at most a batch
     n, tokens = chunks.agg(F.count(F.lit(1)), F.coalesce(F.sum("n"), F.lit(0))).first()
     if not n:
         return spark.createDataFrame([], SCORES)

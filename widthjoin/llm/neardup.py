@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import coded, delete, hashes, mixed, pick, pieces, row_key, save, scratch, small, unused, words
+from .common import coded, delete, hashes, mixed, pick, pieces, row_key, save, scratch, small, trim, unused, words
 
 BINS, ROWS = 128, 4
 #: Bins of the sketch that tells which further pairs are worth a full comparison; and how large buckets are split for them.
@@ -138,8 +138,9 @@ def linked(batches: Iterator[pa.RecordBatch], num: int, den: int) -> Iterator[pa
             at[at == len(y)] = 0
             both = int((y[at] == x).sum()) if len(y) else 0
             keep.append(den * both >= num * (len(x) + len(y) - both))
-        out = b.filter(pa.array(keep, pa.bool_()))
-        yield out.select(["a", "b"])
+        yield b.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
+        del b
+    trim()
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -227,6 +228,8 @@ def sketches(batches: Iterator[pa.RecordBatch], bins: int, rows: int) -> Iterato
         fine = [mixed(densified(s, SKETCH, tries)).astype(np.uint8).tobytes() for s in sets]
         keys = [band_keys(s, bins, rows, coarse).tobytes() for s in sets]
         yield pa.RecordBatch.from_arrays([b.column(b.schema.get_field_index("doc_id")), pa.array(fine, pa.binary()), pa.array(keys, pa.binary())], names=["of", "sketch", "bands"])
+        del b, sets, fine, keys
+    trim()
 
 
 def near_pairs(batches: Iterator[pa.RecordBatch], num: int, den: int) -> Iterator[pa.RecordBatch]:
@@ -270,6 +273,8 @@ def near_pairs(batches: Iterator[pa.RecordBatch], num: int, den: int) -> Iterato
     if kept:
         found += group(kept, own[0])
     yield out(found)
+    del kept, found
+    trim()
 
 
 def further_links(members: DataFrame, done: DataFrame, links: DataFrame, labels: DataFrame, sets: DataFrame, num: int, den: int, bins: int, rows: int) -> DataFrame | None:
