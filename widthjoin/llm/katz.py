@@ -25,6 +25,7 @@ the unseen word. A row without an id is not held out. Only id and text are read.
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -35,7 +36,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import coded, hashes, mixed, pieces, save, words
+from .common import coded, delete, hashes, mixed, pieces, save, scratch, words
 
 #: Bytes of text in a chunk at most (one text may be longer), and tokens that a partition should answer for.
 CHUNK_BYTES, PART_TOKENS = 8 << 20, 1_500_000
@@ -533,10 +534,14 @@ def score_texts(documents: DataFrame, order: int = ORDER, store: str | None = No
     spark = documents.sparkSession
     held = F.lit(True) if model_path else F.coalesce("held_out", F.lit(False))
     docs = documents.select(F.col("doc_id").cast("long"), F.col("text").cast("string"), held.alias("held_out"))
-    chunks = save(docs.mapInArrow(chunked, CHUNKS), "none", rows=None)  # a chunk is at most a batch
+    first = scratch(spark)
+    chunks = save(docs.mapInArrow(chunked, CHUNKS), "none", first, rows=None)  # a chunk is at most a batch
     n, tokens = chunks.agg(F.count(F.lit(1)), F.coalesce(F.sum("n"), F.lit(0))).first()
     if not n:
         return spark.createDataFrame([], SCORES)
+    chunks = bucketed(chunks, "chunk", n)
+    delete(spark, first)
+    collected(spark)
     parts = max(8, -(-tokens // PART_TOKENS))
     spread = max(MIN_SPREAD, 8 * tokens // parts)
     if model_path:
@@ -585,6 +590,15 @@ def score_texts(documents: DataFrame, order: int = ORDER, store: str | None = No
     return out.withColumn("doc_id", F.when(F.col("doc_id") != F.lit(-(2**63)), F.col("doc_id")))
 
 
+def bucketed(df: DataFrame, key: str, n: int) -> DataFrame:
+    """Saved by the hash of a key, so that grouping by it reads the rows where they are: only answers are shuffled to chunks."""
+    spark, name = df.sparkSession, f"katz_{uuid.uuid4().hex}"
+    df.repartition(n, key).write.format("parquet").bucketBy(n, key).option("compression", "none").option("path", scratch(spark)).saveAsTable(name)
+    out = spark.table(name)
+    spark.sql(f"DROP TABLE {name}")  # its name alone: the files are not the catalog's
+    return out
+
+
 def fit(documents: DataFrame, path: str, order: int = ORDER) -> None:
     """Store the model of all rows of (doc_id, text) in a folder: a table for each order, a row for each partition of it."""
     score_texts(documents.withColumn("held_out", F.lit(False)), order, store=path)
