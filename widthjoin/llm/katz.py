@@ -419,7 +419,7 @@ def level_counter(order: int, model: dict, hot: np.ndarray, spread: int, store:
         shorter = unigram(low[own], model) if order == 2 else discounted(low[own], model["d2"])
         lower = np.bincount(where, weights=shorter, minlength=len(some))
         out, begin = [], 0
-        for chunk, ctx, mine, *_ in asked:
+        for chunk, ctx, mine, _, _, held, _, need, r in asked:
             counts = total[place[begin : begin + len(mine)]]
             begin += len(mine)
             if chunk == MODEL:
@@ -427,7 +427,9 @@ def level_counter(order: int, model: dict, hot: np.ndarray, spread: int, store:
             k = of(ctx) if len(contexts) else np.zeros(len(ctx), np.int64)
             found = contexts[k] == ctx if len(contexts) else np.zeros(len(ctx), bool)
             bits = np.where(found, present[k] if len(present) else 0, 0).astype(np.uint8)
-            which = np.flatnonzero(found & (wanted[k] if len(wanted) else False)).astype(np.int32)
+            backs = need.copy()  # a chunk gets the weights that its own held-out texts need
+            backs[np.repeat(np.arange(len(ctx)), unpacked(r["runs"], np.int32))[held & (counts == 0)]] = True
+            which = np.flatnonzero(found & backs & (wanted[k] if len(wanted) else False)).astype(np.int32)
             out.append((chunk, part, packed(counts), packed(bits), packed(which), packed(stats[:, at[k[which]]].ravel()), packed(lower[at[k[which]]])))
         i = at[np.flatnonzero(is_hot)]
         above = keys[total > spread].view(np.int64)
