@@ -288,6 +288,31 @@ def test_sketches_leave_out_no_small_linked_pair(size):
     assert left_out == 0
 
 
+def test_a_block_of_near_copies_makes_a_forest_of_links_not_all_pairs():
+    r = np.random.default_rng(5)
+    base, sets = np.arange(400, dtype=np.uint64), []
+    for i in range(120):  # two families, each linked only through others of its own
+        s = base[: 300] + np.uint64(1000 * (i % 2))
+        differ = r.integers(4, 18)
+        s[r.choice(300, differ, replace=False)] = r.integers(10_000, 1 << 60, differ).astype(np.uint64)
+        sets.append(np.unique(s))
+    rows = {"rep": list(range(120)), "n": [len(s) for s in sets], "c": list(range(120)), "centre": [True] * 120, "set": [s.tobytes() for s in sets], "bands": [np.array([7], np.int64).tobytes()] * 120}
+    found = list(neardup.block_links(rows, 7, 85, 100))
+    alike = lambda a, b, j: 100 * len(np.intersect1d(a, b)) >= j * len(np.union1d(a, b))
+    every = [(i, j) for i in range(120) for j in range(i) if alike(sets[i], sets[j], 85)]
+
+    def parts(pairs):
+        root = list(range(120))
+        for a, b in pairs:
+            x, y = root[a], root[b]
+            root = [y if z == x else z for z in root]
+        return [[i for i in range(120) if root[i] == z] for z in sorted(set(root), key=root.index)]
+
+    assert parts(found) == parts(every) and all(alike(sets[a], sets[b], 85) for a, b in found)
+    assert len(found) == 120 - len(parts(every)) < len(every)
+    assert not list(neardup.block_links(rows, 8, 85, 100))  # their first common bucket is another
+
+
 # ---- toxicity
 
 

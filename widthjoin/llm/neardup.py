@@ -7,9 +7,9 @@ finds first, each bin by a walk of its own (densification), and bands of bins ar
 the first member is the centre of a star: members are compared with it on full
 sets, so a bucket of n rows makes n - 1 pairs. Members that end up outside their
 centre's component become centres themselves, for the members of other
-components: a finer sketch leaves out pairs five standard errors below the limit,
-the rest is compared on full sets. Nothing is capped, and a large group of copies
-costs one star.
+components: their full sets meet inside the bucket, one centre with all members at
+once, and a link joins its two components, so that only links that connect something
+are made into rows. Nothing is capped, and a large group of copies costs one star.
 
 Null or empty text: empty set, no links. Fewer words than k: the whole sequence
 is the one shingle. Texts are told apart by their sets, not by their ids: rows
@@ -30,8 +30,8 @@ from pyspark.sql import functions as F
 from .common import coded, delete, hashes, mixed, pick, pieces, row_key, save, scratch, small, trim, unused, words
 
 BINS, ROWS = 128, 4
-#: Bins of the sketch that tells which further pairs are worth a full comparison; and how large buckets are split for them.
-SKETCH, BLOCK_CENTRES, BLOCK_MEMBERS = 1024, 512, 2048
+#: Bins of a sketch that tells similarities well; rows of the blocks into which buckets are split, and hashes a row of a full block.
+SKETCH, BLOCK_CENTRES, BLOCK_MEMBERS, BLOCK_SET = 1024, 512, 2048, 1024
 SIGNED = "doc_id long, row_key long, n_shingles long, set_key binary, bands array<long>"
 MULT = (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xFF51AFD7ED558CCD, 0xC4CEB9FE1A85EC53, 0x2545F4914F6CDD1D)
 
@@ -198,7 +198,7 @@ def classes_of(documents: DataFrame, k: int, num: int, den: int, bins: int, rows
     sets = save(wanted.mapInArrow(lambda it: full_sets(it, k), "doc_id long, set binary"), "none")
     links = save(compare(pairs, sets, num, den))
     labels = save(components(links))
-    links = further_links(members, pairs, links, labels, sets, num, den, bins, rows)
+    links = further_links(members, links, labels, sets, num, den, bins, rows)
     labels = labels if links is None else save(components(links))
     return signed, classes, labels.union(labels.select("component", "component").distinct())  # the least nodes too
 
@@ -220,36 +220,44 @@ def alike(m: str, n: str, num: int, den: int):
     return (den * F.least(m, n)) >= (num * F.greatest(m, n))
 
 
-def sketches(batches: Iterator[pa.RecordBatch], bins: int, rows: int) -> Iterator[pa.RecordBatch]:
-    """Of each set: one byte a bin of a finer sketch, and its band keys."""
-    tries, coarse = walk(SKETCH), walk(bins)
+def with_bands(batches: Iterator[pa.RecordBatch], bins: int, rows: int) -> Iterator[pa.RecordBatch]:
+    """Each set and its band keys."""
+    tries = walk(bins)
     for b in batches:
-        sets = [np.frombuffer(x.as_buffer(), np.uint64) for x in b.column(b.schema.get_field_index("set"))]
-        fine = [mixed(densified(s, SKETCH, tries)).astype(np.uint8).tobytes() for s in sets]
-        keys = [band_keys(s, bins, rows, coarse).tobytes() for s in sets]
-        yield pa.RecordBatch.from_arrays([b.column(b.schema.get_field_index("doc_id")), pa.array(fine, pa.binary()), pa.array(keys, pa.binary())], names=["of", "sketch", "bands"])
-        del b, sets, fine, keys
+        own = b.column(b.schema.get_field_index("set"))
+        keys = [band_keys(np.frombuffer(x.as_buffer(), np.uint64), bins, rows, tries).tobytes() for x in own]
+        yield pa.RecordBatch.from_arrays([b.column(b.schema.get_field_index("doc_id")), own, pa.array(keys, pa.binary())], names=["of", "set", "bands"])
+        del b, own, keys
     trim()
 
 
-def near_pairs(batches: Iterator[pa.RecordBatch], num: int, den: int) -> Iterator[pa.RecordBatch]:
-    """Pairs (a, b) of rows with equal (key, ob, mb), one of them a centre, in different components, whose sketches may reach the limit.
-    A pair is made in the first of the buckets that it shares.
-
-    Rows come sorted by these keys; a group has at most BLOCK_CENTRES centres and about BLOCK_MEMBERS others.
+def block_links(rows: dict[str, list], key: int, num: int, den: int) -> Iterator[tuple[int, int]]:
+    """Links between a block's centres and its members in other components, by full sets; those that join nothing new are left out."""
+    bands = np.frombuffer(b"".join(rows["bands"]), np.int64).reshape(len(rows["rep"]), -1)
+    rep, n, centre = (np.asarray(rows[k]) for k in ("rep", "n", "centre"))
+    c = np.unique(rows["c"], return_inverse=True)[1]
+    starts = np.concatenate([[0], np.cumsum(n)])
+    codes = np.unique(np.frombuffer(b"".join(rows["set"]), np.uint64), return_inverse=True)[1].astype(np.int32)
+    mark = np.zeros(int(codes.max()) + 1, np.uint8)
+    for i in np.flatnonzero(centre):
+        ok = np.flatnonzero((c != c[i]) & (den * np.minimum(n, n[i]) >= num * np.maximum(n, n[i])))
+        ok = ok[bands[i, (bands[ok] == bands[i]).argmax(1)] == key]  # a pair is compared in the first of the buckets that it shares
+        if not len(ok):
+            continue
+        mark[codes[starts[i] : starts[i + 1]]] = 1
+        both = np.add.reduceat(mark[codes], starts[:-1], dtype=np.int64)[ok]
+        mark[codes[starts[i] : starts[i + 1]]] = 0
+        for j in ok[den * both >= num * (n[i] + n[ok] - both)]:
+            if c[j] != c[i]:
+                c[c == c[j]] = c[i]
+                yield int(min(rep[i], rep[j])), int(max(rep[i], rep[j]))
+
+
+def near_links(batches: Iterator[pa.RecordBatch], num: int, den: int) -> Iterator[pa.RecordBatch]:
+    """Links (a, b) of rows with equal (key, ob, mb), one of them a centre, in different components.
+
+    Rows come sorted by these keys; a group has at most about BLOCK_CENTRES centres and BLOCK_MEMBERS others, fewer of long texts.
     """
-    t = num / den
-    least = (t - 5 * (t * (1 - t) / SKETCH) ** 0.5) * SKETCH
-
-    def group(rows, key):
-        bands = np.frombuffer(b"".join(rows["bands"]), np.int64).reshape(len(rows["rep"]), -1)
-        sk = np.frombuffer(b"".join(rows["sketch"]), np.uint8).reshape(-1, SKETCH)
-        rep, n, c, centre = (np.asarray(rows[k]) for k in ("rep", "n", "c", "centre"))
-        for i in np.flatnonzero(centre):
-            ok = np.flatnonzero((c != c[i]) & (den * np.minimum(n, n[i]) >= num * np.maximum(n, n[i])))
-            ok = ok[bands[i, (bands[ok] == bands[i]).argmax(1)] == key]
-            ok = ok[(sk[ok] == sk[i]).sum(1) >= least]
-            yield from ((min(rep[i], r), max(rep[i], r)) for r in rep[ok])
 
     def out(pairs):
         own = sorted(set(pairs))
@@ -257,13 +265,13 @@ def near_pairs(batches: Iterator[pa.RecordBatch], num: int, den: int) -> Iterato
 
     kept, own, found = {}, None, []
     for b in batches:
-        cols = {k: b.column(b.schema.get_field_index(k)).to_pylist() for k in ("key", "ob", "mb", "rep", "n", "c", "centre", "sketch", "bands")}
+        cols = {k: b.column(b.schema.get_field_index(k)).to_pylist() for k in ("key", "ob", "mb", "rep", "n", "c", "centre", "set", "bands")}
         ids = list(zip(cols.pop("key"), cols.pop("ob"), cols.pop("mb"), strict=True))
         starts = [0, *(i for i in range(1, len(ids)) if ids[i] != ids[i - 1]), len(ids)]
         for x, y in zip(starts[:-1], starts[1:], strict=True):
             if ids[x:] and ids[x] != own:
                 if kept:
-                    found += group(kept, own[0])
+                    found += block_links(kept, own[0], num, den)
                 kept, own = {k: [] for k in cols}, ids[x]
             for k, v in cols.items():
                 kept[k] += v[x:y]
@@ -271,38 +279,37 @@ def near_pairs(batches: Iterator[pa.RecordBatch], num: int, den: int) -> Iterato
             yield out(found)
             found = []
     if kept:
-        found += group(kept, own[0])
+        found += block_links(kept, own[0], num, den)
     yield out(found)
     del kept, found
     trim()
 
 
-def further_links(members: DataFrame, done: DataFrame, links: DataFrame, labels: DataFrame, sets: DataFrame, num: int, den: int, bins: int, rows: int) -> DataFrame | None:
-    """All links, after those that the stars have missed; None if they cannot have missed any.
+def further_links(members: DataFrame, links: DataFrame, labels: DataFrame, sets: DataFrame, num: int, den: int, bins: int, rows: int) -> DataFrame | None:
+    """Links that connect all that is linked, after those that the stars have missed; None if they have missed none.
 
     In a bucket where not all are in the centre's component, each member outside
-    it is a centre too, for the members of other components. A finer sketch tells
-    which of these pairs are compared on full sets: those within five standard
-    errors of the limit. Buckets are split by blocks of centres and of members.
+    it is a centre too, for the members of other components, on full sets. Buckets
+    are split by blocks of centres and of members.
     """
     label = lambda m: m.join(labels.withColumnRenamed("component", "c"), F.col("rep") == F.col("node"), "left").withColumn("c", F.coalesce("c", "rep")).drop("node")
     at_centre = labels.select(F.col("node").alias("cn"), F.col("component").alias("cc"))
     now = label(members).join(at_centre, F.col("centre") == F.col("cn"), "left").withColumn("cc", F.coalesce("cc", "centre"))
     now = now.withColumn("centre", F.col("c") != F.col("cc")).select("key", "rep", "n", "c", "centre")
-    size = now.groupBy("key").agg(F.count(F.lit(1)).alias("many"), F.sum(F.col("centre").cast("int")).alias("outs")).filter("outs > 0 AND many > 2")
-    size = size.select(F.col("key").alias("k2"), F.ceil(F.col("outs") / BLOCK_CENTRES).cast("int").alias("obs"), F.ceil(F.col("many") / BLOCK_MEMBERS).cast("int").alias("mbs"))
+    blocks = lambda many, hashes, most: F.ceil(F.greatest(F.col(many) / most, F.col(hashes) / (most * BLOCK_SET))).cast("int")
+    outer = F.col("centre").cast("int")
+    size = now.groupBy("key").agg(F.count(F.lit(1)).alias("many"), F.sum("n").alias("hashes"), F.sum(outer).alias("outs"), F.sum(outer * F.col("n")).alias("out_hashes")).filter("outs > 0 AND many > 2")
+    size = size.select(F.col("key").alias("k2"), blocks("outs", "out_hashes", BLOCK_CENTRES).alias("obs"), blocks("many", "hashes", BLOCK_MEMBERS).alias("mbs"))
     open_ = save(now.join(size, F.col("key") == F.col("k2")).drop("k2"))
     wanted = save(open_.select(F.col("rep").alias("r2")).distinct())
-    fine = sets.join(small(wanted), F.col("doc_id") == F.col("r2"), "left_semi").mapInArrow(lambda it: sketches(it, bins, rows), "of long, sketch binary, bands binary")
+    fine = sets.join(small(wanted), F.col("doc_id") == F.col("r2"), "left_semi").mapInArrow(lambda it: with_bands(it, bins, rows), "of long, set binary, bands binary")
     block = lambda of, salt: F.pmod(F.xxhash64("rep", F.lit(salt)), F.col(of)).cast("int")
     # a centre stands in one block of centres, against every block of members; a member in one block of members, against every block of centres
     as_centre = open_.filter("centre").withColumn("ob", block("obs", 1)).withColumn("mb", F.explode(F.sequence(F.lit(0), F.col("mbs") - 1)))
     as_member = open_.withColumn("centre", F.lit(False)).withColumn("mb", block("mbs", 2)).withColumn("ob", F.explode(F.sequence(F.lit(0), F.col("obs") - 1)))
-    dealt = as_centre.unionByName(as_member).join(fine, F.col("rep") == F.col("of")).select("key", "ob", "mb", "rep", "n", "c", "centre", "sketch", "bands")
+    dealt = as_centre.unionByName(as_member).join(fine, F.col("rep") == F.col("of")).select("key", "ob", "mb", "rep", "n", "c", "centre", "set", "bands")
     dealt = dealt.repartition("key", "ob", "mb").sortWithinPartitions("key", "ob", "mb")
-    pairs = dealt.mapInArrow(lambda it: near_pairs(it, num, den), "a long, b long").distinct()
-    pairs = save(pairs.join(done.select(F.col("a").alias("da"), F.col("b").alias("db")), (F.col("a") == F.col("da")) & (F.col("b") == F.col("db")), "left_anti"))
-    found = save(compare(pairs, sets, num, den))
+    found = save(dealt.mapInArrow(lambda it: near_links(it, num, den), "a long, b long").distinct())
     return None if found.isEmpty() else save(links.union(found))
 
 
