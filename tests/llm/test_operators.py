@@ -788,6 +788,20 @@ def test_katz_models_are_stored_and_score_other_texts(spark, tmp_path, monkeypat
         assert math.isclose(r["base_score"], e[3], rel_tol=1e-9) and math.isclose(r["score"], e[4], rel_tol=1e-9)
 
 
+def test_katz_arrays_are_packed_and_summed():
+    rng = np.random.default_rng(3)
+    for kind in (np.int64, np.uint64, np.int32, np.uint8, np.float64, bool):
+        for n in (0, 1, 1000):
+            x = (rng.random(2 * n) * 200).astype(kind)[::2]
+            back = katz.unpacked(bytearray(katz.packed(x)), kind)
+            assert back.dtype == x.dtype and back.tolist() == x.tolist()
+    lists = [rng.integers(0, 9, n).astype(np.uint64) for n in (0, 40, 7)]
+    keys, total, place = katz.total_counts(lists, [np.ones(len(x), np.int64) for x in lists])
+    every = np.concatenate(lists)
+    assert keys[place].tolist() == every.tolist() and total.tolist() == [int((every == k).sum()) for k in keys] and keys.tolist() == sorted(set(every.tolist()))
+    assert katz.ranks(np.array([70, 5, 9])).tolist() == [2, 0, 1]
+
+
 def test_katz_refuses_orders_it_does_not_have(spark):
     with pytest.raises(ValueError):
         katz.score_texts(spark.createDataFrame([(1, "a b", False)], "doc_id long, text string, held_out boolean"), order=4)
